@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, exact_dedup, line_dedup, mixing
+from . import chat_format, exact_dedup, line_dedup, mixing, nearest, packing, quality, simhash
 from .common import documents
 
 #: Boilerplate of a site: on more than this share of its pages, and on so many at least.
@@ -126,8 +126,32 @@ select doc_id, max(doc_id) over w as keep_id, count(*) over w as group_size,
 from documents window w as (partition by coalesce(text, ''))
 """
 
+
+def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    out = quality.score(docs, quality.fit(docs, documents(spark, sf_dir, "labels")))
+    return out.withColumn("held_out", quality.held_out(F.col("doc_id")))
+
+
+def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = simhash.near_duplicates(documents(spark, sf_dir))
+    return out.select("doc_id", simhash.hexed(F.col("fp")).alias("fingerprint"), "component_id")
+
+
+def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(documents(spark, sf_dir))
+
+
+def op9_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest.nearest(documents(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
+    "op2_quality_classifier": op2_quality_classifier,
+    "op3_simhash_near_dedup": op3_simhash_near_dedup,
+    "op5_packing": op5_packing,
+    "op9_nearest_neighbours": op9_nearest_neighbours,
     "op7_chat_formatting": op7_chat_formatting,
     "op8_mix_sources": op8_mix_sources,
     "op10_exact_dedup": op10_exact_dedup,
