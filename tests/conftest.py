@@ -27,6 +27,9 @@ def spark():
         .getOrCreate()
     )
     session.sparkContext.setLogLevel("ERROR")
+    from zonal.workers import let_workers_import
+
+    let_workers_import(session)
     yield session
     session.stop()
 
