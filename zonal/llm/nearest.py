@@ -88,7 +88,7 @@ def nearest(
     projections: int = 48,
     share: float = 0.7,
     widen: float = 1.25,
-    slack: float = 0.8,
+    slack: float = 0.65,
     width: float = 1.8,
     query_block: int = 20_000,
     seed: int = 11,
