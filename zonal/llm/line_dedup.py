@@ -7,8 +7,9 @@ boilerplate, a line must also occur on ``min_pages`` pages of its host.
 
 Plan: a page's distinct lines are aggregated partially before the exchange on (host, line),
 so a line of a huge host moves once per split, not once per page. What is boilerplate goes
-back to the occurrences by (host, line, salt), the salt spreading one line of a hot host over
-``salts`` tasks; only page and line numbers of hits are gathered, at most a page's own lines.
+back to the occurrences by (hash, salt): occurrences travel as a page id and a hash, and the
+salt spreads one line of a hot host over ``salts`` tasks. What a page meets there, at most its
+own lines, is compared by host and text once more before anything is dropped.
 
 Defined results: null or malformed URLs share the host "" ; null text has no lines and comes
 back as null; pages repeated under an id count as pages of their own in the statistics and
@@ -44,14 +45,15 @@ def drop_boilerplate(
 ) -> DataFrame:
     """All columns of ``pages`` with ``text_col`` cleaned, and __n_lines and __n_dropped."""
     work = pages.select(F.col(id_col).alias("__id"), host.alias("host"), F.split(F.col(text_col), "\n").alias("lines"))
-    bad = boilerplate_lines(work, max_ratio, min_pages).select("host", F.xxhash64("line").alias("h"), "line")
+    key = F.xxhash64("host", "line").alias("h")
+    bad = boilerplate_lines(work, max_ratio, min_pages).select(key, F.struct("host", "line").alias("bad"))
     bad = bad.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    met = work.select("__id", "host", F.pmod(F.xxhash64("__id"), F.lit(salts)).cast("int").alias("salt"), F.explode(F.array_distinct(F.transform("lines", F.trim))).alias("line"))
-    met = met.where("line <> ''").withColumn("h", F.xxhash64("line"))
-    hits = met.join(bad, ["host", "h", "line", "salt"]).groupBy("__id").agg(F.collect_set("line").alias("__bad"))
+    met = work.select("__id", "host", F.explode(F.array_distinct(F.transform("lines", F.trim))).alias("line")).where("line <> ''")
+    met = met.select("__id", F.pmod(F.xxhash64("__id"), F.lit(salts)).cast("int").alias("salt"), key)
+    hits = met.join(bad, ["h", "salt"]).groupBy("__id").agg(F.collect_set("bad").alias("__bad"))
     lines = F.split(F.col(text_col), "\n")
     joined = pages.join(hits, F.col(id_col).eqNullSafe(F.col("__id")), "left")
-    kept = F.when(F.col("__bad").isNull(), lines).otherwise(F.filter(lines, lambda x: ~F.array_contains(F.col("__bad"), F.trim(x))))
+    kept = F.when(F.col("__bad").isNull(), lines).otherwise(F.filter(lines, lambda x: ~F.array_contains(F.col("__bad"), F.struct(host.alias("host"), F.trim(x).alias("line")))))
     joined = joined.withColumn("__kept", kept).withColumn("__n_lines", F.coalesce(F.size(lines), F.lit(0)).cast("long"))
     joined = joined.withColumn("__n_dropped", F.col("__n_lines") - F.greatest(F.size("__kept"), F.lit(0)))
     text = F.when(F.col(text_col).isNotNull(), F.array_join("__kept", "\n"))
