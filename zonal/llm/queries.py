@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, exact_dedup, line_dedup, mixing, nearest, packing, quality, simhash
+from . import chat_format, exact_dedup, language_model, line_dedup, mixing, nearest, packing, quality, simhash
 from .common import documents
 
 #: Boilerplate of a site: on more than this share of its pages, and on so many at least.
@@ -138,6 +138,12 @@ def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", simhash.hexed(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op4_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    model = language_model.train(docs.where(~language_model.held_out(F.col("doc_id"))))
+    return language_model.score(docs, model).withColumn("held_out", language_model.held_out(F.col("doc_id")))
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir))
 
@@ -150,6 +156,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
     "op2_quality_classifier": op2_quality_classifier,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
+    "op4_language_model": op4_language_model,
     "op5_packing": op5_packing,
     "op9_nearest_neighbours": op9_nearest_neighbours,
     "op7_chat_formatting": op7_chat_formatting,
