@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, exact_dedup, language_model, line_dedup, mixing, nearest, packing, quality, simhash
+from . import chat_format, exact_dedup, language_model, line_dedup, mixing, nearest, packing, quality, simhash, suffix_dedup
 from .common import documents
 
 #: Boilerplate of a site: on more than this share of its pages, and on so many at least.
@@ -148,6 +148,10 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir))
 
 
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(documents(spark, sf_dir))
+
+
 def op9_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nearest.nearest(documents(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
 
@@ -158,6 +162,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
     "op4_language_model": op4_language_model,
     "op5_packing": op5_packing,
+    "op6_suffix_dedup": op6_suffix_dedup,
     "op9_nearest_neighbours": op9_nearest_neighbours,
     "op7_chat_formatting": op7_chat_formatting,
     "op8_mix_sources": op8_mix_sources,
