@@ -39,8 +39,8 @@ def drop_boilerplate(
     host: Column,
     id_col: str,
     text_col: str,
-    max_ratio: float = 0.2,
-    min_pages: int = 5,
+    max_ratio: float = 0.1,
+    min_pages: int = 3,
     salts: int = 16,
 ) -> DataFrame:
     """All columns of ``pages`` with ``text_col`` cleaned, and __n_lines and __n_dropped."""

@@ -183,3 +183,21 @@ def score(docs: DataFrame, model: AttentionModel | None, accept: float = 0.7, id
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("text"))
     return rows.mapInArrow(run, "doc_id bigint, score double, predicted int, n_passages int, top_weight double")
+
+
+def keep_good(docs: DataFrame, model: AttentionModel | None, accept: float = 0.7, text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` whose text the model accepts, with all their columns; no exchange.
+
+    Without a model (no labels) every row stays.
+    """
+    if model is None:
+        return docs
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for b in (batch.slice(i, 500) for i in range(0, batch.num_rows, 500)):
+                y = model.scores([encode(t.as_py() or "") for t in b.column(at)])
+                yield b.filter(pa.array(y >= accept))
+
+    return docs.mapInArrow(run, docs.schema)

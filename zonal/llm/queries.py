@@ -11,7 +11,7 @@ from . import chat_format, exact_dedup, language_model, line_dedup, mixing, near
 from .common import documents
 
 #: Boilerplate of a site: on more than this share of its pages, and on so many at least.
-LINE_RATIO, LINE_PAGES = 0.2, 5
+LINE_RATIO, LINE_PAGES = 0.1, 3
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
