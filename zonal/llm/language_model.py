@@ -465,7 +465,9 @@ class Mapped:
         m = self.m
         less = lambda level, c: np.maximum(c - m.discounts[level][np.minimum(c, 3).astype(np.int64)], 0)
         count, raw = self.counts(rows[-1:])
-        p = m.floor_mass / (m.types + 1) + (less(1, count) / m.continuations if m.continuations else 0)
+        p = np.full(rows.shape[1], m.floor_mass / (m.types + 1))
+        if m.continuations:
+            p += less(1, count) / m.continuations
         for level in range(2, m.order + 1):
             total, n1, n2, n3 = self.contexts(rows[-level:-1], level)
             seen = total > 0

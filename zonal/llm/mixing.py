@@ -11,7 +11,8 @@ about one document a bin of its target, and reruns agree. No draw needs other so
 and no task holds more than a bin.
 
 The filling-up works on the table of sources, one row each, by running sums in order of
-cap / weight: sources are capped as long as the water level of the rest lies above them.
+cap / weight: sources are capped as long as the water level of the rest lies above them; from
+the first one that isn't capped on, levels only fall, so the largest open one is the level.
 
 Defined results: null text has size 0; null is a source of its own, last in order; a source
 of size 0 has target 0 and takes nothing; empty tables give empty results; repeated rows are
@@ -52,7 +53,7 @@ def source_targets(sizes: DataFrame, weights: Sequence[int] = (5, 2, 1), share:
     open_weight = F.sum("weight").over(every) - F.coalesce(F.sum("weight").over(before), F.lit(0))
     per = per.withColumn("level", left / open_weight)
     per = per.withColumn("open", F.col("level") * F.col("weight") <= F.col("most"))
-    per = per.withColumn("final", F.min(F.when(F.col("open"), F.col("level"))).over(every))
+    per = per.withColumn("final", F.max(F.when(F.col("open"), F.col("level"))).over(every))
     target = F.least(F.col("most").cast("double"), F.coalesce(F.col("final") * F.col("weight"), F.col("most").cast("double")))
     return per.select("source", "n_docs", "source_size", "weight", target.alias("target"))
 

@@ -108,8 +108,13 @@ class AttentionModel:
         """A document's attention weights, one a passage."""
         return self._forward(*self._scaled([bag]))["a"]
 
-    def fit(self, bags: list[np.ndarray], labels: np.ndarray, epochs: int = 30, batch: int = 64, rate: float = 4e-3, decay: float = 1e-4, seed: int = 3) -> AttentionModel:
+    def fit(self, bags: list[np.ndarray], labels: np.ndarray, epochs: int = 30, least_steps: int = 1500, rate: float = 4e-3, decay: float = 1e-3, seed: int = 3) -> AttentionModel:
+        """At least ``epochs`` rounds and ``least_steps`` steps; it starts from the labels' base rate."""
         every = np.concatenate(bags)
+        batch = min(64, max(8, len(bags) // 16))
+        epochs = max(epochs, -(-least_steps * batch // len(bags)))
+        base = float(np.clip(np.mean(labels), 0.02, 0.98))
+        self.p["d"][:] = np.log(base / (1 - base))
         self.mean, self.scale = every.mean(axis=0), every.std(axis=0) + 1e-3
         p, r, step = self.p, np.random.default_rng(seed), 0
         m, v = {k: np.zeros_like(x) for k, x in p.items()}, {k: np.zeros_like(x) for k, x in p.items()}

@@ -98,7 +98,7 @@ q as (
       - coalesce(sum(weight) over (order by cast(2 * source_size as double) / weight, place rows between unbounded preceding and 1 preceding), 0)) as level
   from p),
 t as (
-  select *, least(cast(most as double), coalesce((min(case when level * weight <= most then level end) over ()) * weight, cast(most as double))) as target
+  select *, least(cast(most as double), coalesce((max(case when level * weight <= most then level end) over ()) * weight, cast(most as double))) as target
   from q),
 r as (
   select doc_id, d.source, size, source_size, target, u,
