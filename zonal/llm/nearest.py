@@ -4,8 +4,10 @@ Vectors are projected on ``projections`` random lines; a block of rows keeps, fo
 its projections as a sorted array. A query opens a window around its own projection on every
 line; virtual rehashing widens all windows by the factor ``widen`` a round, and a vector that
 lies in the windows of at least ``share`` of the lines is a candidate, whose exact measure is
-computed. A query stops when its ``k``-th best verified distance is below the radius that the
-windows stand for (to within ``slack``) or when every row of the block is a candidate.
+computed (for all candidates of some queries together). A query stops when its ``k``-th best
+verified distance is at most ``slack`` times the radius that the windows stand for, or when
+every row of the block is a candidate. The first radius is the typical distance of a k-th
+neighbour on a sample of the block, so most queries need one or two rounds.
 
 Nearness by inner product becomes nearness by distance with one more coordinate: data rows
 get sqrt(M^2 - |x|^2), queries 0, M being the largest norm; the order of distances is then
@@ -31,6 +33,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 BLOCK_ROWS = 50_000
+#: Queries that a block answers together; bounds the products held at a time.
+QUERIES_AT_ONCE = 64
 
 
 class BlockIndex:
@@ -38,42 +42,53 @@ class BlockIndex:
 
     def __init__(self, vectors: np.ndarray, lines: np.ndarray, top_norm: float):
         rest = np.sqrt(np.maximum(top_norm**2 - np.einsum("ij,ij->i", vectors, vectors), 0))
-        self.full = np.concatenate([vectors, rest[:, None]], axis=1)
-        at = self.full @ lines.T
-        self.order = np.argsort(at, axis=0, kind="stable").T.astype(np.int32)
-        self.values = np.take_along_axis(at.T, self.order.astype(np.int64), axis=1)
-        self.vectors = vectors
-
-    def search(self, query: np.ndarray, at: np.ndarray, k: int, own: np.ndarray, share: float, radius: float, widen: float, slack: float, width: float) -> np.ndarray:
-        """Row numbers verified for one query, in any order; ``own`` is never among them."""
-        n, m = len(self.vectors), len(at)
+        at = vectors @ lines[:, :-1].T + rest[:, None] * lines[:, -1]
+        self.order = np.argsort(at, axis=0, kind="stable").T.copy()
+        self.values = np.take_along_axis(at.T, self.order, axis=1)
+        self.vectors, self.square = vectors, top_norm**2
+
+    def windows(self, at: np.ndarray, half: float) -> tuple[np.ndarray, np.ndarray]:
+        """First and last places, per query and line, of rows within ``half`` of the query."""
+        lo = np.stack([np.searchsorted(v, a - half, "left") for v, a in zip(self.values, at.T, strict=True)], axis=1)
+        hi = np.stack([np.searchsorted(v, a + half, "right") for v, a in zip(self.values, at.T, strict=True)], axis=1)
+        return lo, hi
+
+    def search(self, queries: np.ndarray, at: np.ndarray, own: list[np.ndarray], k: int, share: float, radius: float, widen: float, slack: float, width: float) -> list[np.ndarray]:
+        """For each query the places of its best rows among the candidates, k and ties."""
+        n, m = len(self.vectors), at.shape[1]
         need = int(np.ceil(share * m))
-        count, seen = np.zeros(n, np.int16), np.zeros(n, bool)
-        seen[own] = True
-        lo = hi = None
-        far = np.empty(0)
-        found = [np.empty(0, np.int64)]
-        square = float(query @ query)
-        while True:
-            half = width * radius / 2
-            new_lo = np.array([np.searchsorted(v, a - half, "left") for v, a in zip(self.values, at, strict=True)])
-            new_hi = np.array([np.searchsorted(v, a + half, "right") for v, a in zip(self.values, at, strict=True)])
-            if lo is None:
-                ids = [self.order[j, new_lo[j] : new_hi[j]] for j in range(m)]
-            else:
-                ids = [x for j in range(m) for x in (self.order[j, new_lo[j] : lo[j]], self.order[j, hi[j] : new_hi[j]])]
-            lo, hi = new_lo, new_hi
-            count += np.bincount(np.concatenate(ids), minlength=n).astype(np.int16)
-            fresh = np.flatnonzero((count >= need) & ~seen)
-            if len(fresh):
-                seen[fresh] = True
-                found.append(fresh)
-                d = np.sqrt(np.maximum(square + np.einsum("ij,ij->i", self.full[fresh], self.full[fresh]) - 2 * (self.vectors[fresh] @ query), 0))
-                far = np.concatenate([far, d])
-            total = len(far)
-            if total >= n - len(own) or (total >= k and np.partition(far, k - 1)[k - 1] <= slack * radius):
-                return np.concatenate(found)
+        exact = queries @ self.vectors.T
+        far = np.einsum("ij,ij->i", queries, queries) + self.square
+        counts = np.zeros((len(queries), n), np.uint8 if m < 255 else np.int32)
+        lo = hi = np.zeros((len(queries), m), np.int64)
+        out: list[np.ndarray] = [np.empty(0, np.int64)] * len(queries)
+        open_ = np.arange(len(queries))
+        while len(open_):
+            new_lo, new_hi = self.windows(at[open_], width * radius / 2)
+            still = []
+            for i, (q, a, b) in enumerate(zip(open_.tolist(), new_lo.tolist(), new_hi.tolist(), strict=True)):
+                if hi[i].any():  # a window grows on both sides
+                    parts = [x for j in range(m) for x in (self.order[j, a[j] : lo[i, j]], self.order[j, hi[i, j] : b[j]])]
+                else:
+                    parts = [self.order[j, a[j] : b[j]] for j in range(m)]
+                counts[q] += np.bincount(np.concatenate(parts), minlength=n).astype(counts.dtype)
+                found = counts[q] >= need
+                found[own[q]] = False
+                score = np.where(found, exact[q], -np.inf)
+                total = int(found.sum())
+                done = total >= n - len(own[q])
+                if not done and total >= k:
+                    kth = -np.partition(-score, k - 1)[k - 1]
+                    done = np.sqrt(max(far[q] - 2 * kth, 0)) <= slack * radius
+                if not done:
+                    still.append(i)
+                elif total > k:
+                    out[q] = np.flatnonzero(score >= -np.partition(-score, k - 1)[k - 1])
+                else:
+                    out[q] = np.flatnonzero(found)
+            open_, lo, hi = open_[still], new_lo[still], new_hi[still]
             radius *= widen
+        return out
 
 
 def usable(vector: Column, dim: int) -> Column:
@@ -85,11 +100,11 @@ def nearest(
     table: DataFrame,
     is_query: Column,
     k: int = 20,
-    projections: int = 48,
-    share: float = 0.7,
-    widen: float = 1.25,
-    slack: float = 0.65,
-    width: float = 1.8,
+    projections: int = 16,
+    share: float = 0.25,
+    widen: float = 1.2,
+    slack: float = 1.0,
+    width: float = 1.3,
     query_block: int = 20_000,
     seed: int = 11,
     id_col: str = "vec_id",
@@ -124,16 +139,20 @@ def nearest(
                 index = BlockIndex(data, lines, top)
                 by_id = np.argsort(vec_ids, kind="stable")
                 own_lo, own_hi = (np.searchsorted(vec_ids[by_id], qids, side) for side in ("left", "right"))
-                # the first radius: the typical distance of the nearest rows to a few queries
-                probe = queries[:: max(1, len(queries) // 16)][:16]
-                d2 = (probe**2).sum(1)[:, None] + top**2 - 2 * probe @ data[:: max(1, len(data) // 2000)].T
-                radius = max(float(np.sqrt(np.maximum(d2.min(axis=1), 0)).mean()) / 4, 1e-9 * max(top, 1e-300))
+                # the first radius: about the distance of a query's k-th neighbour, seen on a sample
+                probe, some = queries[:: max(1, len(queries) // 64)][:64], data[:: max(1, len(data) // 4000)]
+                d2 = (probe**2).sum(1)[:, None] + top**2 - 2 * probe @ some.T
+                place = min(1 + k * len(some) // len(data), len(some) - 1)
+                radius = max(float(np.sqrt(np.maximum(np.partition(d2, place, axis=1)[:, place], 0)).mean()), 1e-9 * max(top, 1e-300))
                 out: list[tuple[np.ndarray, ...]] = []
-                for i, q in enumerate(qids.tolist()):
-                    hits = index.search(queries[i], at[i], k, by_id[own_lo[i] : own_hi[i]], share, radius, widen, slack, width)
-                    score = data[hits] @ queries[i]
-                    best = np.lexsort((vec_ids[hits], -score))[:k]
-                    out.append((np.full(len(best), q), vec_ids[hits][best], score[best]))
+                for a in range(0, len(qids), QUERIES_AT_ONCE):
+                    part = slice(a, a + QUERIES_AT_ONCE)
+                    own = [by_id[x:y] for x, y in zip(own_lo[part], own_hi[part], strict=True)]
+                    found = index.search(queries[part], at[part], own, k, share, radius, widen, slack, width)
+                    for q, vector, hits in zip(qids[part].tolist(), queries[part], found, strict=True):
+                        score = data[hits] @ vector
+                        best = np.lexsort((vec_ids[hits], -score))[:k]
+                        out.append((np.full(len(best), q), vec_ids[hits][best], score[best]))
                 return pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score"])
 
             held_ids, held = [], []
