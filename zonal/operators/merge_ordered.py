@@ -44,7 +44,8 @@ def selected(raster: RasterLayer, runs: DataFrame, strategy: str) -> DataFrame:
         return selection.pairs(raster, runs, strategy)
     if raster.meta.order == "row":
         return selection.range_join(raster, runs, strategy)
-    turned = RasterLayer(raster.df.withColumnsRenamed({"x": "y", "y": "x"}), R.transposed(raster.meta))
+    rest = [c for c in raster.df.columns if c not in ("x", "y")]
+    turned = RasterLayer(raster.df.select(F.col("y").alias("x"), F.col("x").alias("y"), *rest), R.transposed(raster.meta))
     return selection.range_join(turned, runs, strategy)
 
 

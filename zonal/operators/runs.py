@@ -16,8 +16,13 @@ from .zones import ZoneLayer, edges
 HALF = SNAP // 2
 
 
-def edge_crossings(edge: DataFrame, meta: GridMeta, clip_rows: bool = True) -> DataFrame:
-    """zone columns, y, x: x is the first pixel whose centre is at or right of the crossing."""
+def edge_crossings(edge: DataFrame, meta: GridMeta, clip_rows: bool = True, turned: bool = False) -> DataFrame:
+    """zone columns, y, x: x is the first pixel whose centre is at or right of the crossing.
+
+    A centre on an edge counts as moved right by a little, and up by much less. ``turned``
+    edges have x and y exchanged: there the move lies along the edge's own scan line, so a
+    centre on a rising edge is before it, on any other edge behind it.
+    """
     lo, hi = ceil_div(F.col("ya") - HALF, SNAP), ceil_div(F.col("yb") - HALF, SNAP)
     if clip_rows:
         lo, hi = F.greatest(lo, long(0)), F.least(hi, long(meta.rows))
@@ -26,7 +31,10 @@ def edge_crossings(edge: DataFrame, meta: GridMeta, clip_rows: bool = True) -> D
     rows = spans.withColumn("y", F.explode(F.sequence(F.col("__lo"), F.col("__hi") - 1)))
     d = F.col("yb") - F.col("ya")
     n = F.col("xa") * d + (F.col("y") * SNAP + HALF - F.col("ya")) * (F.col("xb") - F.col("xa"))
-    return rows.select(*keep, "y", ceil_div(n - d * HALF, d * SNAP).alias("x"))
+    x = ceil_div(n - d * HALF, d * SNAP)
+    if turned:
+        x = F.when(F.col("xb") > F.col("xa"), floor_div(n - d * HALF, d * SNAP) + 1).otherwise(x)
+    return rows.select(*keep, "y", x.alias("x"))
 
 
 def merge_order(crossings: DataFrame, meta: GridMeta) -> DataFrame:
@@ -60,7 +68,7 @@ def zone_runs(layer: ZoneLayer | DataFrame, meta: GridMeta, keep: tuple[str, ...
     if meta.order == "row":
         return pair(edge_crossings(e, meta), meta)
     turned = turn(layer, keep)
-    return pair(edge_crossings(turned, transposed(meta)), transposed(meta))
+    return pair(edge_crossings(turned, transposed(meta), turned=True), transposed(meta))
 
 
 def transposed(meta: GridMeta) -> GridMeta:
