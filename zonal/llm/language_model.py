@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 from .common import shared_path, text_or_empty
 
 U = np.uint64
-PIECE, FLUSH_TOKENS, SCORE_TOKENS = 1 << 20, 4_000_000, 1_000_000
+PIECE, FLUSH_TOKENS, SCORE_TOKENS = 1 << 18, 2_000_000, 400_000
 #: Documents looked at for frequent contexts, and the share of n-grams that makes one so.
 HOT_SAMPLE, HOT_SHARE = 2000, 0.002
 _BYTES = np.random.default_rng(20240229).integers(1, 1 << 63, 256, dtype=U) * U(2) + U(1)
@@ -309,8 +309,9 @@ def _counted(order: int, buckets: int, hot: list[np.ndarray]):
         held, n = [], 0
 
         def flush() -> pa.RecordBatch:
-            words, counts = squash(np.concatenate(held, axis=1), [np.ones(n, np.int64)])
-            return blocks(words, counts, buckets, hot[order])
+            joined = np.concatenate(held, axis=1)
+            held.clear()
+            return blocks(*squash(joined, [np.ones(n, np.int64)]), buckets, hot[order])
 
         tail = np.full(order - 1, END)
         for batch in batches:
@@ -320,7 +321,7 @@ def _counted(order: int, buckets: int, hot: list[np.ndarray]):
                 n += len(tokens)
                 if n >= FLUSH_TOKENS:
                     yield flush()
-                    held, n = [], 0
+                    n = 0
         if n:
             yield flush()
 
