@@ -17,6 +17,7 @@ from .operators import selection, store, zones
 from .operators.baselines import overlapped_tiles
 from .operators.zones import ChunkSpec
 from .plans import planner
+from .plans import sql as surface
 from .sources.layers import layers, raster, table, zone_layer
 from .workloads import register, tiled
 
@@ -330,3 +331,34 @@ def rel_sampled_footer(spark, d):
     keys = [x[0] for x in foot.select("chunk_id").distinct().collect()]
     return foot.sampleBy("chunk_id", {k: 0.5 for k in keys}, 3).select("chunk_id", "tile_id", "n_runs")
 
+
+
+@register("rel_sql_surface", f"with zs as ({ZS}) select zone_id, cnt, sum_v, -180 + cast(cnt + cast(0.5 as double) as double) * cast(0.25 as double) as lon from zs where cnt > 0")
+def rel_sql_surface(spark, d):
+    """The method as plain SQL over views and SQL functions."""
+    r, z = layers(spark, d, "ZN", "RO")
+    surface.register_views(spark, r, z, "zv")
+    return spark.sql(
+        "select zone_id, count(*) as cnt, sum(v) as sum_v, zonal_lon(count(*)) as lon from zv_raster p join zv_runs r "
+        "on r.tile_id = zonal_tile_id(p.x, p.y) and r.y = p.y and p.x >= r.x0 and p.x < r.x1 group by zone_id"
+    )
+
+
+@register("rel_table_function", f"with {O.pairs('ZN', 'RO')} select zone_id, x, y, v from pair")
+def rel_table_function(spark, d):
+    """Pixels of runs by a Python table function, laterally joined."""
+    r, z = layers(spark, d, "ZN", "RO")
+    surface.register_table_functions(spark)
+    runs = mo.intersect(z, r.meta, ChunkSpec("none")).select("zone_id", "tile_id", "y", "x0", "x1")
+    s = grid.strips(tiled(r)).select(F.col("tile_id").alias("t"), F.col("y").alias("sy"), "x_off", "values")
+    met = runs.join(s, (F.col("t") == F.col("tile_id")) & (F.col("sy") == F.col("y")))
+    met = met.select("zone_id", "y", "x0", "x1", F.slice("values", (F.col("x0") - F.col("x_off") + 1).cast("int"), (F.col("x1") - F.col("x0")).cast("int")).alias("vs"))
+    met.createOrReplaceTempView("zv_slices")
+    return spark.sql("select s.zone_id, f.x, f.y, f.v from zv_slices s, lateral zonal_run_pixels(s.y, s.x0, s.x1, s.vs) f")
+
+
+@register("rel_pandas_udaf", f"with {O.pairs('ZN', 'RC')} select zone_id, round(sum(cast(v as double) * v) / count(*), 6) as mean_square from pair group by zone_id")
+def rel_pandas_udaf(spark, d):
+    r, z = layers(spark, d, "ZN", "RC")
+    got = surface.grouped_udaf(planner.zone_pairs(r, z), lambda v: (v * v).mean(), "mean_square")
+    return got.withColumn("mean_square", F.round("mean_square", 6))
