@@ -10,8 +10,10 @@ with a smaller id. Three written passes lead from all texts to the few that need
    hash occurs in one document only holds no repeat. Tasks send the runs' hashes to buckets
    and hear which of them other documents have.
 3. Those runs' bytes go to their hash's bucket. Equal runs merge into one with the smallest
-   id. Where runs of one hash differ, their suffixes are sorted, neighbours of at least
-   ``length`` equal bytes form groups, and each group's smallest id decides over its windows.
+   id. Where runs of one hash differ, the stretches of them whose windows may occur in
+   another are kept and merged likewise; the suffixes of those that still differ are sorted,
+   neighbours of at least ``length`` equal bytes form groups, and each group's smallest id
+   decides over its windows.
 
 Suffixes are sorted by linear grouping: suffixes fall into groups by first byte; from the
 largest group down, each group's Lyndon prefix extends the groups of the positions before it,
@@ -175,11 +177,74 @@ def window_groups(strings: list[bytes], owner: np.ndarray, length: int) -> list[
     return [by_place[s : s + n - length + 1] for s, n in zip(starts.tolist(), sizes.tolist(), strict=True)]
 
 
+def shared_windows(strings: list[bytes], owner: np.ndarray, family: np.ndarray, length: int) -> list[np.ndarray | None]:
+    """For every string the smallest owner of each of its windows; None where that is its own.
+
+    Only strings of one family (neighbours in the list) can share windows. A window whose
+    hash occurs once is shared with nobody; what is left are stretches of the strings, equal
+    ones merge, and families with several different stretches are suffix-sorted.
+    """
+    out: list[np.ndarray | None] = [None] * len(strings)
+    if not strings:
+        return out
+    sizes = np.array([len(s) for s in strings])
+    begins = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    h = gram_hashes(np.frombuffer(b"".join(strings), np.uint8), length)
+    which = np.repeat(np.arange(len(strings)), sizes)[: len(h)]
+    inside = np.arange(len(h)) + length <= (begins + sizes)[which]
+    place, which = np.flatnonzero(inside), which[inside]
+    h = h[place] ^ (family[which] * _MUL)
+    order = np.argsort(h)
+    same = h[order][1:] == h[order][:-1]
+    often = np.zeros(len(h), bool)
+    often[order[1:][same]] = True
+    often[order[:-1][same]] = True
+    place, which = place[often], which[often]
+    if not len(place):
+        return out
+    cut = np.flatnonzero(np.concatenate([[True], (place[1:] != place[:-1] + 1) | (which[1:] != which[:-1]), [True]]))
+    number: dict[tuple[int, bytes], int] = {}
+    least: list[int] = []
+    stretches = []
+    for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
+        k = int(which[a])
+        at, n = int(place[a] - begins[k]), b - a
+        key = (int(family[k]), strings[k][at : at + n + length - 1])
+        i = number.setdefault(key, len(least))
+        if i == len(least):
+            least.append(int(owner[k]))
+        else:
+            least[i] = min(least[i], int(owner[k]))
+        stretches.append((k, at, n, i))
+    least_of = np.array(least)
+    families: dict[int, list[int]] = {}
+    for i, (f, _) in enumerate(number):
+        families.setdefault(f, []).append(i)
+    pieces = [piece for _, piece in number]
+    windows: dict[int, np.ndarray] = {}
+    batch: list[int] = []
+    size = 0
+    for group in [*families.values(), []]:
+        if size >= SORT_BYTES or (not group and batch):
+            windows |= zip(batch, window_groups([pieces[i] for i in batch], least_of[batch], length), strict=True)
+            batch, size = [], 0
+        if len(group) > 1:
+            batch += group
+            size += sum(len(pieces[i]) for i in group)
+    for k, at, n, i in stretches:
+        found = windows[i] if i in windows else np.full(n, least_of[i])
+        if (found < owner[k]).any():
+            if out[k] is None:
+                out[k] = np.full(len(strings[k]) - length + 1, owner[k])
+            out[k][at : at + n] = found
+    return out
+
+
 # ---- runs of windows with one smallest hash ------------------------------------------------
 
 
-def least_hashes(x: np.ndarray, length: int, gram: int = GRAM) -> np.ndarray:
-    """For each window of ``length`` bytes the smallest hash of its grams (48 bits)."""
+def gram_hashes(x: np.ndarray, gram: int) -> np.ndarray:
+    """A 48-bit hash of the ``gram`` bytes from each place on."""
     h, span, power = _CODES[x], 1, int(_MUL)
     done, at, whole = None, 0, gram
     while True:  # doubling: hashes of 1, 2, 4, ... bytes make up any length
@@ -197,7 +262,12 @@ def least_hashes(x: np.ndarray, length: int, gram: int = GRAM) -> np.ndarray:
     v = done
     v = (v ^ (v >> U(31))) * U(0x7FB5D329728EA185)
     v = (v ^ (v >> U(27))) * U(0x81DADEF4BC2DD44D)
-    v = v >> U(16)
+    return v >> U(16)
+
+
+def least_hashes(x: np.ndarray, length: int, gram: int = GRAM) -> np.ndarray:
+    """For each window of ``length`` bytes the smallest hash of its grams."""
+    v = gram_hashes(x, gram)
     wide, span = length - gram + 1, 1
     while span * 2 <= wide:
         v = np.minimum(v[:-span], v[span:])
@@ -427,24 +497,9 @@ def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
             for k, (h, _) in enumerate(number):
                 by_hash.setdefault(h, []).append(k)
             del number
-            decided: dict[int, np.ndarray] = {}
-            batch: list[int] = []
-
-            def settle(batch: list[int]) -> None:
-                for k, w in zip(batch, window_groups([strings[k] for k in batch], owner[batch], length), strict=True):
-                    if not (w == owner[k]).all():
-                        decided[k] = w
-
-            size = 0
-            for group in by_hash.values():
-                if len(group) > 1:
-                    batch += group
-                    size += sum(len(strings[k]) for k in group)
-                    if size >= SORT_BYTES:
-                        settle(batch)
-                        batch, size = [], 0
-            if batch:
-                settle(batch)
+            mixed = [k for group in by_hash.values() if len(group) > 1 for k in group]
+            decided = shared_windows([strings[k] for k in mixed], owner[mixed], np.array([h for h, group in by_hash.items() if len(group) > 1 for _ in group], U), length)
+            decided = {k: w for k, w in zip(mixed, decided, strict=True) if w is not None}
             for pid, ids, at, n, which in seen:
                 plain = (owner[which] < ids)
                 special = np.array([k in decided for k in which.tolist()], bool)
