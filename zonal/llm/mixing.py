@@ -97,4 +97,4 @@ def emit(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id") -> DataFrame
     Ids that occur more than once in ``docs`` take the largest of their copies each.
     """
     copies = mixed.groupBy(F.col("doc_id").alias("__id")).agg(F.max("copies").alias("__copies")).where("__copies > 0")
-    return docs.join(copies, F.col(id_col) == F.col("__id")).withColumn("__k", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int")))).drop("__id", "__copies", "__k")
+    return docs.join(copies, F.col(id_col).eqNullSafe(F.col("__id"))).withColumn("__k", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int")))).drop("__id", "__copies", "__k")
