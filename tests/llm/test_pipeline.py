@@ -71,3 +71,16 @@ def test_stages_on_their_inputs(spark):
 def test_run_applies_all_stages(spark):
     got = corpus_pipeline.run(spark, SF)
     assert got.count() > 0 and "sequence_id" in got.columns
+
+
+def test_stages_on_odd_rows(spark):
+    from test_operators import ODD, odd_docs
+
+    for name, stage in corpus_pipeline.STAGES:
+        for docs in (odd_docs(spark), odd_docs(spark, [])):
+            out = stage(spark, docs, SF)
+            n = out.count()
+            assert name == "packing" or out.columns == docs.columns
+            assert n > 0 or docs.isEmpty()
+            if name == "line_dedup":
+                assert n == (0 if docs.isEmpty() else len(ODD))
