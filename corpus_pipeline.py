@@ -1,4 +1,4 @@
-"""A training-data pipeline over ``documents``: five stages, each an operator of zonal.llm.
+"""A training-data pipeline over ``documents``: six stages, each an operator of zonal.llm.
 
 Every stage takes (spark, docs, sf_dir) and works on all rows of ``docs``; its result is
 written as Parquet and read again as the next stage's docs. All but the last return the
@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zonal.llm import line_dedup, mixing, packing, quality, simhash
+from zonal.llm import line_dedup, mixing, packing, quality, similar, simhash
 from zonal.llm.common import documents, materialize
 from zonal.llm.queries import LINE_PAGES, LINE_RATIO
 from zonal.workers import let_workers_import
@@ -37,6 +37,14 @@ def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
     return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti").select(*docs.columns)
 
 
+def similar_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Near copies that fingerprints miss: of texts alike to 0.8 in five-word shingles the smallest id stays."""
+    let_workers_import(spark)
+    found = similar.similar_groups(docs)
+    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone"))
+    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti").select(*docs.columns)
+
+
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sources come near their target weights; documents appear as often as they are taken."""
     return mixing.emit(docs, mixing.mix(docs)).select(*docs.columns)
@@ -52,6 +60,7 @@ STAGES = [
     ("quality_classifier", quality_classifier),
     ("line_dedup", line_dedup_by_source),
     ("simhash_near_dedup", simhash_near_dedup),
+    ("similar_near_dedup", similar_near_dedup),
     ("mix_sources", mix_sources),
     ("packing", pack_sequences),
 ]

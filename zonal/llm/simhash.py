@@ -42,20 +42,27 @@ HOT = 64
 BITS = 64
 
 
-def fingerprint(text: bytes, k: int = 3) -> int:
-    """Fingerprint of one text as an unsigned number."""
+def shingle_hashes(words: list[bytes], k: int) -> np.ndarray:
+    """XXH64 values of all runs of ``k`` words; fewer words are one run."""
     import xxhash
 
-    words = text.lower().split()  # on bytes: ASCII letters, ASCII white space
-    if not words:
-        return 0
     h = xxhash.xxh64_intdigest
-    if len(words) <= k:
-        return h(b" ".join(words), 42)
     joined = b" ".join(words)
+    if len(words) <= k:
+        return np.array([h(joined, 42)] if words else [], dtype="<u8")
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
-    values = np.array([h(joined[s:e], 42) for s, e in zip(starts[: len(words) - k + 1].tolist(), ends[k - 1 :].tolist(), strict=True)], dtype="<u8")
+    return np.array([h(joined[s:e], 42) for s, e in zip(starts[: len(words) - k + 1].tolist(), ends[k - 1 :].tolist(), strict=True)], dtype="<u8")
+
+
+def fingerprint(text: bytes, k: int = 3) -> int:
+    """Fingerprint of one text as an unsigned number."""
+    words = text.lower().split()  # on bytes: ASCII letters, ASCII white space
+    if not words:
+        return 0
+    values = shingle_hashes(words, k)
+    if len(values) == 1:
+        return int(values[0])
     ones = np.zeros(BITS, np.int64)
     for i in range(0, len(values), 1 << 16):
         ones += np.unpackbits(values[i : i + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
