@@ -3,7 +3,8 @@
 Pages are grouped by host; for each (host, line) the pages that contain the line are divided
 by the host's pages, and lines above ``max_ratio`` are boilerplate and dropped. Lines are
 compared trimmed; empty lines always stay. So that a small host's only page isn't all
-boilerplate, a line must also occur on ``min_pages`` pages of its host.
+boilerplate, a line must also occur on ``min_pages`` pages of its host. Lines of fewer than
+``min_words`` words always stay.
 
 Plan: a page's distinct lines are aggregated partially before the exchange on (host, line),
 so a line of a huge host moves once per split, not once per page. What is boilerplate goes
@@ -21,16 +22,20 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import word_count
+
 
 def host_of(url: Column) -> Column:
     return F.lower(F.regexp_extract(F.coalesce(url.cast("string"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1))
 
 
-def boilerplate_lines(pages: DataFrame, max_ratio: float, min_pages: int) -> DataFrame:
+def boilerplate_lines(pages: DataFrame, max_ratio: float, min_pages: int, min_words: int = 0) -> DataFrame:
     """host, line, n_pages, host_pages of boilerplate; ``pages`` has host and lines."""
     totals = pages.groupBy("host").agg(F.count(F.lit(1)).alias("host_pages"))
     seen = pages.select("host", F.explode(F.array_distinct(F.transform("lines", F.trim))).alias("line")).where("line <> ''")
     counts = seen.groupBy("host", "line").agg(F.count(F.lit(1)).alias("n_pages")).where(F.col("n_pages") >= min_pages)
+    if min_words:
+        counts = counts.where(word_count(F.col("line")) >= min_words)
     return counts.join(totals, "host").where(F.col("n_pages") > F.col("host_pages") * F.lit(max_ratio))
 
 
@@ -42,11 +47,12 @@ def drop_boilerplate(
     max_ratio: float = 0.1,
     min_pages: int = 3,
     salts: int = 16,
+    min_words: int = 0,
 ) -> DataFrame:
     """All columns of ``pages`` with ``text_col`` cleaned, and __n_lines and __n_dropped."""
     work = pages.select(F.col(id_col).alias("__id"), host.alias("host"), F.split(F.col(text_col), "\n").alias("lines"))
     key = F.xxhash64("host", "line").alias("h")
-    bad = boilerplate_lines(work, max_ratio, min_pages).select(key, F.struct("host", "line").alias("bad"))
+    bad = boilerplate_lines(work, max_ratio, min_pages, min_words).select(key, F.struct("host", "line").alias("bad"))
     bad = bad.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     met = work.select("__id", "host", F.explode(F.array_distinct(F.transform("lines", F.trim))).alias("line")).where("line <> ''")
     met = met.select("__id", F.pmod(F.xxhash64("__id"), F.lit(salts)).cast("int").alias("salt"), key)
