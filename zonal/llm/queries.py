@@ -13,6 +13,9 @@ from .common import documents
 #: Boilerplate of a site: on more than this share of its pages, and on so many at least.
 LINE_RATIO, LINE_PAGES = 0.1, 3
 
+#: Words an n-gram of the language model has.
+LM_ORDER = 3
+
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = documents(spark, sf_dir, "pages").select("page_id", "url", "html")
@@ -140,7 +143,7 @@ def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    model = language_model.train(docs.where(~language_model.held_out(F.col("doc_id"))))
+    model = language_model.train(docs.where(~language_model.held_out(F.col("doc_id"))), LM_ORDER)
     return language_model.score(docs, model).withColumn("held_out", language_model.held_out(F.col("doc_id")))
 
 
