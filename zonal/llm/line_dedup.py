@@ -29,6 +29,21 @@ def host_of(url: Column) -> Column:
     return F.lower(F.regexp_extract(F.coalesce(url.cast("string"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1))
 
 
+#: What a page doesn't show, and the tags at which its text breaks into lines.
+HIDDEN = r"(?is)<!--.*?(?:-->|\z)|<(script|style|template|noscript)\b[^>]*>.*?(?:</\1\s*>|\z)"
+BLOCK = r"(?i)</?(?:address|article|aside|blockquote|body|br|caption|dd|div|dl|dt|fieldset|figcaption|figure|footer|form|h[1-6]|head|header|hr|html|legend|li|main|nav|ol|option|p|pre|section|select|table|tbody|td|tfoot|th|thead|title|tr|ul)\b[^>]*>"
+ENTITIES = {"&nbsp;": " ", "&lt;": "<", "&gt;": ">", "&quot;": '"', "&#39;": "'", "&amp;": "&"}
+
+
+def rendered(html: Column) -> Column:
+    """The text that a page shows, a line for every block; null stays null."""
+    text = F.regexp_replace(html, HIDDEN, "")
+    text = F.regexp_replace(F.regexp_replace(text, BLOCK, "\n"), r"</?[A-Za-z][^>]*>|<![^>]*>", "")
+    for name, char in ENTITIES.items():
+        text = F.replace(text, F.lit(name), F.lit(char))
+    return F.regexp_replace(F.regexp_replace(text, r"[ \t\r\f]*\n\s*", "\n"), r"^\s+|\s+\z", "")
+
+
 def boilerplate_lines(pages: DataFrame, max_ratio: float, min_pages: int, min_words: int = 0) -> DataFrame:
     """host, line, n_pages, host_pages of boilerplate; ``pages`` has host and lines."""
     totals = pages.groupBy("host").agg(F.count(F.lit(1)).alias("host_pages"))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import chat_format, exact_dedup, language_model, line_dedup, mixing, nearest, packing, quality, simhash, suffix_dedup
-from .common import documents
+from .common import documents, materialize
 
 #: Boilerplate of a site: on more than this share of its pages, and on so many at least.
 LINE_RATIO, LINE_PAGES = 0.1, 3
@@ -23,6 +23,14 @@ def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("page_id", F.col("__n_lines").alias("n_lines"), F.col("__n_dropped").alias("n_dropped"), F.col("html").alias("kept_text"))
 
 
+def op1_rendered_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages as they are shown, without the lines that repeat over their host."""
+    pages = documents(spark, sf_dir, "pages").select("page_id", "url", line_dedup.rendered(F.col("html")).alias("text"))
+    pages = materialize(pages, "rendered")  # read three times
+    out = line_dedup.drop_boilerplate(pages, line_dedup.host_of(F.col("url")), "page_id", "text", LINE_RATIO, LINE_PAGES)
+    return out.select("page_id", F.col("__n_lines").alias("n_lines"), F.col("__n_dropped").alias("n_dropped"), F.col("text").alias("kept_text"))
+
+
 OP1_SQL = f"""
 with p as (
   select page_id, html, lower(regexp_extract(coalesce(url, ''), '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) as host,
@@ -161,6 +169,7 @@ def op9_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
+    "op1_rendered_line_dedup": op1_rendered_line_dedup,
     "op2_quality_classifier": op2_quality_classifier,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
     "op4_language_model": op4_language_model,
