@@ -3,8 +3,9 @@
 Vectors are projected on ``projections`` random lines; a block of rows keeps, for each line,
 its projections as a sorted array. A query opens a window around its own projection on every
 line; virtual rehashing widens all windows by the factor ``widen`` a round, and a vector that
-lies in the windows of at least ``share`` of the lines is a candidate, whose exact measure is
-computed (for all candidates of some queries together). A query stops when its ``k``-th best
+lies in the windows of at least ``share`` of the lines is a candidate. The exact measure is
+computed for every row of the block and every query, in one product before any window opens;
+collision counting only decides which of these scores may count, and saves no products. A query stops when its ``k``-th best
 verified distance is at most ``slack`` times the radius that the windows stand for, or when
 every row of the block is a candidate. The first radius is the typical distance of a k-th
 neighbour on a sample of the block, so most queries need one or two rounds.
