@@ -11,8 +11,9 @@ step groups of equal token counts.
 All of it is local to an input split: no exchange, memory for one Arrow batch. Sequence ids
 carry the split's number, so a task run again after a lost executor writes the same ids.
 
-The ids are those of the byte-level BPE of ``byte_bpe_50k.json``; they are computed from
-the same vocabulary's rank file, several times faster, which a test holds against the JSON.
+The ids are those of the byte-level BPE of ``byte_bpe_50k.json``, its added token included;
+they are computed from the same vocabulary's rank file, several times faster, which a test
+holds against the JSON.
 
 Defined results: null text is empty; an empty document is its end id alone; repeated rows
 are packed each; an empty table has no sequences.
@@ -43,14 +44,17 @@ def encoder(name: str) -> Callable[[str], list[int]]:
     """text to ids; one encoder a worker process."""
     if name not in _ENCODERS:
         import base64
+        import json
 
         import public_tokenizers
         import tiktoken
 
-        with open(public_tokenizers.path(name), "rb") as f:
+        with open(public_tokenizers.path(f"{name}.tiktoken"), "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-        bpe = tiktoken.Encoding(name, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-        _ENCODERS[name] = bpe.encode_ordinary
+        with open(public_tokenizers.path(f"{name}.json"), encoding="utf-8") as f:
+            added = {t["content"]: t["id"] for t in json.load(f)["added_tokens"]}
+        bpe = tiktoken.Encoding(name, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=added)
+        _ENCODERS[name] = lambda text: bpe.encode(text, allowed_special="all")
     return _ENCODERS[name]
 
 
@@ -113,7 +117,7 @@ class Packer:
 
 def pack(
     docs: DataFrame,
-    vocabulary: str = "byte_bpe_50k.tiktoken",
+    vocabulary: str = "byte_bpe_50k",
     tiers: tuple[int, ...] = TIERS,
     end_id: int = END_ID,
     step_tokens: int = STEP_TOKENS,
