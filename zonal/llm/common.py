@@ -18,11 +18,15 @@ _LOCAL: dict[str, tempfile.TemporaryDirectory] = {}
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
 
-    Only where the session names none (unit tests in one JVM) a temporary folder stands in.
+    Only where the session names none and all of Spark is one JVM, as in tests, a temporary
+    folder stands in; elsewhere each executor would write to a disk of its own.
     """
     there = spark.conf.get("spark.checkpoint.dir", None)
     if there:
         return there.rstrip("/")
+    master = spark.sparkContext.master
+    if master.startswith("local-cluster") or not master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
     if "dir" not in _LOCAL:
         _LOCAL["dir"] = tempfile.TemporaryDirectory(prefix="zonal-shared-")
         atexit.register(_LOCAL["dir"].cleanup)
@@ -40,7 +44,53 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     """
     path = shared_path(df.sparkSession, tag)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._kept_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete the files of materialized tables that nothing reads any more."""
+    for table in tables:
+        path = table.__dict__.pop("_kept_at", None)
+        if path:
+            context = table.sparkSession.sparkContext
+            place = context._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(context._jsc.hadoopConfiguration()).delete(place, True)
+
+
+#: A key with more rows than the first number, and than the total by the second, is cut into pieces.
+HOT_ROWS, HOT_KEYS = 500, 2000
+
+
+def join_by_key(rows: DataFrame, table: DataFrame, keys: list[str], n_col: str, spread_by: list[str], how: str = "inner") -> DataFrame:
+    """``rows`` joined with ``table`` so that no key's rows meet in one task.
+
+    ``table`` is written, has one row a key and in ``n_col`` how many of ``rows`` have the key
+    (or more). Keys above the threshold are at most ``HOT_KEYS`` many, since the threshold
+    grows with the total: their list is broadcast, their rows are dealt over as many pieces as
+    they fill by a hash of ``spread_by``, and their table row is copied to each piece.
+    """
+    most, total = table.agg(F.max(n_col), F.sum(n_col)).first()
+    piece = max(HOT_ROWS, (total or 0) // HOT_KEYS)
+    if (most or 0) <= piece:
+        return rows.join(table, keys, how)
+    pieces = F.ceil(F.col(n_col) / F.lit(piece)).cast("int")
+    hot = table.where(F.col(n_col) > piece).select(*keys, pieces.alias("__pieces"))
+    dealt = rows.join(F.broadcast(hot), keys, "left")
+    dealt = dealt.withColumn("__piece", F.coalesce(F.pmod(F.xxhash64(*spread_by), F.col("__pieces")), F.lit(0)).cast("int")).drop("__pieces")
+    copied = table.withColumn("__piece", F.explode(F.sequence(F.lit(0), F.greatest(pieces, F.lit(1)) - 1)))
+    return dealt.join(copied, [*keys, "__piece"], how).drop("__piece")
+
+
+#: Bytes of text whose hashes or n-grams one task holds at a time.
+BUCKET_BYTES = 16 << 20
+
+
+def buckets_for(texts: DataFrame, text_col: str) -> int:
+    """Buckets for work on all texts, so that a bucket's share is bounded whatever their size."""
+    size = texts.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
+    return max(int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET_BYTES))
 
 
 def text_or_empty(name: str) -> Column:

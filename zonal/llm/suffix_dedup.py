@@ -7,8 +7,8 @@ with a smaller id. Three written passes lead from all texts to the few that need
    others are repeats as a whole.
 2. The smallest hash of the short grams inside a window of ``length`` bytes belongs to the
    window's content alone. Consecutive windows with one smallest hash form a run; a run whose
-   hash occurs in one document only holds no repeat. Tasks send the runs' hashes to buckets
-   and hear which of them other documents have.
+   hash occurs in one document only holds no repeat. Tasks send the runs' hashes to buckets,
+   once for some megabytes of text, and hear which of them several documents have.
 3. Those runs' bytes go to their hash's bucket. Equal runs merge into one with the smallest
    id. Where runs of one hash differ, the stretches of them whose windows may occur in
    another are kept and merged likewise; the suffixes of those that still differ are sorted,
@@ -40,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, shared_path, text_or_empty
+from .common import buckets_for, materialize, shared_path, text_or_empty
 
 U = np.uint64
 GRAM, PIECE, FLUSH = 18, 1 << 20, 12 << 20
@@ -358,17 +358,18 @@ def _by(values: np.ndarray, n: int) -> Iterator[tuple[int, np.ndarray]]:
         yield b, order[cuts[b] : cuts[b + 1]]
 
 
-def _texts_by_pid(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, list[bytes]]]:
-    """(pid, ids, texts) in portions of bounded size; the table has doc_id, text, pid."""
+def _texts_by_pid(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray, list[bytes]]]:
+    """(pid, numbers, ids, texts) in portions of bounded size; the table has doc_id, text, pid, num."""
     for batch in batches:
         if not batch.num_rows:
             continue
         pids = batch.column(2).to_numpy(zero_copy_only=False)
         ids, texts = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).cast(pa.binary())
+        nums = batch.column(3).to_numpy(zero_copy_only=False)
         sizes = np.cumsum(np.diff(np.frombuffer(texts.buffers()[1], np.int32)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64)))
         part = np.concatenate([[0], np.flatnonzero((pids[1:] != pids[:-1]) | (sizes[1:] // FLUSH != sizes[:-1] // FLUSH)) + 1, [len(pids)]])
         for a, b in zip(part[:-1].tolist(), part[1:].tolist(), strict=True):
-            yield int(pids[a]), ids[a:b], texts.slice(a, b - a).to_pylist()
+            yield int(pids[a]), nums[a:b], ids[a:b], texts.slice(a, b - a).to_pylist()
 
 
 class _Told:
@@ -396,45 +397,34 @@ class _Told:
 
 
 def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
-    """Path of a table (pid, payload: ids, starts, ends of removed stretches) for a written
-    table (doc_id, text, pid) of distinct texts."""
+    """Path of a table (pid, payload: numbers, starts, ends of removed stretches) for a written
+    table (doc_id, text, pid, num) of distinct texts; num tells texts apart, ids need not."""
     spark = texts.sparkSession
 
     def send_hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for pid, ids, bodies in _texts_by_pid(batches):
-            number, v = [], []
-            for who, _, _, h in runs_of(bodies, length):
-                number.append(who)
-                v.append(h)
-            if not v:
+        for pid, _, _, bodies in _texts_by_pid(batches):
+            pairs = [(who, v) for who, _, _, v in runs_of(bodies, length)]
+            if not pairs:
                 continue
-            number, v = np.concatenate(number).astype(np.uint32), np.concatenate(v)
-            order = np.lexsort((number, v))
-            number, v = number[order], v[order]
-            once = np.ones(len(v), bool)
-            once[1:] = (v[1:] != v[:-1]) | (number[1:] != number[:-1])
-            number, v = number[once], v[once]
-            yield _rows([(b, _pack(np.array([pid]), v[at], number[at], ids)) for b, at in _by((v % U(buckets)).astype(np.int64), buckets)], "bucket")
+            number, v = (np.concatenate(x) for x in zip(*pairs, strict=True))
+            # a hash once a portion, and whether several of its texts have it
+            by_text = np.unique(v ^ (number.astype(U) * _MUL), return_index=True)[1]
+            v, times = np.unique(v[by_text], return_counts=True)
+            yield _rows([(b, _pack(np.array([pid]), v[at], times[at] > 1)) for b, at in _by((v % U(buckets)).astype(np.int64), buckets)], "bucket")
 
     def find_shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, payloads in _grouped(batches):
-            pids, v, ids = [], [], []
-            for p in payloads:
-                pid, hashes, number, table = _unpack(p, "<i8", "<u8", "<u4", "<i8")
-                v.append(hashes)
-                ids.append(table[number])
-                pids.append(np.full(len(hashes), pid[0]))
-            pids, v, ids = np.concatenate(pids), np.concatenate(v), np.concatenate(ids)
+            got = [_unpack(p, "<i8", "<u8", "?") for p in payloads]
+            v, many = np.concatenate([x for _, x, _ in got]), np.concatenate([x for _, _, x in got])
+            pids = np.repeat([int(pid[0]) for pid, _, _ in got], [len(x) for _, x, _ in got])
             order = np.argsort(v, kind="stable")
             s = v[order]
             first = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
             n = np.diff(np.append(first, len(s)))
-            at = order[np.repeat(n > 1, n)]
-            if len(at):
-                pid = pids[at]
-                at, pid = at[o := np.lexsort((v[at], ids[at], pid))], pid[o]
-                cuts = np.flatnonzero(np.concatenate([[True], pid[1:] != pid[:-1], [True]]))
-                yield _rows([(int(pid[a]), _pack(ids[at[a:b]], v[at[a:b]])) for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)], "pid")
+            at = order[np.repeat((n > 1) | np.logical_or.reduceat(many[order], first), n)]
+            at = at[np.argsort(pids[at], kind="stable")]
+            cuts = np.flatnonzero(np.concatenate([[True], pids[at][1:] != pids[at][:-1], [True]])) if len(at) else []
+            yield _rows([(int(pids[at[a]]), _pack(v[at[a:b]])) for a, b in zip(cuts[:-1], cuts[1:], strict=True)], "pid")
 
     def passed(rows: DataFrame, to: str) -> str:
         path = shared_path(spark, to)
@@ -446,22 +436,16 @@ def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
     told_path = passed(shared.repartition("pid"), "suffix-shared")
 
     def send_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        told, known_pid, ids_told, v_told = _Told(told_path), None, None, None
-        for pid, ids, bodies in _texts_by_pid(batches):
+        told, known_pid, shared = _Told(told_path), None, np.empty(0, U)
+        for pid, nums, ids, bodies in _texts_by_pid(batches):
             if pid != known_pid:
-                got = [_unpack(p, "<i8", "<u8") for p in told.of(pid)]
                 known_pid = pid
-                if got:
-                    ids_told, v_told = (np.concatenate(x) for x in zip(*got, strict=True))
-                    pair = np.sort(v_told ^ (ids_told.view(U) * _MUL))
-                else:
-                    pair = np.empty(0, U)
-            if not len(pair):
+                shared = np.unique(np.concatenate([np.empty(0, U), *(_unpack(p, "<u8")[0] for p in told.of(pid))]))
+            if not len(shared):
                 continue
             found = []
             for who, at, n, v in runs_of(bodies, length):
-                key = v ^ (ids[who].view(U) * _MUL)
-                hit = pair[np.minimum(np.searchsorted(pair, key), len(pair) - 1)] == key
+                hit = shared[np.minimum(np.searchsorted(shared, v), len(shared) - 1)] == v
                 found.append((who[hit], at[hit], n[hit], v[hit]))
             if not found:
                 continue
@@ -469,7 +453,7 @@ def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
             rows = []
             for b, pick in _by((v % U(buckets)).astype(np.int64), buckets):
                 body = b"".join(bodies[w][a : a + k + length - 1] for w, a, k in zip(who[pick].tolist(), at[pick].tolist(), n[pick].tolist(), strict=True))
-                rows.append((b, _pack(np.array([pid]), v[pick], ids[who[pick]], at[pick].astype("<i8"), n[pick].astype("<i8"), body)))
+                rows.append((b, _pack(np.array([pid]), v[pick], nums[who[pick]], ids[who[pick]], at[pick].astype("<i8"), n[pick].astype("<i8"), body)))
             yield _rows(rows, "bucket")
 
     def decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -479,7 +463,7 @@ def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
             least: list[int] = []
             seen = []
             for p in payloads:
-                pid, v, ids, at, n, body = _unpack(p, "<i8", "<u8", "<i8", "<i8", "<i8", None)
+                pid, v, nums, ids, at, n, body = _unpack(p, "<i8", "<u8", "<i8", "<i8", "<i8", "<i8", None)
                 which, place = np.empty(len(v), np.int64), 0
                 for i, (h, d, size) in enumerate(zip(v.tolist(), ids.tolist(), (n + length - 1).tolist(), strict=True)):
                     key = (h, body[place : place + size])
@@ -490,7 +474,7 @@ def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
                     elif d < least[k]:
                         least[k] = d
                     which[i] = k
-                seen.append((int(pid[0]), ids, at, n, which))
+                seen.append((int(pid[0]), nums, ids, at, n, which))
             strings = [s for _, s in number]
             owner = np.array(least)
             by_hash: dict[int, list[int]] = {}
@@ -500,21 +484,21 @@ def removed_intervals(texts: DataFrame, length: int, buckets: int) -> str:
             mixed = [k for group in by_hash.values() if len(group) > 1 for k in group]
             decided = shared_windows([strings[k] for k in mixed], owner[mixed], np.array([h for h, group in by_hash.items() if len(group) > 1 for _ in group], U), length)
             decided = {k: w for k, w in zip(mixed, decided, strict=True) if w is not None}
-            for pid, ids, at, n, which in seen:
+            for pid, nums, ids, at, n, which in seen:
                 plain = (owner[which] < ids)
                 special = np.array([k in decided for k in which.tolist()], bool)
-                out_ids, starts, ends = [ids[plain & ~special]], [at[plain & ~special]], [(at + n)[plain & ~special] + length - 1]
+                out_nums, starts, ends = [nums[plain & ~special]], [at[plain & ~special]], [(at + n)[plain & ~special] + length - 1]
                 for i in np.flatnonzero(special).tolist():
                     gone = np.concatenate([[False], decided[int(which[i])] < ids[i], [False]])
                     edge = np.flatnonzero(gone[1:] != gone[:-1])
                     begin, end = edge[::2], edge[1::2]
-                    out_ids.append(np.full(len(begin), ids[i]))
+                    out_nums.append(np.full(len(begin), nums[i]))
                     starts.append(at[i] + begin)
                     ends.append(at[i] + end + length - 1)
-                out_ids, starts, ends = np.concatenate(out_ids), np.concatenate(starts), np.concatenate(ends)
-                if len(out_ids):
-                    o = np.lexsort((starts, out_ids))
-                    yield _rows([(pid, _pack(out_ids[o], starts[o].astype("<i8"), ends[o].astype("<i8")))], "pid")
+                out_nums, starts, ends = np.concatenate(out_nums), np.concatenate(starts), np.concatenate(ends)
+                if len(out_nums):
+                    o = np.lexsort((starts, out_nums))
+                    yield _rows([(pid, _pack(out_nums[o], starts[o].astype("<i8"), ends[o].astype("<i8")))], "pid")
 
     runs = texts.mapInArrow(send_runs, "bucket int, payload binary")
     gone = runs.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(decide, "pid int, payload binary")
@@ -537,29 +521,29 @@ def remove_repeats(docs: DataFrame, length: int = 50, id_col: str = "doc_id", te
     if length <= GRAM:
         raise ValueError(f"length must be above {GRAM}")
     spark = docs.sparkSession
-    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("text"))
     reps = rows.where(F.col("doc_id").isNotNull()).groupBy("text").agg(F.min("doc_id").alias("doc_id"))
-    texts = materialize(reps.select("doc_id", "text", F.spark_partition_id().alias("pid")), "suffix-texts")
+    texts = materialize(reps.select("doc_id", "text", F.spark_partition_id().alias("pid"), F.monotonically_increasing_id().alias("num")), "suffix-texts")
+    buckets = buckets_for(texts, "text")
     gone_path = removed_intervals(texts, length, buckets)
     schema = "doc_id bigint, sha string, n_removed bigint, n_spans bigint, kept_sha256 string" + (", kept binary, spans array<struct<start:bigint,`end`:bigint>>" if with_text else "")
     span = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        told, known, by_id = _Told(gone_path), None, {}
-        for pid, ids, bodies in _texts_by_pid(batches):
+        told, known, by_num = _Told(gone_path), None, {}
+        for pid, nums, ids, bodies in _texts_by_pid(batches):
             if pid != known:
-                known, by_id = pid, {}
+                known, by_num = pid, {}
                 got = [_unpack(p, "<i8", "<i8", "<i8") for p in told.of(pid)]
                 if got:
                     d, s, e = (np.concatenate(x) for x in zip(*got, strict=True))
                     o = np.lexsort((s, d))
                     d, s, e = d[o], s[o], e[o]
                     cuts = np.flatnonzero(np.concatenate([[True], d[1:] != d[:-1], [True]]))
-                    by_id = {int(d[a]): merged(s[a:b], e[a:b]) for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)}
+                    by_num = {int(d[a]): merged(s[a:b], e[a:b]) for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)}
             out = []
-            for i, body in zip(ids.tolist(), bodies, strict=True):
-                s, e = by_id.get(i, (np.empty(0, int), np.empty(0, int)))
+            for i, num, body in zip(ids.tolist(), nums.tolist(), bodies, strict=True):
+                s, e = by_num.get(num, (np.empty(0, int), np.empty(0, int)))
                 kept = b"".join(body[a:b] for a, b in zip([0, *e.tolist()], [*s.tolist(), len(body)], strict=True))
                 row = (i, hashlib.sha256(body).hexdigest(), len(body) - len(kept), len(s), hashlib.sha256(kept).hexdigest())
                 out.append((*row, kept, [{"start": a, "end": b} for a, b in zip(s.tolist(), e.tolist(), strict=True)]) if with_text else row)
