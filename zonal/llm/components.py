@@ -4,7 +4,8 @@ Every round points nodes at the smallest node they know of, first from the side
 neighbours, then of smaller ones; the number of rounds grows with the logarithm of a
 component's size. Tasks first replace their own links by a spanning forest, so groups whose
 links lie together cost no rounds. Rounds are written to the shared folder, never kept in
-executors only, and nothing but one changed/unchanged count reaches the driver.
+executors only; a round's tables are deleted when the next stands, a node with a great many
+links is dealt over many tasks, and nothing but a few counts reaches the driver.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import discard, join_by_key, materialize
 
 
 def forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -55,15 +56,18 @@ def connected_components(links: DataFrame) -> DataFrame:
     a, b = links.columns
     edges = links.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a <> b")
     edges = materialize(edges.mapInArrow(_local_forest, "a bigint, b bigint"), "links")
-    while True:
+    while not edges.isEmpty():
         both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).union(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        larger = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        down = materialize(larger, "links")  # each row: a node and a smaller one
-        least = down.groupBy("u").agg(F.min("v").alias("m"))
-        smaller = down.join(least, "u").select(F.col("v").alias("a"), F.col("m").alias("b")).where("a <> b")
-        after = materialize(least.select(F.col("u").alias("a"), F.col("m").alias("b")).union(smaller).distinct(), "links")
-        # a forest of depth one is done: no root is a node of another tree
-        if after.join(after.select(F.col("a").alias("c")), F.col("b") == F.col("c"), "left_semi").isEmpty() and after.groupBy("a").count().where("count > 1").isEmpty():
-            return after.select(F.col("a").alias("node"), F.col("b").alias("root"))
+        least = materialize(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count(F.lit(1)).alias("n")), "links-least")
+        larger = join_by_key(both.where("v > u"), least, ["u"], "n", ["v"]).select(F.col("v").alias("u"), F.col("m").alias("v"))
+        down = materialize(larger.where("u <> v").distinct(), "links")  # each row: a node and a smaller one
+        below = materialize(down.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "links-least")
+        smaller = join_by_key(down, below, ["u"], "n", ["v"]).select(F.col("v").alias("a"), F.col("m").alias("b")).where("a <> b")
+        after = materialize(below.select(F.col("u").alias("a"), F.col("m").alias("b")).union(smaller).distinct(), "links")
+        discard(edges, least, down, below)
         edges = after
+        # a forest of depth one is done: no root is a node of another tree
+        roots = after.select(F.col("b").alias("a")).distinct()
+        if roots.join(after, "a", "left_semi").isEmpty() and after.groupBy("a").count().where("count > 1").isEmpty():
+            break
+    return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))

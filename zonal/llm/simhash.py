@@ -9,12 +9,14 @@ tau apart agree up to t_i bits in some partition i. Fingerprints are indexed und
 partition values, probe those within their thresholds, and meet in sorted buckets, where the
 exact distance is verified.
 
-Counts come from a sketch of up to 2^20 bins a partition, filled over all fingerprints. It never
-counts too low, so a bucket that it calls small is small. Fingerprints that touch a bucket
-that may be hot are linked in another exact way: each is written under itself and its 64
-neighbours at one bit. Two are at most 2 apart exactly if they share such a centre, and a
-centre has 65 fingerprints around it at most, all linked to each other; so no group of
-copies, however large, makes a large bucket or pairs by its square.
+Estimates come from a sketch of fixed size, filled over all fingerprints; it steers cost only.
+How many partitions there are follows from the number of fingerprints: the most whose values
+still tell fingerprints apart. The rows of every bucket are then counted, exactly, and the
+fingerprints of buckets that are hot all the same (groups of copies) are linked in another
+exact way: each is written under itself and its 64 neighbours at one bit. Two are at most 2
+apart exactly if they share such a centre, and a centre has 65 fingerprints around it at
+most, all linked to each other; so no group of copies, however large, makes a large bucket
+or pairs by its square.
 
 Defined results: null text is empty; a text without words has fingerprint zero and links
 like any other; fewer words than a shingle: the sequence is the shingle; rows with equal
@@ -32,12 +34,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, text_or_empty
+from .common import discard, join_by_key, materialize, text_or_empty
 from .components import connected_components
 
 SAMPLE = 20_000
-#: Bins of the sketch in each partition: four a fingerprint, within these powers of two.
-BIN_BITS = (16, 20)
+#: Bins of the sketch in each partition, a power of two.
+BINS = 1 << 16
+#: Rows of a bucket that are still compared with each other.
 HOT = 64
 BITS = 64
 
@@ -149,51 +152,59 @@ def allocate(counts: list[np.ndarray], total: int) -> np.ndarray:
     return out
 
 
+def partitions_for(n: int, hot: int = HOT) -> int:
+    """The most partitions, up to three, whose values hold few of ``n`` fingerprints each."""
+    return next((m for m in (3, 2) if 8 * n <= max(hot, 8) << (BITS // m)), 1)
+
+
 class Scheme:
     """Partitions and the sketch of candidate counts; small and of fixed size."""
 
-    def __init__(self, parts: list[list[int]], sketch: np.ndarray, tau: int, hot: int = HOT):
-        self.parts, self.sketch, self.tau, self.hot = parts, sketch, tau, hot
+    def __init__(self, parts: list[list[int]], sketch: np.ndarray, tau: int):
+        self.parts, self.sketch, self.tau = parts, sketch, tau
+        self.mean = sketch.sum(axis=1) / sketch.shape[1]
 
     def near(self, i: int, keys: np.ndarray, t: int) -> Iterator[np.ndarray]:
         """Keys at exactly ``t`` bits from ``keys`` within partition ``i``."""
         for flip in combinations(range(len(self.parts[i])), t):
             yield keys ^ np.uint64(sum(1 << j for j in flip))
 
+    def estimate(self, i: int, keys: np.ndarray) -> np.ndarray:
+        """Fingerprints expected under each key: what its bin has above the mean, and a share of all."""
+        above = np.maximum(self.sketch[i][key_bin(keys, self.sketch.shape[1])] - self.mean[i], 0)
+        return above + self.sketch[i].sum() / 2.0 ** len(self.parts[i]) + 1
+
     def rows(self, fp: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(part, key, role, fp): role 1 indexed, 2 probing, 3 both; part -1: around a centre."""
+        """(part, key, role, fp): role 1 indexed, 2 probing, 3 both."""
         m, keys = len(self.parts), part_keys(fp, self.parts)
-        bins = self.sketch.shape[1]
         most = max(1, -(-(self.tau - m + 1) // m)) + 1  # thresholds -1 .. most - 1 are tried
         costs = []
         for i in range(m):
             c = np.zeros((len(fp), most + 1))
             for t in range(most):
-                found = sum((self.sketch[i][key_bin(k, bins)] + 1.0 for k in self.near(i, keys[i], t)), np.zeros(len(fp)))
-                c[:, t + 1] = c[:, t] + found
+                c[:, t + 1] = c[:, t] + sum((self.estimate(i, k) for k in self.near(i, keys[i], t)), np.zeros(len(fp)))
             costs.append(c)
         chosen = allocate(costs, self.tau - m + 1)
-        out, hot = [], np.zeros(len(fp), bool)
+        out, every = [], np.arange(len(fp))
 
         def put(i: int, k: np.ndarray, role: np.ndarray, who: np.ndarray) -> None:
-            heavy = self.sketch[i][key_bin(k, bins)] > self.hot
-            hot[who[heavy]] = True
-            k, role, who = k[~heavy], role[~heavy], who[~heavy]
             out.append((np.full(len(k), i, np.int32), k.view(np.int64), role.astype(np.int32), fp[who].view(np.int64)))
 
-        every = np.arange(len(fp))
         for i in range(m):
             put(i, keys[i], np.where(chosen[:, i] >= 0, 3, 1), every)
             for t in range(1, most):
                 who = every[chosen[:, i] >= t]
                 for k in self.near(i, keys[i][who], t) if len(who) else ():
                     put(i, k, np.full(len(who), 2), who)
-        around = fp[hot]
-        for z in [around, *(around ^ np.uint64(1 << b) for b in range(BITS))] if len(around) else []:
-            out.append((np.full(len(z), -1, np.int32), z.view(np.int64), np.full(len(z), 3, np.int32), around.view(np.int64)))
         return tuple(np.concatenate(c) for c in zip(*out, strict=True))
 
 
+def around(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Rows as of ``Scheme.rows`` that put fingerprints under their centres, as part -1."""
+    z = np.concatenate([fp, *(fp ^ np.uint64(1 << b) for b in range(BITS))])
+    return np.full(len(z), -1, np.int32), z.view(np.int64), np.full(len(z), 3, np.int32), np.tile(fp, BITS + 1).view(np.int64)
+
+
 def popcount(x: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x)
 
@@ -223,16 +234,16 @@ def verify(part: np.ndarray, key: np.ndarray, role: np.ndarray, fp: np.ndarray,
     return a[keep], b[keep]
 
 
-def near_links(reps: DataFrame, tau: int = 2, parts: int = 3, hot: int = HOT) -> DataFrame:
+def near_links(reps: DataFrame, tau: int = 2, parts: int | None = None, hot: int = HOT, bins: int = BINS) -> DataFrame:
     """(a, b): links that join all distinct fingerprints at most ``tau`` bits apart, and no others.
 
-    Where a third fingerprint joins two, their own link may be left out.
+    Where a third fingerprint joins two, their own link may be left out. ``parts`` follows the
+    number of fingerprints unless given.
     """
     if tau > 2:
         raise ValueError("hot buckets are exact for up to 2 bits")
     sample = np.array([r[0] for r in reps.select("fp").orderBy(F.xxhash64("fp")).limit(SAMPLE).collect()], dtype=np.int64).view(np.uint64)
-    grouped = group_bits(sample, parts)
-    bins = 1 << min(max((4 * reps.count()).bit_length(), BIN_BITS[0]), BIN_BITS[1])
+    grouped = group_bits(sample, parts or partitions_for(reps.count(), hot))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums = np.zeros((len(grouped), bins), np.int64)
@@ -241,19 +252,23 @@ def near_links(reps: DataFrame, tau: int = 2, parts: int = 3, hot: int = HOT) ->
             for i in range(len(grouped)):
                 sums[i] += np.bincount(key_bin(keys[i], bins), minlength=bins)
         at = np.flatnonzero(sums)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(sums.reshape(-1)[at])], ["bin", "n"])
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(sums.reshape(-1)[at])], ["bin", "n"])
 
-    filled = reps.select("fp").mapInArrow(count, "bin bigint, n bigint").groupBy("bin").agg(F.sum("n").alias("n")).toArrow()
+    filled = reps.select("fp").mapInArrow(count, "bin int, n bigint").groupBy("bin").agg(F.sum("n").alias("n")).toArrow()
     sketch = np.zeros(len(grouped) * bins, np.int64)
     sketch[filled.column("bin").to_numpy()] = filled.column("n").to_numpy()
-    scheme = reps.sparkSession.sparkContext.broadcast(Scheme(grouped, sketch.reshape(len(grouped), bins), tau, hot))
+    scheme = reps.sparkSession.sparkContext.broadcast(Scheme(grouped, sketch.reshape(len(grouped), bins), tau))
     kinds = ["part", "key", "role", "fp"]
+    ddl = "part int, key bigint, role int, fp bigint"
 
-    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            fp = b.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
-            if len(fp):
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in scheme.value.rows(fp)], kinds)
+    def written(make):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                fp = b.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
+                if len(fp):
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in make(fp)], kinds)
+
+        return run
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [np.empty(0, t) for t in (np.int32, np.int64, np.int32, np.int64)]
@@ -269,18 +284,31 @@ def near_links(reps: DataFrame, tau: int = 2, parts: int = 3, hot: int = HOT) ->
         x, y = verify(*held, tau)
         yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y)], ["a", "b"])
 
-    rows = reps.select("fp").mapInArrow(emit, "part int, key bigint, role int, fp bigint")
+    rows = materialize(reps.select("fp").mapInArrow(written(lambda fp: scheme.value.rows(fp)), ddl), "simhash-rows")
+    crowded = materialize(rows.groupBy("part", "key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot), "simhash-hot")
+    if not crowded.isEmpty():
+        marked = join_by_key(rows, crowded, ["part", "key"], "n", ["fp"], "left")
+        stars = marked.where("n is not null").select("fp").distinct().mapInArrow(written(around), ddl)
+        rows = marked.where("n is null").select(*kinds).unionByName(stars)
     return rows.repartition("part", "key").sortWithinPartitions("part", "key", "fp").mapInArrow(meet, "a bigint, b bigint")
 
 
-def near_duplicates(docs: DataFrame, tau: int = 2, k: int = 3, parts: int = 3, hot: int = HOT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, tau: int = 2, k: int = 3, parts: int | None = None, hot: int = HOT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, fp, component_id (smallest doc_id reachable)."""
     fps = materialize(fingerprints(docs, k, id_col, text_col), "simhash")
-    reps = materialize(fps.groupBy("fp").agg(F.min("doc_id").alias("least")), "simhash-reps")
+    reps = materialize(fps.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "simhash-reps")
     roots = materialize(connected_components(near_links(reps, tau, parts, hot)), "simhash-roots")
+    by_fp = component_names(reps, "fp", roots)
+    discard(reps, roots)
+    return join_by_key(fps, by_fp, ["fp"], "n", ["doc_id"]).select("doc_id", "fp", "component_id")
+
+
+def component_names(nodes: DataFrame, node: str, roots: DataFrame) -> DataFrame:
+    """``nodes`` (with a node's smallest id ``least``) and component_id, the smallest id of the component."""
     members = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
-    named = members.join(reps, F.col("node") == F.col("fp")).select("root", "fp", "least")
-    names = named.groupBy("root").agg(F.min("least").alias("least_of_all"))
-    joined = named.join(names, "root").select("fp", "least_of_all")
-    by_fp = reps.join(joined, "fp", "left").select("fp", F.coalesce("least_of_all", "least").alias("component_id"))
-    return fps.join(by_fp, "fp").select("doc_id", "fp", "component_id")
+    named = materialize(members.join(nodes.select(F.col(node).alias("node"), "least"), "node"), "names")
+    names = materialize(named.groupBy("root").agg(F.min("least").alias("component_id"), F.count(F.lit(1)).alias("n")), "names")
+    joined = join_by_key(named.select("node", "root"), names, ["root"], "n", ["node"]).select(F.col("node").alias(node), "component_id")
+    out = materialize(nodes.join(joined, node, "left").withColumn("component_id", F.coalesce("component_id", "least")), "component-names")
+    discard(named, names)
+    return out
