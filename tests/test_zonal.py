@@ -153,9 +153,10 @@ def test_store_and_split_source(spark, tmp_path):
     tiles = grid.tile_pixels(r)
     want = {k: v for k, v in answer(planner.zonal_stats(r, z, method="merge_ordered")).items() if v[0]}
     formats.write_tiles(tiles, f"file://{tmp_path}/tiles", 8)
-    assert formats.read_tiles(spark, f"file://{tmp_path}/tiles", r.meta).df.count() == tiles.df.count()
+    written = formats.read_tiles(spark, f"file://{tmp_path}/tiles", r.meta, 8)
+    assert written.df.count() == tiles.df.count()
     store.write(mo.intersect(z, r.meta, ChunkSpec("polygons", 40)), f"file://{tmp_path}/s")
-    assert answer(zonal_from_store(spark, f"file://{tmp_path}/tiles", f"file://{tmp_path}/s", r.meta, 3)) == want
+    assert answer(zonal_from_store(spark, written, f"file://{tmp_path}/s", 3)) == want
     store.write(mo.intersect(z, r.meta), f"file://{tmp_path}/d", "gzip", drop_tile_id=True)
     assert store.read(spark, f"file://{tmp_path}/d", r.meta).select("tile_id").distinct().count() == store.read_footer(spark, f"file://{tmp_path}/d").select("tile_id").distinct().count()
     sizes = measures.store_sizes(r, z, f"file://{tmp_path}/c")

@@ -14,27 +14,47 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: name: (partial per run from a list of values, merge of partials); counts skip nodata.
 DEFAULT = ("min", "max", "sum", "count")
 
 
-def _sum_type(wide: bool) -> str:
-    return "decimal(38,0)" if wide else "bigint"
+def is_whole(kind: T.DataType) -> bool:
+    return isinstance(kind, T.IntegralType)
 
 
-def value_aggs(aggs: tuple[str, ...] = DEFAULT, v: str = "v", wide: bool = False) -> list[Column]:
-    """Aggregates over (zone, value) pairs. ``wide``: sums in 38 digits, for 100 TB."""
+def sum_type(kind: T.DataType, wide: bool = False) -> str:
+    """The type that measurements of a type add up in: whole numbers and decimals exactly."""
+    if isinstance(kind, T.DecimalType):
+        return f"decimal(38,{kind.scale})"
+    if is_whole(kind):
+        return "decimal(38,0)" if wide else "bigint"
+    if isinstance(kind, T.FractionalType):
+        return "double"
+    raise ValueError(f"measurements must be numbers, not {kind.simpleString()}")
+
+
+def value_aggs(aggs: tuple[str, ...] = DEFAULT, of: DataFrame | None = None, v: str = "v", wide: bool = False) -> list[Column]:
+    """Aggregates over the (zone, value) pairs ``of``, whose values are long unless given.
+
+    ``wide``: sums of whole numbers in 38 digits, for 100 TB. Nulls are nodata: no aggregate
+    sees them.
+    """
+    kind = of.schema[v].dataType if of is not None else T.LongType()
+    whole = is_whole(kind)
+    if not whole and "bit_or" in aggs:
+        raise ValueError("bit_or needs whole numbers")
     c = F.col(v)
-    exact = c.cast(_sum_type(wide))
+    exact = c.cast(sum_type(kind, wide))
     n = F.count(c)
     made = {
         "count": lambda: n.cast("long").alias("cnt"),
-        "sum": lambda: F.sum(exact).cast(_sum_type(wide)).alias("sum_v"),
+        "sum": lambda: F.sum(exact).cast(sum_type(kind, wide)).alias("sum_v"),
         "min": lambda: F.min(c).alias("min_v"),
         "max": lambda: F.max(c).alias("max_v"),
         "avg": lambda: (F.sum(exact) / n).alias("avg_v"),
-        "var": lambda: ((F.sum(exact.cast("decimal(38,0)") * exact) - F.sum(exact.cast("decimal(38,0)")) * F.sum(exact) / n) / n).cast("double").alias("var_v"),
+        "var": lambda: F.var_pop(c).alias("var_v") if not whole else ((F.sum(exact.cast("decimal(38,0)") * exact) - F.sum(exact.cast("decimal(38,0)")) * F.sum(exact) / n) / n).cast("double").alias("var_v"),
         "stddev": lambda: F.stddev_pop(c).alias("stddev_v"),
         "bit_or": lambda: F.bit_or(c).alias("bits_v"),
         "any": lambda: F.bool_or(c != 0).alias("any_v"),
@@ -42,8 +62,8 @@ def value_aggs(aggs: tuple[str, ...] = DEFAULT, v: str = "v", wide: bool = False
         "approx_median": lambda: F.percentile_approx(c, 0.5).alias("median_v"),
         "approx_distinct": lambda: F.approx_count_distinct(c).alias("distinct_v"),
         "mode": lambda: F.mode(c).alias("mode_v"),
-        "kll": lambda: F.call_function("kll_sketch_agg_bigint", c.cast("long")).alias("kll_v"),
-        "hll": lambda: F.hll_sketch_agg(c).alias("hll_v"),
+        "kll": lambda: F.call_function("kll_sketch_agg_bigint" if whole else "kll_sketch_agg_double", c.cast("long" if whole else "double")).alias("kll_v"),
+        "hll": lambda: F.hll_sketch_agg(c if whole else c.cast("string")).alias("hll_v"),
     }
     return [made[a]() for a in aggs]
 
@@ -55,10 +75,11 @@ RUN_PARTIALS = {"count": ("cnt", F.sum), "sum": ("sum_v", F.sum), "min": ("min_v
 def merge_partials(df: DataFrame, by: list[str], aggs: tuple[str, ...] = DEFAULT, wide: bool = False) -> DataFrame:
     """Final aggregates from run or chunk partials cnt, sum_v, min_v, max_v."""
     need = set(aggs) | ({"sum", "count"} if "avg" in aggs else set())
-    out = [f(F.col(c).cast(_sum_type(wide)) if f is F.sum else F.col(c)).alias(c) for a, (c, f) in RUN_PARTIALS.items() if a in need]
+    of = {"cnt": "bigint"} | ({"sum_v": sum_type(df.schema["sum_v"].dataType, wide)} if "sum" in need else {})
+    out = [f(F.col(c).cast(of[c]) if f is F.sum else F.col(c)).alias(c) for a, (c, f) in RUN_PARTIALS.items() if a in need]
     got = df.groupBy(*by).agg(*out)
-    if "sum" in need and not wide:
-        got = got.withColumn("sum_v", F.col("sum_v").cast("long"))
+    if "sum" in need:
+        got = got.withColumn("sum_v", F.col("sum_v").cast(of["sum_v"]))
     if "count" in need:
         got = got.withColumn("cnt", F.col("cnt").cast("long"))
     if "avg" in aggs:
@@ -68,7 +89,10 @@ def merge_partials(df: DataFrame, by: list[str], aggs: tuple[str, ...] = DEFAULT
 
 
 def histogram(pairs: DataFrame, bins: tuple[float, float, int] | None = None, as_map: bool = False) -> DataFrame:
-    """zone_id, class, cnt of (zone_id, v) pairs; equal-width bins if asked for."""
+    """zone_id, class, cnt of (zone_id, v) pairs; equal-width bins if asked for, which values
+    that aren't whole numbers need."""
+    if bins is None and not is_whole(pairs.schema["v"].dataType):
+        raise ValueError("a histogram of values that aren't whole numbers needs bins")
     c = F.col("v") if bins is None else F.width_bucket("v", F.lit(float(bins[0])), F.lit(float(bins[1])), F.lit(bins[2]))
     out = pairs.where("v is not null").groupBy("zone_id", c.cast("long").alias("class")).agg(F.count(F.lit(1)).alias("cnt"))
     if not as_map:

@@ -53,11 +53,16 @@ class GridMeta:
 
 @dataclass(frozen=True)
 class RasterLayer:
-    """``form`` 'pixels': x, y, v [, file_id]; 'tiles': file_id, tile_id, values."""
+    """``form`` 'pixels': x, y, v [, file_id]; 'tiles': file_id, tile_id, values.
+
+    A written tile table also knows its path and how many tiles a directory (``tile_group``) holds.
+    """
 
     df: DataFrame
     meta: GridMeta
     form: str = "pixels"
+    path: str | None = None
+    tiles_per_group: int | None = None
 
 
 def side_lengths(n: int) -> tuple[int, int]:

@@ -94,6 +94,6 @@ def store_sizes(raster: RasterLayer, layer: ZoneLayer, base: str, codecs: tuple[
     runs = mo.intersect(layer, raster.meta)
     out = {}
     for codec in codecs:
-        store.write(runs, f"{base}/{codec}", codec, plain=True)
+        store.write(runs, f"{base}/{codec}", codec, plain=True, meta=raster.meta)
         out[codec] = store.stored_bytes(runs.sparkSession, f"{base}/{codec}/runs")
     return out

@@ -14,9 +14,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.accumulate import DEFAULT, keep_empty, merge_partials, value_aggs
+from ..functions.accumulate import DEFAULT, is_whole, keep_empty, merge_partials, sum_type, value_aggs
 from ..functions.arith import floor_div, long
-from ..functions.grid import SNAP, GridMeta, RasterLayer, explode_tiles, tile_id, tile_pixels
+from ..functions.grid import SNAP, GridMeta, RasterLayer, explode_tiles, tile_id, tile_pixels, tile_place
 from . import runs as R
 from . import selection, zones
 from .zones import ZoneLayer
@@ -50,7 +50,8 @@ def mask(layer: ZoneLayer, meta: GridMeta, dense: bool = False) -> DataFrame:
 def clip(raster: RasterLayer, layer: ZoneLayer, aggs: tuple[str, ...] = DEFAULT, dense: bool = False, empty: bool = True) -> DataFrame:
     """Mask and raster meet in a hash join on pixel position."""
     m = mask(layer, raster.meta, dense).hint("shuffle_hash")
-    out = as_pixels(raster).join(m, ["x", "y"]).where("m = 1").groupBy("zone_id").agg(*value_aggs(aggs))
+    met = as_pixels(raster).join(m, ["x", "y"]).where("m = 1")
+    out = met.groupBy("zone_id").agg(*value_aggs(aggs, met))
     return keep_empty(out, layer.df) if empty else out
 
 
@@ -76,24 +77,21 @@ def clip_by_tiles(raster: RasterLayer, layer: ZoneLayer, aggs: tuple[str, ...] =
         parts = [clip_by_tiles(tiled, ZoneLayer(layer.df.where(F.col("zone_id") == i)), aggs, empty=empty) for i in ids]
         return reduce(DataFrame.unionByName, parts)
     meta = raster.meta
-    need = overlapped_tiles(layer, meta)
-    copies = RasterLayer(tiled.df.join(need.withColumnRenamed("zone_id", "__zone"), "tile_id"), meta, "tiles")
-    w = meta.tile_w
-    lines = copies.df.select("__zone", "tile_id", "values", F.explode(F.sequence(F.lit(0), F.lit(meta.tile_h - 1))).alias("i"))
-    from ..functions.grid import tile_place
-
+    w, h = meta.tile_w, meta.tile_h
+    inside = R.cut(R.zone_runs(layer, meta), meta).groupBy("zone_id", "tile_id").agg(F.collect_list(F.struct("y", "x0", "x1")).alias("runs"))
+    need = overlapped_tiles(layer, meta).join(inside, ["zone_id", "tile_id"], "left")  # a tile may be read for nothing
     r, c = tile_place(meta, F.col("tile_id"))
-    lines = lines.select("__zone", F.col("tile_id").alias("__tile"), (r * meta.tile_h + F.col("i")).alias("__y"), (c * w).alias("x_off"), F.slice("values", F.col("i") * w + 1, F.lit(w)).alias("values"))
-    runs = R.cut(R.zone_runs(layer, meta), meta)
-    met = lines.join(runs, (F.col("__zone") == F.col("zone_id")) & (F.col("__tile") == F.col("tile_id")) & (F.col("__y") == F.col("y")))
-    vs = F.slice("values", (F.col("x0") - F.col("x_off") + 1).cast("int"), (F.col("x1") - F.col("x0")).cast("int"))
-    out = met.select("zone_id", F.explode(vs).alias("v")).where("v is not null").groupBy("zone_id").agg(*value_aggs(aggs))
+    row = lambda u: (u["y"] - F.col("__y")) * w + u["x0"] - F.col("__x") + 1
+    met = tiled.df.join(need, "tile_id").withColumn("__y", r * h).withColumn("__x", c * w)
+    vs = F.flatten(F.transform("runs", lambda u: F.slice(F.col("values"), row(u).cast("int"), (u["x1"] - u["x0"]).cast("int"))))
+    got = met.select("zone_id", F.explode(vs).alias("v")).where("v is not null")
+    out = got.groupBy("zone_id").agg(*value_aggs(aggs, got))
     return keep_empty(out, layer.df) if empty else out
 
 
 # ---- pixel-probe
 
-#: Layers up to this many edges may be indexed in a broadcast table.
+#: An index with up to this many edges, copies counted, may be a broadcast table.
 BROADCAST_EDGES = 2_000_000
 
 
@@ -149,14 +147,20 @@ def probe_lookup(raster: RasterLayer, index: DataFrame, leaf: DataFrame | None,
 
 
 def pixel_probe(raster: RasterLayer, layer: ZoneLayer, aggs: tuple[str, ...] = DEFAULT, index: str = "grid", materialize_to: str | None = None, empty: bool = True) -> DataFrame:
-    """``materialize_to`` writes the index bucketed by cell and reads it again: the disk variant.
-    An index above ``BROADCAST_EDGES`` edges isn't broadcast."""
-    built, leaf = probe_index(layer, raster.meta, index)
-    small = int(zones.stats(layer).first()["n_s"]) <= BROADCAST_EDGES
+    """``materialize_to`` writes the index as Parquet and reads it again: the disk variant.
+    An index above ``BROADCAST_EDGES`` edges isn't broadcast; one list can't do without."""
+    meta = raster.meta
+    built, leaf = probe_index(layer, meta, index)
+    boxes = zones.with_mbr(layer).withColumn("s", zones.tile_span(meta))
+    cells = F.greatest(F.col("s.c1") - F.col("s.c0") + 1, long(0)) * F.greatest(F.col("s.r1") - F.col("s.r0") + 1, long(0)) if index == "grid" else long(1)
+    small = (boxes.agg(F.sum(F.col("n_edges") * cells)).first()[0] or 0) <= BROADCAST_EDGES
+    if index == "none" and not small:
+        raise ValueError(f"without an index every pixel meets every zone: for layers up to {BROADCAST_EDGES} edges")
     if materialize_to:
         built.write.parquet(materialize_to)
         built = built.sparkSession.read.parquet(materialize_to)
-    out = probe_lookup(raster, built, leaf, index, small or index == "none").groupBy("zone_id").agg(*value_aggs(aggs))
+    met = probe_lookup(raster, built, leaf, index, small)
+    out = met.groupBy("zone_id").agg(*value_aggs(aggs, met))
     return keep_empty(out, layer.df) if empty else out
 
 
@@ -173,16 +177,22 @@ def row_range(layer: ZoneLayer, meta: GridMeta) -> tuple[int, int]:
 
 def scanline(raster: RasterLayer, layer: ZoneLayer, empty: bool = True) -> DataFrame:
     """One task on purpose: rows in order, all zones of a row before the next row."""
-    meta = raster.meta
+    meta, px = raster.meta, as_pixels(raster)
+    kind = px.schema["v"].dataType
+    total_type = sum_type(kind)
+    if total_type not in ("bigint", "double"):
+        raise ValueError("the scanline adds up whole numbers and doubles, not decimals")
+    number = int if is_whole(kind) else float
     lo, hi = row_range(layer, meta)
     runs = R.zone_runs(layer, meta).groupBy("y").agg(F.sort_array(F.collect_list(F.struct("zone_id", "x0", "x1"))).alias("runs"))
-    rows = as_pixels(raster).where((F.col("y") >= lo) & (F.col("y") < hi)).groupBy("y").agg(F.sort_array(F.collect_list(F.struct("x", "v"))).alias("px"))
+    rows = px.where((F.col("y") >= lo) & (F.col("y") < hi) & F.col("v").isNotNull()).select("x", "y", F.col("v").cast(total_type).alias("v"))
+    rows = rows.groupBy("y").agg(F.sort_array(F.collect_list(F.struct("x", "v"))).alias("px"))
     lines = rows.join(runs, "y").coalesce(1).sortWithinPartitions("y").select("px.x", "px.v", "runs.zone_id", "runs.x0", "runs.x1")
 
     def sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
-        total: dict[int, list[int]] = {}
+        total: dict[int, list] = {}
         for b in batches:
             for i in range(b.num_rows):
                 x, v, zone, x0, x1 = (c[i].values.to_numpy(zero_copy_only=False) for c in b.columns)
@@ -190,14 +200,17 @@ def scanline(raster: RasterLayer, layer: ZoneLayer, empty: bool = True) -> DataF
                 for z, s, e in zip(zone.tolist(), first.tolist(), last.tolist(), strict=True):
                     if e > s:
                         part = v[s:e]
-                        t = total.setdefault(z, [0, 0, int(part.min()), int(part.max())])
+                        low, high = number(part.min()), number(part.max())
+                        t = total.setdefault(z, [0, number(0), low, high])
                         t[0] += e - s
-                        t[1] += int(part.sum())
-                        t[2], t[3] = min(t[2], int(part.min())), max(t[3], int(part.max()))
+                        t[1] += number(part.sum())
+                        t[2], t[3] = min(t[2], low), max(t[3], high)
+        values = pa.int64() if number is int else pa.float64()
+        kinds = [pa.int64(), pa.int64(), values, values, values]
         cols = [list(total), *([t[i] for t in total.values()] for i in range(4))]
-        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["zone_id", "cnt", "sum_v", "min_v", "max_v"])
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["zone_id", "cnt", "sum_v", "min_v", "max_v"])
 
-    out = lines.mapInArrow(sweep, "zone_id bigint, cnt bigint, sum_v bigint, min_v bigint, max_v bigint")
+    out = lines.mapInArrow(sweep, f"zone_id bigint, cnt bigint, sum_v {total_type}, min_v {total_type}, max_v {total_type}")
     return keep_empty(out, layer.df) if empty else out
 
 
@@ -219,8 +232,9 @@ def run_in_parts(raster: RasterLayer, layer: ZoneLayer, max_bytes: int, method)
     return merge_partials(reduce(DataFrame.unionByName, parts), ["zone_id"], DEFAULT)
 
 
-def fused(raster: RasterLayer, layer: ZoneLayer, mode: str) -> DataFrame:
+def fused(raster: RasterLayer, layer: ZoneLayer, mode: str, strategy: str = "auto") -> DataFrame:
     """Partials a run, merged: for comparing the fused reductions with pairs."""
     tiled = as_tiles(raster)
     runs = R.cut(R.zone_runs(layer, raster.meta), raster.meta)
-    return keep_empty(merge_partials(selection.reduce_runs(tiled, runs, mode), ["zone_id"], DEFAULT), layer.df)
+    met = selection.reduce_runs(tiled, runs, mode, selection.resolved(strategy, layer, raster.meta))
+    return keep_empty(merge_partials(met, ["zone_id"], DEFAULT), layer.df)

@@ -1,7 +1,10 @@
 """The merge-ordered method: sort the vector side into the raster's order, read tiles once.
 
-Intersection works on metadata, selection streams tiles past runs, aggregation is partial
-and final. Only runs are moved to meet tiles; the raster stays where it is.
+Intersection works on metadata, selection reads every touched tile once a chunk beside the
+chunk's runs in the tile's own order, aggregation is partial and final. Tiles stay where they
+are as long as runs are broadcast, the tile table is bucketed by tile, or splits are read from
+a written tile table ('splits'). Pixels that are loose rows of a table have no order to
+exploit: where their runs are too many to broadcast, both sides are exchanged by tile.
 """
 
 from __future__ import annotations
@@ -57,26 +60,40 @@ def zonal(
     partitioner: str = "none",
     store_path: str | None = None,
     codec: str = "snappy",
-    strategy: str = "broadcast_runs",
+    strategy: str = "auto",
     reduce: str = "hof",
     empty: bool = True,
     wide: bool = False,
+    tiles_per_split: int = 64,
+    one_file: bool = True,
 ) -> DataFrame:
-    """zone_id and aggregates."""
+    """zone_id and aggregates. 'splits' needs ``store_path`` and a raster read from a tile table."""
+    strategy = selection.resolved(strategy, layer, raster.meta)
     runs = intersect(layer, raster.meta, spec, partitioner)
+    if strategy == "splits":
+        if raster.path is None or store_path is None:
+            raise ValueError("splits are read from a written tile table and a crossing store")
+        if raster.meta.order != "row" or not set(aggs) <= BY_RUNS:
+            raise ValueError("splits give min, max, sum, count and avg of row-major tiles")
+        from ..sources.split_source import zonal_from_store
+
+        store.write(runs, store_path, codec)
+        out = zonal_from_store(runs.sparkSession, raster, store_path, tiles_per_split, one_file, aggs, wide)
+        return keep_empty(out, layer.df) if empty else out
     if store_path:
         store.write(runs, store_path, codec)
         runs = store.read(runs.sparkSession, store_path, raster.meta)
-    runs = runs.select("zone_id", "tile_id", "y", "x0", "x1")
+    runs = runs.select("chunk_id", "zone_id", "tile_id", "y", "x0", "x1")
     if raster.form == "tiles" and set(aggs) <= BY_RUNS and reduce != "pairs":
         out = merge_partials(selection.reduce_runs(raster, runs, reduce, strategy), ["zone_id"], aggs, wide)
     else:
-        out = selected(raster, runs, strategy).groupBy("zone_id").agg(*value_aggs(aggs, wide=wide))
+        got = selected(raster, runs.drop("chunk_id") if raster.form == "pixels" else runs, strategy)
+        out = got.groupBy("zone_id").agg(*value_aggs(aggs, got, wide=wide))
     return keep_empty(out, layer.df) if empty else out
 
 
-def zonal_many(rasters: dict[str, RasterLayer], layer: ZoneLayer, aggs: tuple[str, ...] = DEFAULT) -> DataFrame:
-    """Several layers on one grid, such as a time series: runs are made once for all."""
+def zonal_many(rasters: dict[str, RasterLayer], layer: ZoneLayer, aggs: tuple[str, ...] = DEFAULT, strategy: str = "auto") -> DataFrame:
+    """Several layers or bands on one grid, such as a time series: runs are made once for all."""
     metas = {(r.meta.rows, r.meta.cols, r.meta.tile_w, r.meta.tile_h, r.meta.order) for r in rasters.values()}
     if len(metas) != 1:
         raise ValueError("the layers must share one grid")
@@ -86,8 +103,8 @@ def zonal_many(rasters: dict[str, RasterLayer], layer: ZoneLayer, aggs: tuple[st
         px = r.df.select("x", "y", "v", F.lit(name).alias("layer"))
         stacked = px if stacked is None else stacked.unionByName(px)
     runs = intersect(layer, meta, ChunkSpec("none")).select("zone_id", "tile_id", "y", "x0", "x1")
-    got = selection.range_join(RasterLayer(stacked, meta), runs)
-    return got.groupBy("layer", "zone_id").agg(*value_aggs(aggs))
+    got = selection.range_join(RasterLayer(stacked, meta), runs, selection.resolved(strategy, layer, meta))
+    return got.groupBy("layer", "zone_id").agg(*value_aggs(aggs, got))
 
 
 def pixels_in_tiles(raster: RasterLayer) -> DataFrame:

@@ -37,10 +37,12 @@ def edge_crossings(edge: DataFrame, meta: GridMeta, clip_rows: bool = True, turn
     return rows.select(*keep, "y", x.alias("x"))
 
 
-def merge_order(crossings: DataFrame, meta: GridMeta) -> DataFrame:
-    """Crossings sorted as the raster is stored: by chunk, then tile, row, zone and column."""
-    tile = tile_id(meta, F.col("x"), F.col("y"))
-    return crossings.withColumn("tile_id", tile).repartition("chunk_id").sortWithinPartitions("chunk_id", "tile_id", "y", "zone_id", "x")
+def merge_order(rows: DataFrame, meta: GridMeta | None, x: str = "x0", tiles: int = 1024) -> DataFrame:
+    """Runs or crossings (``x`` names their column) sorted as the raster is stored: by chunk,
+    tile, row, zone and column. A chunk is dealt to tasks by ranges of ``tiles`` tiles."""
+    if "tile_id" not in rows.columns:
+        rows = rows.withColumn("tile_id", tile_id(meta, F.col(x), F.col("y")))
+    return rows.repartition("chunk_id", floor_div(F.col("tile_id"), tiles)).sortWithinPartitions("chunk_id", "tile_id", "y", "zone_id", x)
 
 
 def pair(crossings: DataFrame, meta: GridMeta) -> DataFrame:

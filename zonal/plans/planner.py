@@ -18,6 +18,7 @@ from ..functions.grid import RasterLayer
 from ..operators import baselines, selection
 from ..operators import merge_ordered as mo
 from ..operators import runs as R
+from ..operators.selection import strategy_for
 from ..operators.zones import ChunkSpec, ZoneLayer
 
 METHODS = ("merge_ordered", "clip", "clip_tiles", "pixel_probe", "scanline", "scanline_blackbox")
@@ -53,12 +54,6 @@ def choose(q: Params, cores: int) -> str:
     return "scanline" if e["scanline"] < STARTUP / 10 and e["scanline"] < e["merge_ordered"] / max(cores, 1) + STARTUP else "merge_ordered"
 
 
-def strategy_for(q: Params) -> str:
-    """Broadcast runs only if the model bounds them: crossings and tile pieces they are cut to."""
-    pieces = cost.merge_crossings(q)[1] / 2 * (1 + q.w_p / (q.w_t * q.p))
-    return "broadcast_runs" if pieces <= selection.BROADCAST_RUNS / 4 else "colocated"
-
-
 def partitioner_for(q: Params) -> str:
     """Spatial partitions pay once there are many chunks; with few they change nothing."""
     return "strtile" if q.chunks >= 8 else "none"
@@ -68,7 +63,7 @@ def plan(raster: RasterLayer, layer: ZoneLayer, aggs: tuple[str, ...] = DEFAULT,
     q = Params.from_data(raster.meta, layer, chunk.size if chunk.by == "polygons" else 5000)
     if method == "auto":
         method = choose(q, layer.df.sparkSession.sparkContext.defaultParallelism)
-        if method == "scanline" and (set(aggs) - set(DEFAULT) or raster.form != "pixels"):
+        if method == "scanline" and (set(aggs) - set(DEFAULT) or raster.form != "pixels" or strategy == "splits" or accumulate.sum_type(raster.df.schema["v"].dataType) not in ("bigint", "double")):
             method = "merge_ordered"
     if method not in METHODS:
         raise ValueError(f"unknown method {method!r}; one of {METHODS}")
@@ -78,11 +73,17 @@ def plan(raster: RasterLayer, layer: ZoneLayer, aggs: tuple[str, ...] = DEFAULT,
 def zonal_stats(
     raster: RasterLayer, zones: ZoneLayer, aggs: tuple[str, ...] = DEFAULT, *, method: str = "auto", chunk: ChunkSpec = ChunkSpec(),
     partitioner: str = "auto", store: str | None = None, codec: str = "snappy", strategy: str = "auto", reduce: str = "hof", keep_empty: bool = True, wide: bool = False,
+    tiles_per_split: int = 64, one_file: bool = True,
 ) -> DataFrame:
-    """One row per zone with the aggregates of the pixels whose centres it contains."""
+    """One row per zone with the aggregates of the pixels whose centres it contains.
+
+    ``strategy`` 'splits' writes the crossing store to ``store``, plans splits of
+    ``tiles_per_split`` tiles from its footer, each within one file of the raster if
+    ``one_file``, and reads tiles and runs side by side; the raster comes from ``read_tiles``.
+    """
     p = plan(raster, zones, tuple(aggs), method, chunk, partitioner, strategy)
     if p.method == "merge_ordered":
-        return mo.zonal(raster, zones, p.aggs, p.chunk, p.partitioner, store, codec, p.strategy, reduce, keep_empty, wide)
+        return mo.zonal(raster, zones, p.aggs, p.chunk, p.partitioner, store, codec, p.strategy, reduce, keep_empty, wide, tiles_per_split, one_file)
     if p.method == "clip":
         return baselines.clip(raster, zones, p.aggs, empty=keep_empty)
     if p.method == "clip_tiles":
@@ -103,10 +104,10 @@ def explain_zonal(raster: RasterLayer, zones: ZoneLayer, **how) -> MethodPlan:
     return MethodPlan(p.method, p.strategy, p.chunk, p.partitioner, p.aggs, p.costs, tree)
 
 
-def zone_pairs(raster: RasterLayer, zones: ZoneLayer, strategy: str = "broadcast_runs") -> DataFrame:
+def zone_pairs(raster: RasterLayer, zones: ZoneLayer, strategy: str = "auto") -> DataFrame:
     """(zone_id, v) pairs, for accumulators of all kinds."""
     runs = mo.intersect(zones, raster.meta, ChunkSpec("none")).select("zone_id", "tile_id", "y", "x0", "x1")
-    return mo.selected(raster, runs, strategy)
+    return mo.selected(raster, runs, selection.resolved(strategy, zones, raster.meta))
 
 
 def zonal_histogram(raster: RasterLayer, zones: ZoneLayer, bins: tuple[float, float, int] | None = None, as_map: bool = False) -> DataFrame:
@@ -129,10 +130,10 @@ def areal_interpolate(source: ZoneLayer, target: ZoneLayer, raster: RasterLayer,
     meta = raster.meta
     weighted = RasterLayer(raster.df.select("x", "y", w.alias("v")), meta)
     src = R.cut(R.zone_runs(source, meta), meta)
-    in_source = selection.range_join(weighted, src).withColumnRenamed("zone_id", "source_id")
+    in_source = selection.range_join(weighted, src, selection.resolved("auto", source, meta)).withColumnRenamed("zone_id", "source_id")
     whole = in_source.groupBy("source_id").agg(F.sum("v").alias("whole"))
     tgt = R.cut(R.zone_runs(target, meta), meta)
-    both = selection.range_join(RasterLayer(in_source, meta), tgt)
+    both = selection.range_join(RasterLayer(in_source, meta), tgt, selection.resolved("auto", target, meta))
     part = both.groupBy("source_id", "zone_id").agg(F.sum("v").alias("part"))
     shares = part.join(whole, "source_id").join(counts.select(F.col("zone_id").alias("source_id"), "population"), "source_id").where("whole > 0")
     out = shares.groupBy("zone_id").agg(F.sum(F.col("population") * F.col("part") / F.col("whole")).alias("estimate"))

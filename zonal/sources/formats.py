@@ -102,10 +102,93 @@ def write_tiles(layer: RasterLayer, path: str, tiles_per_group: int = 1024, code
     df.repartition("file_id", "tile_group").sortWithinPartitions("tile_group", "tile_id").write.option("compression", codec).partitionBy("tile_group").parquet(path)
 
 
-def read_tiles(spark: SparkSession, path: str, meta: GridMeta) -> RasterLayer:
-    return RasterLayer(spark.read.parquet(path), meta, "tiles")
+def read_tiles(spark: SparkSession, path: str, meta: GridMeta, tiles_per_group: int | None = None) -> RasterLayer:
+    """``tiles_per_group`` as the table was written with: directories without a run are then skipped."""
+    return RasterLayer(spark.read.parquet(path), meta, "tiles", path, tiles_per_group)
+
+
+def write_bucketed(layer: RasterLayer, name: str, buckets: int | None = None, path: str | None = None) -> RasterLayer:
+    """A catalog table bucketed and sorted by tile: work units come to its buckets, no tile moves.
+
+    There are at least as many buckets as shuffle partitions; with fewer Spark would rather
+    exchange both sides.
+    """
+    spark = layer.df.sparkSession
+    buckets = buckets or max(64, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    writer = layer.df.repartition(buckets, "tile_id").write.bucketBy(buckets, "tile_id").sortBy("tile_id")
+    (writer.option("path", path) if path else writer).saveAsTable(name)
+    return RasterLayer(spark.table(name), layer.meta, "tiles")
+
+
+def write_table(df: DataFrame, path: str, kind: str = "parquet") -> None:
+    """Any result to Parquet, ORC, JSON, CSV (with a header) or text; columns that a format has
+    no type for become JSON strings."""
+    if kind in ("csv", "text"):
+        flat = [F.to_json(c).alias(c) if t.startswith(("array", "map", "struct")) else F.col(c) for c, t in df.dtypes]
+        df = df.select(*flat)
+    if kind == "text":
+        df = df.select(F.to_json(F.struct(*df.columns)).alias("value"))
+    if kind not in ("parquet", "orc", "json", "csv", "text"):
+        raise ValueError(f"unknown format {kind!r}")
+    writer = df.write.option("header", "true") if kind == "csv" else df.write
+    writer.format(kind).save(path)
+
+
+#: A tiled binary raster begins with these eight bytes; whole numbers follow, all little-endian:
+#: columns, rows, tile width, tile height as 32-bit, then the kind of values as 32-bit. Tiles
+#: follow in row-major order, each width x height values, those outside the raster too.
+BINARY_MAGIC = b"ZTILES01"
+BINARY_KINDS = {1: ("<i2", "smallint"), 2: ("<i4", "int"), 3: ("<i8", "bigint"), 4: ("<f4", "float"), 5: ("<f8", "double")}
+_HEADER = 28
+
+
+def to_tiled_binary(columns: int, rows: int, tile_w: int, tile_h: int, kind: int, tiles: list) -> bytes:
+    """The bytes of a small tiled raster; ``tiles`` are arrays in row-major order."""
+    import struct
+
+    import numpy as np
+
+    body = b"".join(np.asarray(t, BINARY_KINDS[kind][0]).tobytes() for t in tiles)
+    return BINARY_MAGIC + struct.pack("<5I", columns, rows, tile_w, tile_h, kind) + body
+
+
+def read_tiled_binary(spark: SparkSession, path: str, nodata: float | None = None) -> RasterLayer:
+    """Tiled binary files of one shape: a file is one ``file_id``, its tiles one row each.
+
+    Spark reads the files, so any storage it knows works; a file is held by one task, so a
+    large raster comes as many files (bands of tile rows would each be a layer of their own).
+    The shape is read from the first file's header.
+    """
+    import struct
+
+    files = spark.read.format("binaryFile").load(path).select("path", "content")
+    head = files.select(F.substring("content", 1, _HEADER).alias("h")).first()
+    if head is None or bytes(head["h"][:8]) != BINARY_MAGIC:
+        raise ValueError(f"no tiled raster at {path}")
+    w, h, tile_w, tile_h, kind = struct.unpack("<5I", bytes(head["h"][8:_HEADER]))
+    dtype, name = BINARY_KINDS[kind]
+    meta = GridMeta(h, w, tile_w, tile_h)
+    names = [r[0] for r in files.select("path").orderBy("path").collect()]
+    numbers = {p: i for i, p in enumerate(names)}
 
+    def run(batches):
+        import numpy as np
+        import pyarrow as pa
 
-def write_bucketed(layer: RasterLayer, name: str, buckets: int = 64) -> None:
-    """A catalog table bucketed and sorted by tile: joins on the tile then move only runs."""
-    layer.df.write.bucketBy(buckets, "tile_id").sortBy("tile_id").saveAsTable(name)
+        cells = tile_w * tile_h
+        for b in batches:
+            for where, raw in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                raw = raw.as_buffer()
+                if raw[:_HEADER].to_pybytes() != BINARY_MAGIC + struct.pack("<5I", w, h, tile_w, tile_h, kind):
+                    raise ValueError(f"{where} has another shape")
+                values = np.frombuffer(raw, dtype, offset=_HEADER).reshape(-1, cells)
+                for t in range(0, len(values), 1024):
+                    part = values[t : t + 1024]
+                    ids = np.arange(t, t + len(part), dtype=np.int64)
+                    x = ids[:, None] % meta.tiles_x * tile_w + np.arange(cells) % tile_w
+                    y = ids[:, None] // meta.tiles_x * tile_h + np.arange(cells) // tile_w
+                    none = (x >= w) | (y >= h) | (np.zeros(part.shape, bool) if nodata is None else part == nodata)
+                    lists = pa.ListArray.from_arrays(np.arange(0, part.size + 1, cells, dtype=np.int32), pa.array(part.reshape(-1), mask=none.reshape(-1)))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), numbers[where], np.int32)), pa.array(ids), lists], ["file_id", "tile_id", "values"])
+
+    return RasterLayer(files.mapInArrow(run, f"file_id int, tile_id bigint, values array<{name}>"), meta, "tiles")

@@ -16,7 +16,8 @@ import pyarrow.dataset as ds
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
-from ..functions.accumulate import merge_partials
+from ..functions.accumulate import DEFAULT, is_whole, merge_partials, sum_type
+from ..functions.grid import RasterLayer
 
 
 class Split(InputPartition):
@@ -36,14 +37,18 @@ class ZonalSplitReader(DataSourceReader):
         self.tiles, self.store = options["tiles"], options["store"]
         self.tile_w, self.tile_h, self.tiles_x = (int(options[k]) for k in ("tile_w", "tile_h", "tiles_x"))
         self.per_split = int(options.get("tiles_per_split", "64"))
+        self.per_file = int(options.get("tiles_per_file", "0"))
+        self.real = options.get("real", "no") == "yes"
 
     def partitions(self) -> list[Split]:
-        """Footers only: consecutive touched tiles of a chunk, some tiles a split."""
+        """Footers only: consecutive touched tiles of a chunk, some tiles a split, of one file
+        of the raster if its files hold a known number of tiles."""
         foot = _open(f"{self.store}/footer").to_table(columns=["chunk_id", "tile_id"]).sort_by([("chunk_id", "ascending"), ("tile_id", "ascending")])
         chunk, tile = foot["chunk_id"].to_numpy(), foot["tile_id"].to_numpy()
         out, begin = [], 0
         for i in range(1, len(tile) + 1):
-            if i == len(tile) or chunk[i] != chunk[begin] or tile[i] != tile[i - 1] + 1 or i - begin == self.per_split:
+            other_file = i < len(tile) and self.per_file and tile[i] // self.per_file != tile[begin] // self.per_file
+            if i == len(tile) or chunk[i] != chunk[begin] or tile[i] != tile[i - 1] + 1 or i - begin == self.per_split or other_file:
                 out.append(Split(int(chunk[begin]), int(tile[begin]), int(tile[i - 1])))
                 begin = i
         return out
@@ -53,7 +58,8 @@ class ZonalSplitReader(DataSourceReader):
         runs = _open(f"{self.store}/runs").to_table(filter=(pc.field("chunk_id") == partition.chunk) & span, columns=["zone_id", "tile_id", "y", "x0", "x1"]).sort_by("tile_id")
         tiles = _open(self.tiles).to_table(filter=span, columns=["tile_id", "values"]).sort_by("tile_id")
         zone, of, y, x0, x1 = (runs[c].to_numpy() for c in ("zone_id", "tile_id", "y", "x0", "x1"))
-        total: dict[int, list[int]] = {}
+        total: dict[int, list] = {}
+        number = float if self.real else int
         for tile, cell in zip(tiles["tile_id"].to_pylist(), tiles["values"], strict=True):
             lo, hi = np.searchsorted(of, tile), np.searchsorted(of, tile, "right")
             if lo == hi:
@@ -66,12 +72,15 @@ class ZonalSplitReader(DataSourceReader):
                 a = (int(y[i]) - row) * self.tile_w + int(x0[i]) - col
                 part = v[a : a + int(x1[i] - x0[i])][valid[a : a + int(x1[i] - x0[i])]]
                 if len(part):
-                    t = total.setdefault(int(zone[i]), [0, 0, int(part.min()), int(part.max())])
+                    low, high = number(part.min()), number(part.max())
+                    t = total.setdefault(int(zone[i]), [0, number(0), low, high])
                     t[0] += len(part)
-                    t[1] += int(part.sum())
-                    t[2], t[3] = min(t[2], int(part.min())), max(t[3], int(part.max()))
+                    t[1] += number(part.sum(dtype=np.float64 if self.real else np.int64))
+                    t[2], t[3] = min(t[2], low), max(t[3], high)
+        value = pa.float64() if self.real else pa.int64()
         cols = [list(total), *([t[k] for t in total.values()] for k in range(4))]
-        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["zone_id", "cnt", "sum_v", "min_v", "max_v"])
+        kinds = [pa.int64(), pa.int64(), value, value, value]
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["zone_id", "cnt", "sum_v", "min_v", "max_v"])
 
 
 class ZonalSplitSource(DataSource):
@@ -80,14 +89,21 @@ class ZonalSplitSource(DataSource):
         return "zonal_splits"
 
     def schema(self) -> str:
-        return "zone_id bigint, cnt bigint, sum_v bigint, min_v bigint, max_v bigint"
+        value = "double" if self.options.get("real", "no") == "yes" else "bigint"
+        return f"zone_id bigint, cnt bigint, sum_v {value}, min_v {value}, max_v {value}"
 
     def reader(self, schema) -> ZonalSplitReader:
         return ZonalSplitReader(self.options)
 
 
-def zonal_from_store(spark: SparkSession, tiles: str, store: str, meta, tiles_per_split: int = 64) -> DataFrame:
+def zonal_from_store(spark: SparkSession, raster: RasterLayer, store: str, tiles_per_split: int = 64, one_file: bool = True, aggs: tuple[str, ...] = DEFAULT, wide: bool = False) -> DataFrame:
     """Aggregates per zone from a written tile table and a written crossing store."""
+    meta, kind = raster.meta, raster.df.schema["values"].dataType.elementType
+    if sum_type(kind) not in ("bigint", "double"):
+        raise ValueError("splits add up whole numbers and doubles, not decimals")
     spark.dataSource.register(ZonalSplitSource)
-    options = {"tiles": tiles, "store": store, "tile_w": meta.tile_w, "tile_h": meta.tile_h, "tiles_x": meta.tiles_x, "tiles_per_split": tiles_per_split}
-    return merge_partials(spark.read.format("zonal_splits").options(**{k: str(v) for k, v in options.items()}).load(), ["zone_id"])
+    options = {
+        "tiles": raster.path, "store": store, "tile_w": meta.tile_w, "tile_h": meta.tile_h, "tiles_x": meta.tiles_x, "tiles_per_split": tiles_per_split,
+        "tiles_per_file": (raster.tiles_per_group or 0) if one_file else 0, "real": "no" if is_whole(kind) else "yes",
+    }
+    return merge_partials(spark.read.format("zonal_splits").options(**{k: str(v) for k, v in options.items()}).load(), ["zone_id"], aggs, wide)

@@ -34,12 +34,13 @@ def event_pixels(events: DataFrame, meta: GridMeta) -> DataFrame:
 def zone_stream(pixels: DataFrame, zones: ZoneLayer, meta: GridMeta) -> DataFrame:
     """(zone_id, v, and the pixels' other columns) of a stream or a batch."""
     runs = mo.intersect(zones, meta, ChunkSpec("none")).select("zone_id", "tile_id", "y", "x0", "x1")
-    return selection.range_join(RasterLayer(pixels, meta), runs)
+    return selection.range_join(RasterLayer(pixels, meta), runs, selection.resolved("auto", zones, meta))
 
 
 def running_stats(pixels: DataFrame, zones: ZoneLayer, meta: GridMeta) -> DataFrame:
     """Per-zone statistics so far; for update or complete mode."""
-    return zone_stream(pixels, zones, meta).groupBy("zone_id").agg(*value_aggs())
+    met = zone_stream(pixels, zones, meta)
+    return met.groupBy("zone_id").agg(*value_aggs(of=met))
 
 
 def without_repeats(pixels: DataFrame, delay: str = "2 hours") -> DataFrame:
@@ -52,7 +53,7 @@ def windowed(pairs: DataFrame, width: str = "1 day", slide: str | None = None, d
     if delay:
         pairs = pairs.withWatermark("ts", delay)
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
-    got = pairs.groupBy(w.alias("w"), "zone_id").agg(*value_aggs(("count", "sum")))
+    got = pairs.groupBy(w.alias("w"), "zone_id").agg(*value_aggs(("count", "sum"), pairs))
     return got.select("zone_id", F.col("w.start").alias("start"), "cnt", "sum_v")
 
 
