@@ -14,8 +14,9 @@ def rows(df):
 
 def test_stages_on_their_inputs(spark):
     from zonal.llm.common import materialize
-    from zonal.llm.queries import LINE_PAGES, LINE_RATIO
-    from zonal.llm.simhash import fingerprint
+    from test_similar import components
+
+    from zonal.llm.queries import LINE_PAGES
 
     docs, seen = spark.read.parquet(f"{SF}/documents.parquet"), {}
     for name, stage in corpus_pipeline.STAGES:
@@ -31,25 +32,14 @@ def test_stages_on_their_inputs(spark):
     pages, count = Counter(r["source"] for r in before), Counter()
     for r in before:
         count.update((r["source"], x) for x in {x.strip(" ") for x in r["text"].split("\n")} if x)
-    bad = {k for k, n in count.items() if n >= LINE_PAGES and n > pages[k[0]] * LINE_RATIO}
+    ratio, words = corpus_pipeline.SOURCE_RATIO, corpus_pipeline.LINE_WORDS
+    bad = {k for k, n in count.items() if n >= LINE_PAGES and n > pages[k[0]] * ratio and len(k[1].split()) >= words}
     want = {r["doc_id"]: "\n".join(x for x in r["text"].split("\n") if (r["source"], x.strip(" ")) not in bad) for r in before}
     assert {r["doc_id"]: r["text"] for r in after} == want
 
     before, after = (rows(x) for x in seen["simhash_near_dedup"])
-    fp = {r["doc_id"]: fingerprint(r["text"].encode()) for r in before}
-    root = {d: d for d in fp}
-
-    def find(d):
-        while root[d] != d:
-            d = root[d]
-        return d
-
-    for a in fp:
-        for b in fp:
-            if a < b and (fp[a] ^ fp[b]).bit_count() <= 2:
-                x, y = sorted((find(a), find(b)))
-                root[y] = x
-    assert {r["doc_id"] for r in after} == {d for d in fp if find(d) == d}
+    root = components({r["doc_id"]: r["text"] for r in before})  # five words, 0.8 or more
+    assert {r["doc_id"] for r in after} == {d for d in root if root[d] == d} and len(after) < len(before)
 
     before, after = (rows(x) for x in seen["mix_sources"])
     size = defaultdict(int)
@@ -68,6 +58,10 @@ def test_stages_on_their_inputs(spark):
     assert max(fill.values()) <= 2048
 
 
+def test_stages_are_the_five_in_order():
+    assert [name for name, _ in corpus_pipeline.STAGES] == ["quality_classifier", "line_dedup", "simhash_near_dedup", "mix_sources", "packing"]
+
+
 def test_run_applies_all_stages(spark):
     got = corpus_pipeline.run(spark, SF)
     assert got.count() > 0 and "sequence_id" in got.columns

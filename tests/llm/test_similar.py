@@ -62,3 +62,16 @@ def test_pipeline_leaves_no_near_copies(spark):
             docs = stage(spark, docs, f"{DATA}/sf0.01")
     left = [shingles(r.text) for r in docs.collect()]
     assert len(left) > 700 and not any(similar(a, b) for a, b in combinations(left, 2))
+
+
+def test_pages_of_one_template_and_their_copies(spark, monkeypatch):
+    """A crowded bucket of different components is settled by rare shingles, not by all pairs."""
+    from zonal.llm import similar
+
+    monkeypatch.setattr(similar, "CROWD", 4)
+    frame = " ".join(f"t{j}" for j in range(60))
+    texts = {i: f"{frame} " + " ".join(f"p{i}x{j}" for j in range(40)) for i in range(50)}
+    texts |= {100 + i: texts[i].replace(f"p{i}x7", "changed") for i in range(0, 50, 3)}
+    texts |= {200 + i: texts[5].replace(f"p5x{i}", f"other{i}") for i in range(30)}
+    got = similar.similar_groups(spark.createDataFrame(list(texts.items()), "doc_id bigint, text string")).collect()
+    assert {r.doc_id: r.component_id for r in got} == components(texts)

@@ -63,7 +63,11 @@ def fingerprint(text: bytes, k: int = 3) -> int:
     words = text.lower().split()  # on bytes: ASCII letters, ASCII white space
     if not words:
         return 0
-    values = shingle_hashes(words, k)
+    return majority_bits(shingle_hashes(words, k))
+
+
+def majority_bits(values: np.ndarray) -> int:
+    """A bit is 1 if it is set in over half of the values."""
     if len(values) == 1:
         return int(values[0])
     ones = np.zeros(BITS, np.int64)

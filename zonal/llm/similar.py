@@ -1,14 +1,22 @@
-"""Near-duplicates by the similarity of their word shingles, each link verified.
+"""The SimHash operator's general mode: near-duplicates by similarity, each link verified.
 
 Two documents are linked if the Jaccard similarity of their sets of ``k``-word shingles is
-``percent`` or more. Documents with equal sets are one node. Candidates are nodes that agree
-in a band of minimum hashes: with 24 bands of 4 a pair at 0.8 is overlooked with a
-probability of 3e-6, one at 0.9 with 1e-11. Candidates are then decided on their whole
-shingle sets, so no link is wrong but for collisions of 64-bit hashes.
+``percent`` or more. Documents with equal sets are one node. Three steps:
+
+1. Fingerprints of the sets are linked by the generalised pigeonhole (``simhash.near_links``):
+   candidates within two bits.
+2. Most pairs at 0.8 lie further apart than any number of bits that can be probed (2 to 11 of
+   64 were seen). Their candidates are nodes that agree in a band of minimum hashes: with 24
+   bands of 4 a pair at 0.8 is overlooked with a probability of 3e-6, one at 0.9 with 1e-11.
+3. Candidates are decided on their whole shingle sets, so no link is wrong but for collisions
+   of 64-bit hashes.
 
 A bucket holds few nodes or one group of copies. All members of a bucket are first held
-against one of them; what that links is one component, and only pairs of different
-components are compared after it, so a group of copies costs no pairs by its square.
+against one of them; what that links is one component, and only nodes of different components
+are compared after it, so a group of copies costs no pairs by its square. Where a bucket still
+holds many components, as pages of one template do, its nodes meet only if they share one of
+their rarest shingles: of sets that are 0.8 alike, the rarest fifth and one more always share
+one. Joins cut hot buckets and leaders into pieces.
 
 Defined results: null text is empty; texts without words are equal to each other; fewer words
 than a shingle: the sequence is the shingle; a null id is a member but never a component's
@@ -21,14 +29,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, text_or_empty
+from .common import discard, join_by_key, materialize, text_or_empty
 from .components import connected_components
-from .simhash import shingle_hashes
+from .simhash import component_names, majority_bits, near_links, shingle_hashes
 
 BANDS, ROWS = 24, 4
+#: Nodes of several components in a bucket that are still compared with each other.
+CROWD = 64
 _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 32, BANDS * ROWS, np.uint32)[:, None]
 _MUL = _RNG.integers(0, 1 << 32, BANDS * ROWS, np.uint32)[:, None] | np.uint32(1)
@@ -58,8 +68,8 @@ def bands_of(grams: np.ndarray) -> np.ndarray:
 
 
 def _shingled(docs: DataFrame, k: int, id_col: str, text_col: str, whole: bool) -> DataFrame:
-    """doc_id, node, size and either the bands or the whole set of every row."""
-    names = ["doc_id", "node", "size", "grams" if whole else "bands"]
+    """doc_id, node, size and either fp and the bands or the whole set of every row."""
+    names = ["doc_id", "node", "size", *(["grams"] if whole else ["fp", "bands"])]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -69,51 +79,97 @@ def _shingled(docs: DataFrame, k: int, id_col: str, text_col: str, whole: bool)
             lists = [(g if whole else bands_of(g)).view(np.int64) for g in sets]
             ends = np.cumsum([0, *map(len, lists)]).astype(np.int32)
             flat = np.concatenate([np.empty(0, np.int64), *lists])
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(node), pa.array(size), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names)
+            cols = [b.column(0), pa.array(node), pa.array(size)]
+            if not whole:
+                cols.append(pa.array(np.array([majority_bits(g) if len(g) else 0 for g in sets], np.uint64).view(np.int64)))
+            yield pa.RecordBatch.from_arrays([*cols, pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names)
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("text"))
-    return rows.mapInArrow(run, f"doc_id bigint, node bigint, size int, {names[3]} array<bigint>")
+    return rows.mapInArrow(run, "doc_id bigint, node bigint, size int, " + ("grams array<bigint>" if whole else "fp bigint, bands array<bigint>"))
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets are similar enough."""
-    one = lambda x: sets.select(F.col("node").alias(x), F.col("grams").alias(f"g{x}"))
-    met = pairs.join(one("b"), "b").join(one("a"), "a").select("a", "b", F.size(F.array_intersect("ga", "gb")).alias("both"), (F.size("ga") + F.size("gb")).alias("sum"))
+    often = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("n"))
+    first = materialize(often.join(sets.select(F.col("node").alias("a"), F.col("grams").alias("ga")), "a"), "similar-first")
+    seconds = pairs.join(sets.select(F.col("node").alias("b"), F.col("grams").alias("gb")), "b")
+    met = join_by_key(seconds, first, ["a"], "n", ["b"])
+    met = met.select("a", "b", F.size(F.array_intersect("ga", "gb")).alias("both"), (F.size("ga") + F.size("gb")).alias("sum"))
     return met.where(F.col("both") * 100 >= (F.col("sum") - F.col("both")) * percent).select("a", "b")
 
 
+def _near(x: str, y: str, percent: int):
+    """Sizes that allow the similarity."""
+    return F.least(F.col(x), F.col(y)) * 100 >= F.greatest(F.col(x), F.col(y)) * percent
+
+
+def _stars(rows: DataFrame, percent: int) -> DataFrame:
+    """Of rows (key, node, size), every node beside the smallest of each bucket: a, b."""
+    leaders = rows.groupBy("key").agg(F.min(F.struct("node", "size")).alias("s"), F.max("node").alias("last"), F.count(F.lit(1)).alias("n"))
+    leaders = leaders.where("s.node < last").select("key", F.col("s.node").alias("a"), F.col("s.size").alias("a_size"), "n")
+    leaders = materialize(leaders, "similar-leaders")
+    met = join_by_key(rows, leaders, ["key"], "n", ["node"]).where(F.col("node") != F.col("a"))
+    return met.where(_near("size", "a_size", percent)).select("a", F.col("node").alias("b")).distinct()
+
+
+def _across(rows: DataFrame, roots: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(pairs a, b of different components in small buckets; rows of crowded buckets)."""
+    placed = rows.join(roots, "node", "left").select("key", "node", "size", F.coalesce("root", "node").alias("root"))
+    split = placed.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s"), F.count(F.lit(1)).alias("n"))
+    split = materialize(split.where("r < s").select("key", "n"), "similar-buckets")
+    placed = materialize(join_by_key(placed, split, ["key"], "n", ["node"]), "similar-split")
+    few = placed.where(F.col("n") <= CROWD)
+    other = few.select("key", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("root").alias("b_root"))
+    met = few.join(other, "key").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("b_root")) & _near("size", "b_size", percent))
+    return met.select(F.col("node").alias("a"), "b").distinct(), placed.where(F.col("n") > CROWD)
+
+
+def _rarest(sets: DataFrame, percent: int) -> DataFrame:
+    """(key, node, size): each set's rarest shingles, as many as similar sets must share one of."""
+    grams = sets.select("node", F.size("grams").alias("size"), F.explode("grams").alias("key"))
+    seen = materialize(grams.groupBy("key").agg(F.count(F.lit(1)).alias("n")), "similar-seen")
+    ranked = join_by_key(grams, seen, ["key"], "n", ["node"])
+    order = Window.partitionBy("node").orderBy("n", "key")
+    need = F.col("size") - F.ceil(F.col("size") * percent / 100) + 1
+    return ranked.withColumn("__i", F.row_number().over(order)).where(F.col("__i") <= need).select("key", "node", "size")
+
+
 def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, node, component_id (smallest doc_id reachable)."""
     signed = materialize(_shingled(docs, k, id_col, text_col, False), "similar")
-    nodes = materialize(signed.groupBy("node").agg(F.min("doc_id").alias("least"), F.any_value("size").alias("size"), F.any_value("bands").alias("bands")), "similar-nodes")
+    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n"), F.any_value("size").alias("size"), F.any_value("fp").alias("fp"), F.any_value("bands").alias("bands"))
+    nodes = materialize(nodes, "similar-nodes")
+
+    by_fp = materialize(nodes.groupBy("fp").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("n")), "similar-fps")
+    same = join_by_key(nodes.select("fp", "node"), by_fp, ["fp"], "n", ["node"]).where("node <> first").select(F.col("first").alias("a"), F.col("node").alias("b"))
+    named = by_fp.select("fp", "first")
+    links = near_links(by_fp).join(named.select(F.col("fp").alias("a"), F.col("first").alias("x")), "a").join(named.select(F.col("fp").alias("b"), F.col("first").alias("y")), "b")
+    by_bits = links.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+
     rows = nodes.select("node", "size", F.explode("bands").alias("key"))
-    leaders = rows.groupBy("key").agg(F.min("node").alias("leader"), F.max("node").alias("last")).where("leader < last").select("key", "leader")
-    hits = materialize(rows.join(leaders, "key"), "similar-hits")
+    pairs = materialize(_stars(rows, percent).union(same).union(by_bits).distinct(), "similar-pairs")
+    shared = rows.groupBy("key").agg(F.min("node").alias("r"), F.max("node").alias("s")).where("r < s").select("key")
+    rows = materialize(rows.join(shared, "key", "left_semi"), "similar-hits")
 
-    wanted = hits.select("node").distinct()
-    ids = wanted.join(nodes, "node").select(F.col("least").alias("__least")).distinct()
+    wanted = rows.select("node").union(pairs.select("a")).union(pairs.select("b")).distinct()
+    ids = wanted.join(nodes.select("node", "least"), "node").select(F.col("least").alias("__least")).distinct()
     texts = docs.join(ids, F.col(id_col).cast("long").eqNullSafe(F.col("__least")), "left_semi")
     sets = _shingled(texts, k, id_col, text_col, True).join(wanted, "node", "left_semi")
     sets = materialize(sets.groupBy("node").agg(F.any_value("grams").alias("grams")), "similar-sets")
 
-    near = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
-    sizes = nodes.select(F.col("node").alias("leader"), F.col("size").alias("leader_size"))
-    stars = hits.where("node <> leader").select("leader", "node", "size").distinct().join(sizes, "leader")
-    stars = stars.where(near(F.col("size"), F.col("leader_size"))).select(F.col("leader").alias("a"), F.col("node").alias("b"))
-    links = materialize(_verified(stars, sets, percent), "similar-links")
-    first = connected_components(links)
-
-    placed = hits.join(first, "node", "left").select("key", "node", "size", F.coalesce("root", "node").alias("root"))
-    split = placed.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s")).where("r < s").select("key")
-    placed = materialize(placed.join(split, "key", "left_semi"), "similar-split")
-    other = placed.select("key", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("root").alias("b_root"))
-    across = placed.join(other, "key").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("b_root")) & near(F.col("size"), F.col("b_size")))
-    across = across.select(F.col("node").alias("a"), "b").distinct().join(stars, ["a", "b"], "left_anti")
-    roots = materialize(connected_components(links.union(_verified(across, sets, percent))), "similar-roots")
-
-    members = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
-    named = members.join(nodes.select("node", "least"), "node")
-    names = named.groupBy("root").agg(F.min("least").alias("least_of_all"))
-    joined = named.join(names, "root").select("node", "least_of_all")
-    by_node = nodes.join(joined, "node", "left").select("node", F.coalesce("least_of_all", "least").alias("component_id"))
-    return signed.select("doc_id", "node").join(by_node, "node").select("doc_id", "node", "component_id")
+    found = materialize(_verified(pairs, sets, percent), "similar-links")
+    across, crowd = _across(rows, connected_components(found), percent)
+    more = materialize(_verified(across.join(pairs, ["a", "b"], "left_anti"), sets, percent), "similar-links")
+    if not crowd.isEmpty():
+        rare = materialize(_rarest(sets.join(crowd.select("node").distinct(), "node", "left_semi"), percent), "similar-rare")
+        more = more.union(materialize(_verified(_stars(rare, percent), sets, percent), "similar-links"))
+        across, crowd = _across(rare, connected_components(found.union(more)), percent)
+        rest = crowd.select("key", "node", "size", "root")  # shares its rarest shingles, yet isn't alike
+        other = rest.select("key", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("root").alias("b_root"))
+        met = rest.join(other, "key").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("b_root")) & _near("size", "b_size", percent))
+        across = across.union(met.select(F.col("node").alias("a"), "b")).distinct()
+        more = more.union(materialize(_verified(across, sets, percent), "similar-links"))
+    roots = materialize(connected_components(found.union(more)), "similar-roots")
+    by_node = component_names(nodes.select("node", "least", "n"), "node", roots)
+    discard(rows, pairs, sets, roots, by_fp)
+    return join_by_key(signed.select("doc_id", "node"), by_node, ["node"], "n", ["doc_id"]).select("doc_id", "node", "component_id")
