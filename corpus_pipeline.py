@@ -1,4 +1,4 @@
-"""A training-data pipeline over ``documents``: six stages, each an operator of zonal.llm.
+"""A training-data pipeline over ``documents``: five stages, each an operator of zonal.llm.
 
 Every stage takes (spark, docs, sf_dir) and works on all rows of ``docs``; its result is
 written as Parquet and read again as the next stage's docs. All but the last return the
@@ -10,8 +10,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from zonal.llm import line_dedup, mixing, packing, quality, similar, simhash
-from zonal.llm.common import documents, materialize
+from zonal.llm import line_dedup, mixing, packing, quality, similar
+from zonal.llm.common import discard, documents, materialize
 from zonal.llm.queries import LINE_PAGES
 from zonal.workers import let_workers_import
 
@@ -35,15 +35,7 @@ def line_dedup_by_source(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of every group of near-duplicates the document with the smallest id stays."""
-    let_workers_import(spark)
-    found = simhash.near_duplicates(docs)
-    gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti").select(*docs.columns)
-
-
-def similar_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Near copies that fingerprints miss: of texts alike to 0.8 in five-word shingles the smallest id stays."""
+    """Of every group of texts alike to 0.8 in five-word shingles the smallest id stays."""
     let_workers_import(spark)
     found = similar.similar_groups(docs)
     gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone"))
@@ -65,7 +57,6 @@ STAGES = [
     ("quality_classifier", quality_classifier),
     ("line_dedup", line_dedup_by_source),
     ("simhash_near_dedup", simhash_near_dedup),
-    ("similar_near_dedup", similar_near_dedup),
     ("mix_sources", mix_sources),
     ("packing", pack_sequences),
 ]
@@ -77,5 +68,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), name)
+        before, docs = docs, materialize(stage(spark, docs, sf_dir), name)
+        discard(before)
     return STAGES[-1][1](spark, docs, sf_dir)
