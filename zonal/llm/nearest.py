@@ -2,40 +2,52 @@
 
 Vectors are projected on ``projections`` random lines; a block of rows keeps, for each line,
 its projections as a sorted array. A query opens a window around its own projection on every
-line; virtual rehashing widens all windows by the factor ``widen`` a round, and a vector that
-lies in the windows of at least ``share`` of the lines is a candidate. The exact measure is
-computed for every row of the block and every query, in one product before any window opens;
-collision counting only decides which of these scores may count, and saves no products. A query stops when its ``k``-th best
-verified distance is at most ``slack`` times the radius that the windows stand for, or when
-every row of the block is a candidate. The first radius is the typical distance of a k-th
-neighbour on a sample of the block, so most queries need one or two rounds.
+line; virtual rehashing widens all windows by the factor ``widen`` a round. A vector whose
+projections lie in the windows of at least a threshold of the lines is a candidate; only
+candidates are verified, that is, their exact measure is computed. The threshold follows from
+the window's ``width`` in radii: a vector at the radius falls into each window with a known
+probability, and reaches the threshold but for ``misses`` standard deviations. A query stops
+when its ``k``-th best verified distance is at most ``slack`` times the radius that the windows
+stand for, or when every row of the block is a candidate. The first radius is the typical
+distance of a k-th neighbour on a sample of the block, so most queries need few rounds.
+
+Collisions are counted over the rows inside the windows or, where these are fewer, outside.
 
 Nearness by inner product becomes nearness by distance with one more coordinate: data rows
 get sqrt(M^2 - |x|^2), queries 0, M being the largest norm; the order of distances is then
 the reverse order of inner products.
 
-Queries travel to all rows in blocks of ``query_block`` vectors, so what is broadcast has a
-fixed bound; each block of queries is one pass over the table, in which every task indexes
-its rows block by block. Per query and block only k rows leave a task.
+Queries are written to the shared folder in files of ``query_block`` vectors. One pass over the
+table answers all: a task indexes its rows block by block and reads the files of queries in
+turn, so neither driver nor executors hold more than one block of each. Per query and block
+only k rows leave a task.
 
 Defined results: vectors that are null, all zero, of another length than ``dim`` (default:
 the most frequent one) or that hold null or non-finite components take no part; ties go to
-smaller ids; a row is no candidate of a query with its own id; fewer candidates than k give
-all of them; no queries or no rows give an empty result.
+smaller ids; a row is no candidate of a query with its own id; of query rows with equal ids
+the one with the smallest vector asks; rows repeated under an id are candidates each; fewer
+candidates than k give all of them; no queries or no rows give an empty result.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import ceil, erf, sqrt
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import materialize
+
 BLOCK_ROWS = 50_000
-#: Queries that a block answers together; bounds the products held at a time.
-QUERIES_AT_ONCE = 64
+
+
+def needed(projections: int, width: float, misses: float) -> int:
+    """Lines on which a vector at the radius collides, but for so many standard deviations."""
+    p = erf(width / 2 / sqrt(2))
+    return max(1, ceil(projections * p - misses * sqrt(projections * p * (1 - p))))
 
 
 class BlockIndex:
@@ -44,9 +56,17 @@ class BlockIndex:
     def __init__(self, vectors: np.ndarray, lines: np.ndarray, top_norm: float):
         rest = np.sqrt(np.maximum(top_norm**2 - np.einsum("ij,ij->i", vectors, vectors), 0))
         at = vectors @ lines[:, :-1].T + rest[:, None] * lines[:, -1]
-        self.order = np.argsort(at, axis=0, kind="stable").T.copy()
-        self.values = np.take_along_axis(at.T, self.order, axis=1)
-        self.vectors, self.square = vectors, top_norm**2
+        order = np.argsort(at, axis=0, kind="stable")
+        self.values = np.ascontiguousarray(np.take_along_axis(at, order, axis=0).T)
+        self.order = np.ascontiguousarray(order.T.astype(np.int32))
+        self.vectors, self.square, self.top = vectors, top_norm**2, top_norm
+
+    def radius(self, queries: np.ndarray, k: int) -> float:
+        """About the distance of a query's k-th neighbour, seen on a sample of both."""
+        probe, some = queries[:: max(1, len(queries) // 64)][:64], self.vectors[:: max(1, len(self.vectors) // 4000)]
+        d2 = (probe**2).sum(1)[:, None] + self.square - 2 * probe @ some.T
+        place = min(1 + k * len(some) // len(self.vectors), len(some) - 1)
+        return max(float(np.sqrt(np.maximum(np.partition(d2, place, axis=1)[:, place], 0)).mean()), 1e-9 * max(self.top, 1e-300))
 
     def windows(self, at: np.ndarray, half: float) -> tuple[np.ndarray, np.ndarray]:
         """First and last places, per query and line, of rows within ``half`` of the query."""
@@ -54,42 +74,41 @@ class BlockIndex:
         hi = np.stack([np.searchsorted(v, a + half, "right") for v, a in zip(self.values, at.T, strict=True)], axis=1)
         return lo, hi
 
-    def search(self, queries: np.ndarray, at: np.ndarray, own: list[np.ndarray], k: int, share: float, radius: float, widen: float, slack: float, width: float) -> list[np.ndarray]:
-        """For each query the places of its best rows among the candidates, k and ties."""
-        n, m = len(self.vectors), at.shape[1]
-        need = int(np.ceil(share * m))
-        exact = queries @ self.vectors.T
+    def collisions(self, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+        """For every row the lines on which it lies in the window."""
+        m, n = self.order.shape
+        inside = 2 * int((hi - lo).sum()) <= m * n
+        cuts = zip(self.order, lo.tolist(), hi.tolist(), strict=True)
+        parts = [o[a:b] for o, a, b in cuts] if inside else [x for o, a, b in cuts for x in (o[:a], o[b:])]
+        counted = np.bincount(np.concatenate(parts), minlength=n)
+        return counted if inside else m - counted
+
+    def search(self, queries: np.ndarray, at: np.ndarray, own: list[np.ndarray], k: int, need: int, radius: float, widen: float, slack: float, width: float) -> list[tuple[np.ndarray, np.ndarray]]:
+        """For each query its candidates' places and scores: the rows that were verified."""
+        n = len(self.vectors)
         far = np.einsum("ij,ij->i", queries, queries) + self.square
-        counts = np.zeros((len(queries), n), np.uint8 if m < 255 else np.int32)
-        lo = hi = np.zeros((len(queries), m), np.int64)
-        out: list[np.ndarray] = [np.empty(0, np.int64)] * len(queries)
+        places = [np.empty(0, np.int64)] * len(queries)
+        scores = [np.empty(0)] * len(queries)
         open_ = np.arange(len(queries))
         while len(open_):
-            new_lo, new_hi = self.windows(at[open_], width * radius / 2)
+            los, his = self.windows(at[open_], width * radius / 2)
             still = []
-            for i, (q, a, b) in enumerate(zip(open_.tolist(), new_lo.tolist(), new_hi.tolist(), strict=True)):
-                if hi[i].any():  # a window grows on both sides
-                    parts = [x for j in range(m) for x in (self.order[j, a[j] : lo[i, j]], self.order[j, hi[i, j] : b[j]])]
-                else:
-                    parts = [self.order[j, a[j] : b[j]] for j in range(m)]
-                counts[q] += np.bincount(np.concatenate(parts), minlength=n).astype(counts.dtype)
-                found = counts[q] >= need
+            for i, q in enumerate(open_.tolist()):
+                found = self.collisions(los[i], his[i]) >= need
                 found[own[q]] = False
-                score = np.where(found, exact[q], -np.inf)
-                total = int(found.sum())
-                done = total >= n - len(own[q])
-                if not done and total >= k:
-                    kth = -np.partition(-score, k - 1)[k - 1]
-                    done = np.sqrt(max(far[q] - 2 * kth, 0)) <= slack * radius
+                found[places[q]] = False
+                new = np.flatnonzero(found)
+                places[q] = np.concatenate([places[q], new])
+                scores[q] = np.concatenate([scores[q], np.einsum("ij,j->i", self.vectors[new], queries[q])])
+                done = len(places[q]) >= n - len(own[q])
+                if not done and len(places[q]) >= k:
+                    kth = -np.partition(-scores[q], k - 1)[k - 1]
+                    done = sqrt(max(far[q] - 2 * kth, 0)) <= slack * radius
                 if not done:
                     still.append(i)
-                elif total > k:
-                    out[q] = np.flatnonzero(score >= -np.partition(-score, k - 1)[k - 1])
-                else:
-                    out[q] = np.flatnonzero(found)
-            open_, lo, hi = open_[still], new_lo[still], new_hi[still]
+            open_ = open_[still]
             radius *= widen
-        return out
+        return list(zip(places, scores, strict=True))
 
 
 def usable(vector: Column, dim: int) -> Column:
@@ -101,11 +120,11 @@ def nearest(
     table: DataFrame,
     is_query: Column,
     k: int = 20,
-    projections: int = 16,
-    share: float = 0.25,
-    widen: float = 1.2,
+    projections: int = 96,
+    width: float = 3.0,
+    misses: float = 1.7,
+    widen: float = 1.03,
     slack: float = 1.0,
-    width: float = 1.3,
     query_block: int = 20_000,
     seed: int = 11,
     id_col: str = "vec_id",
@@ -113,63 +132,56 @@ def nearest(
     dim: int | None = None,
 ) -> DataFrame:
     """query_id, rank, vec_id, score: the k largest inner products found for each query row."""
-    spark = table.sparkSession
     rows = table.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v"), is_query.alias("q")).where("vec_id is not null")
     if dim is None:
         most = rows.where("v is not null").groupBy(F.size("v").alias("n")).count().orderBy(F.desc("count"), "n").first()
         dim = most["n"] if most else 0
     rows = rows.where(usable(F.col("v"), dim))
     norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))
-    size = rows.agg(F.max(norm).alias("top"), F.min(F.when(F.col("q"), F.col("vec_id"))).alias("first"), F.sum(F.col("q").cast("long")).alias("n")).first()
+    size = rows.agg(F.max(norm).alias("top"), F.sum(F.col("q").cast("long")).alias("n")).first()
     top, n_queries = float(size["top"] or 1.0), int(size["n"] or 0)
-    lines = np.random.default_rng(seed).standard_normal((projections, dim + 1))
-    schema, found = "query_id bigint, vec_id bigint, score double", None
-    blocks = -(-n_queries // query_block)
-    spread = F.pmod(F.xxhash64("vec_id"), F.lit(max(1, blocks)))
-    for b in range(blocks):
-        mine = rows.where(F.col("q") & (spread == b)).select("vec_id", "v").toArrow()
-        ids = mine.column("vec_id").to_numpy()
-        vectors = np.array(mine.column("v").combine_chunks().flatten()).reshape(-1, dim)
-        sent = spark.sparkContext.broadcast((ids, vectors, lines, top))
-
-        def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            qids, queries, lines, top = sent.value
-            at = queries @ lines[:, :-1].T
-
-            def block(vec_ids: np.ndarray, data: np.ndarray) -> pa.RecordBatch:
-                index = BlockIndex(data, lines, top)
-                by_id = np.argsort(vec_ids, kind="stable")
-                own_lo, own_hi = (np.searchsorted(vec_ids[by_id], qids, side) for side in ("left", "right"))
-                # the first radius: about the distance of a query's k-th neighbour, seen on a sample
-                probe, some = queries[:: max(1, len(queries) // 64)][:64], data[:: max(1, len(data) // 4000)]
-                d2 = (probe**2).sum(1)[:, None] + top**2 - 2 * probe @ some.T
-                place = min(1 + k * len(some) // len(data), len(some) - 1)
-                radius = max(float(np.sqrt(np.maximum(np.partition(d2, place, axis=1)[:, place], 0)).mean()), 1e-9 * max(top, 1e-300))
-                out: list[tuple[np.ndarray, ...]] = []
-                for a in range(0, len(qids), QUERIES_AT_ONCE):
-                    part = slice(a, a + QUERIES_AT_ONCE)
-                    own = [by_id[x:y] for x, y in zip(own_lo[part], own_hi[part], strict=True)]
-                    found = index.search(queries[part], at[part], own, k, share, radius, widen, slack, width)
-                    for q, vector, hits in zip(qids[part].tolist(), queries[part], found, strict=True):
-                        score = data[hits] @ vector
-                        best = np.lexsort((vec_ids[hits], -score))[:k]
-                        out.append((np.full(len(best), q), vec_ids[hits][best], score[best]))
-                return pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score"])
-
-            held_ids, held = [], []
-            for batch in batches:
-                if batch.num_rows:
-                    held_ids.append(batch.column(0).to_numpy(zero_copy_only=False))
-                    held.append(np.array(batch.column(1).flatten()).reshape(-1, lines.shape[1] - 1))
-                if sum(map(len, held)) >= BLOCK_ROWS:
-                    yield block(np.concatenate(held_ids), np.concatenate(held))
-                    held_ids, held = [], []
-            if held:
-                yield block(np.concatenate(held_ids), np.concatenate(held))
-
-        part = rows.select("vec_id", "v").mapInArrow(run, schema)
-        found = part if found is None else found.unionByName(part)
-    if found is None:
-        found = spark.createDataFrame([], schema)
+    asked = rows.where("q").groupBy("vec_id").agg(F.min("v").alias("v"))
+    asked = materialize(asked.repartition(max(1, -(-n_queries // query_block)), "vec_id"), "nearest-queries")
+    where, need = asked._kept_at, needed(projections, width, misses)
+
+    def files() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Ids and vectors of the queries, a file at a time."""
+        import pyarrow.parquet as pq
+        from pyarrow import fs
+
+        store, root = fs.FileSystem.from_uri(where) if ":" in where else (fs.LocalFileSystem(), where)
+        for info in sorted(store.get_file_info(fs.FileSelector(root)), key=lambda f: f.path):
+            if info.base_name.endswith(".parquet"):
+                got = pq.ParquetFile(store.open_input_file(info.path)).read(["vec_id", "v"])
+                if got.num_rows:
+                    yield got.column("vec_id").to_numpy(), np.array(got.column("v").combine_chunks().flatten()).reshape(-1, dim)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lines = np.random.default_rng(seed).standard_normal((projections, dim + 1))
+
+        def answer(vec_ids: np.ndarray, data: np.ndarray) -> Iterator[pa.RecordBatch]:
+            index, by_id = BlockIndex(data, lines, top), np.argsort(vec_ids, kind="stable")
+            for qids, queries in files():
+                lo, hi = (np.searchsorted(vec_ids[by_id], qids, side) for side in ("left", "right"))
+                own = [by_id[a:b] for a, b in zip(lo.tolist(), hi.tolist(), strict=True)]
+                found = index.search(queries, queries @ lines[:, :-1].T, own, k, need, index.radius(queries, k), widen, slack, width)
+                out = []
+                for q, (places, scores) in zip(qids.tolist(), found, strict=True):
+                    best = np.lexsort((vec_ids[places], -scores))[:k]
+                    out.append((np.full(len(best), q), vec_ids[places[best]], scores[best]))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score"])
+
+        held_ids, held = [], []
+        for batch in batches:
+            if batch.num_rows:
+                held_ids.append(batch.column(0).to_numpy(zero_copy_only=False))
+                held.append(np.array(batch.column(1).flatten()).reshape(-1, dim))
+            if sum(map(len, held)) >= BLOCK_ROWS:
+                yield from answer(np.concatenate(held_ids), np.concatenate(held))
+                held_ids, held = [], []
+        if held:
+            yield from answer(np.concatenate(held_ids), np.concatenate(held))
+
+    found = rows.select("vec_id", "v").mapInArrow(run, "query_id bigint, vec_id bigint, score double")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.select("query_id", F.row_number().over(order).cast("int").alias("rank"), "vec_id", "score").where(F.col("rank") <= k)
