@@ -18,13 +18,7 @@ LM_ORDER = 3
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pages = documents(spark, sf_dir, "pages").select("page_id", "url", "html")
-    out = line_dedup.drop_boilerplate(pages, line_dedup.host_of(F.col("url")), "page_id", "html", LINE_RATIO, LINE_PAGES)
-    return out.select("page_id", F.col("__n_lines").alias("n_lines"), F.col("__n_dropped").alias("n_dropped"), F.col("html").alias("kept_text"))
-
-
-def op1_rendered_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pages as they are shown, without the lines that repeat over their host."""
+    """Pages as they are shown, a line a block, without the lines that repeat over their host."""
     pages = documents(spark, sf_dir, "pages").select("page_id", "url", line_dedup.rendered(F.col("html")).alias("text"))
     pages = materialize(pages, "rendered")  # read three times
     out = line_dedup.drop_boilerplate(pages, line_dedup.host_of(F.col("url")), "page_id", "text", LINE_RATIO, LINE_PAGES)
@@ -32,10 +26,11 @@ def op1_rendered_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 OP1_SQL = f"""
-with p as (
+with shown as (select page_id, url, {line_dedup.rendered_sql('html')} as html from pages),
+p as (
   select page_id, html, lower(regexp_extract(coalesce(url, ''), '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) as host,
          case when html is null then null else string_split(html, chr(10)) end as lines
-  from pages),
+  from shown),
 total as (select host, count(*) as host_pages from p group by host),
 line as (select distinct page_id, host, trim(x) as line from (select page_id, host, unnest(lines) as x from p) where trim(x) <> ''),
 bad as (
@@ -169,7 +164,6 @@ def op9_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
-    "op1_rendered_line_dedup": op1_rendered_line_dedup,
     "op2_quality_classifier": op2_quality_classifier,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
     "op4_language_model": op4_language_model,
