@@ -444,3 +444,35 @@ def test_nearest_odd_rows(spark):
     got = nearest(df, F.col("vec_id") % 20 == 0, k=20).collect()
     assert [(r.query_id, r.rank, r.vec_id) for r in sorted(got)] == [(0, 1, 1), (0, 2, 2), (0, 3, 20), (20, 1, 2), (20, 2, 0), (20, 3, 1)]
     assert nearest(df.limit(0), F.col("vec_id") % 20 == 0).count() == 0
+
+
+def test_indexed_keys_are_found():
+    from zonal.llm import language_model as lm
+
+    r = np.random.default_rng(2)
+    keys = np.unique(r.integers(0, 1 << lm.KEY_BITS, 5000, dtype=np.uint64))
+    there, f = keys[::2], lm.indexed(keys[::2])
+    ok, place = lm.locate(f, keys)
+    assert np.array_equal(np.flatnonzero(ok), np.arange(0, len(keys), 2)) and np.array_equal(there[place], there)
+    assert not lm.locate(lm.indexed(keys[:0]), keys)[0].any()
+    for n in (0, 1, 300):
+        words = r.integers(0, 1 << 40, (3, n), dtype=np.uint64)
+        words, count = lm.squash(np.concatenate([words, words], axis=1), np.ones(2 * n, np.int64))
+        assert words.shape[1] == n and (count == 2).all() and (n == 0 or (words[0][1:] >= words[0][:-1]).all())
+        got = lm.blocks(words, count, np.zeros(words.shape[1], np.int32), 1)
+        assert got.num_rows == (n > 0)
+        if n:
+            back, times = lm.unblock(n, got.column(2)[0].as_py(), 3)
+            assert np.array_equal(back, words) and np.array_equal(times, count)
+
+
+def test_language_model_with_hot_contexts_and_more_buckets(spark, monkeypatch):
+    """Contexts spread over buckets, and any number of buckets, give the same probabilities."""
+    from zonal.llm import language_model as lm
+
+    docs = spark.read.parquet(f"{DATA}/sf0.001/documents.parquet")
+    want = {r.doc_id: r.score for r in lm.score(docs, lm.train(docs, 3, buckets=8)).collect()}
+    monkeypatch.setattr(lm, "HOT_SHARE", 0.0005)
+    model = lm.train(docs, 3, buckets=1500)
+    assert all(len(h) for h in model.hot[2:]) and any(model.hot_stats[2:])
+    assert {r.doc_id: r.score for r in lm.score(docs, model).collect()} == pytest.approx(want, rel=1e-12)

@@ -1,16 +1,18 @@
 """Interpolated modified Kneser-Ney n-gram model: counted in Spark, memory-mapped by workers.
 
-Tokens are hashed to 64 bits by NumPy over whole byte buffers. Tasks aggregate the n-grams of
-some million tokens and send each bucket one compressed block of columns; a bucket holds all
-n-grams of its contexts, so one merge gives counts, the contexts' totals and numbers of
-once, twice and more often seen words, and the continuation counts of the next shorter order,
-which take the same way down to single words. Contexts so frequent that they would make a
-bucket large (known from a bounded sample that steers balance only) are spread over all
-buckets by word; their partial totals are added up on the driver, at most some hundred rows a
-bucket.
-
-Buckets are written to the shared folder as sorted arrays: 48 bits of the n-gram's hash and
-its count. Scoring tasks map these files into memory and look up sorted blocks of tokens by
+Tokens are hashed to 64 bits by NumPy over whole byte buffers. A first pass counts words and
+numbers them so that frequent words get small numbers; n-grams are then columns of word
+numbers, which compress well. Tasks aggregate the n-grams of some million tokens and send each
+bucket one compressed block; a bucket holds all n-grams of its contexts, so one merge gives
+counts, the contexts' totals and numbers of once, twice and more often seen words, and the
+continuation counts of the next shorter order, which take the same way down to single words.
+Contexts so frequent that they would make a bucket large (known from a bounded sample that
+steers balance only) are spread over all buckets by word; their partial totals are added up on
+the driver, at most some hundred rows a bucket. The number of buckets follows the bytes of
+text. A level's exchange is deleted when its result is written.
+
+Buckets are written to the shared folder as sorted arrays: 46 bits of the n-gram's hash, the
+first of them as an index, and its count. Scoring tasks map these files into memory and look up sorted blocks of tokens by
 binary search. A file's name depends on its content's bucket alone and it is renamed into
 place, so tasks can be run again at any time. On storage without a mountable path a worker
 fetches a bucket to an unlinked file and maps that.
@@ -33,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_path, text_or_empty
+from .common import buckets_for, discard, materialize, shared_path, text_or_empty
 
 U = np.uint64
 PIECE, FLUSH_TOKENS, SCORE_TOKENS = 1 << 18, 2_000_000, 400_000
@@ -74,7 +76,8 @@ def word_hashes(piece: bytes) -> np.ndarray:
 
 END_BYTES = b"\xff"  # never part of UTF-8
 END = word_hashes(END_BYTES)[0]
-START = mix(np.array([12345], U))[0]
+#: Numbers of the start mark, of the end mark, and of the first word; unknown words lie far above.
+START_ID, END_ID, FIRST_ID, UNKNOWN = U(0), U(1), 2, U(1 << 63)
 
 
 def token_blocks(texts: list[bytes]) -> Iterator[np.ndarray]:
@@ -100,14 +103,14 @@ def token_blocks(texts: list[bytes]) -> Iterator[np.ndarray]:
 
 
 def windows(tokens: np.ndarray, tail: np.ndarray, order: int) -> np.ndarray:
-    """(order, n): the token in the last row, the words before it above, START before a text."""
+    """(order, n): the word number in the last row, those before it above, START_ID before a text."""
     every = np.concatenate([tail, tokens])
     n, rows = len(tokens), [tokens]
     fresh = np.zeros(n, bool)
     for k in range(1, order):
         before = every[len(tail) - k : len(tail) - k + n]
-        fresh = fresh | (before == END)
-        rows.append(np.where(fresh, START, before))
+        fresh = fresh | (before == END_ID)
+        rows.append(np.where(fresh, START_ID, before))
     return np.stack(rows[::-1])
 
 
@@ -127,39 +130,72 @@ def home_bucket(words: np.ndarray, buckets: int, hot: np.ndarray) -> np.ndarray:
     return ((key >> U(20)) % U(buckets)).astype(np.int32)
 
 
-def squash(words: np.ndarray, counts: list[np.ndarray]) -> tuple[np.ndarray, list[np.ndarray]]:
-    """Equal n-grams merged, ordered by (context, n-gram)."""
-    context = key_of(words[:-1]) if len(words) > 1 else np.zeros(words.shape[1], U)
-    key = key_of(words)
-    order = np.lexsort((key, context)) if len(words) > 1 else np.argsort(key)
-    key = key[order]
-    first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.empty(0, np.int64)
-    return words[:, order[first]], [np.add.reduceat(c[order], first) if len(key) else c for c in counts]
+def sort_keys(words: np.ndarray) -> list[np.ndarray]:
+    """As few numbers as hold the columns of ``words``, most significant first."""
+    bits = max(int(words.max()).bit_length(), 1) if words.size else 1
+    keys, per = [], max(64 // bits, 1)
+    for i in range(0, len(words), per):
+        key = words[i]
+        for w in words[i + 1 : i + per]:
+            key = (key << U(bits)) | w
+        keys.append(key)
+    return keys
+
+
+def squash(words: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Equal n-grams merged, in order of their word numbers."""
+    if not words.shape[1]:
+        return words, count
+    keys = sort_keys(words)
+    order = np.argsort(keys[0]) if len(keys) == 1 else np.lexsort(keys[::-1])
+    new = np.zeros(len(order), bool)
+    new[0] = True
+    for key in keys:
+        key = key[order]
+        new[1:] |= key[1:] != key[:-1]
+    first = np.flatnonzero(new)
+    return words[:, order[first]], np.add.reduceat(count[order], first)
 
 
 _BLOCK = ["bucket", "n", "payload"]
 _BLOCK_DDL = "bucket int, n bigint, payload binary"
 
 
-def blocks(words: np.ndarray, counts: list[np.ndarray], buckets: int, hot: np.ndarray) -> pa.RecordBatch:
-    """One row a bucket: the columns of its n-grams, compressed."""
-    home = home_bucket(words, buckets, hot)
+def planes(x: np.ndarray) -> bytes:
+    """Whole numbers byte by byte, lowest bytes first, without the planes that are all zero."""
+    raw = np.ascontiguousarray(x, "<u8").view(np.uint8).reshape(-1, 8).T
+    used = int(x.max()).bit_length() + 7 >> 3 if len(x) else 0
+    return bytes([used]) + raw[:used].tobytes()
+
+
+def from_planes(raw: bytes, at: int, n: int) -> tuple[np.ndarray, int]:
+    used, out = raw[at], np.zeros((n, 8), np.uint8)
+    out[:, :used] = np.frombuffer(raw, np.uint8, used * n, at + 1).reshape(used, n).T
+    return out.reshape(-1).view("<u8"), at + 1 + used * n
+
+
+def blocks(words: np.ndarray, count: np.ndarray, home: np.ndarray, buckets: int) -> pa.RecordBatch:
+    """One row a bucket: the columns of its n-grams, compressed; ``words`` are in order."""
     order = np.argsort(home, kind="stable")
     ends = np.searchsorted(home[order], np.arange(buckets + 1))
     rows, codec = [], pa.Codec("zstd", 1)
     for b in np.flatnonzero(np.diff(ends)).tolist():
         pick = order[ends[b] : ends[b + 1]]
-        raw = b"".join([w[pick].tobytes() for w in words] + [c[pick].astype("<i8").tobytes() for c in counts])
-        rows.append((b, len(pick), codec.compress(raw, asbytes=True)))
+        step = np.diff(words[0][pick], prepend=U(0))  # never falls
+        body = b"".join([planes(step), *(planes(w[pick]) for w in words[1:]), planes(count[pick])])
+        rows.append((b, len(pick), len(body).to_bytes(8, "little") + codec.compress(body, asbytes=True)))
     cols = list(zip(*rows, strict=True)) or [[], [], []]
     return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.int64(), pa.binary()), strict=True)], _BLOCK)
 
 
-def unblock(n: int, payload: bytes, k: int, n_counts: int) -> tuple[np.ndarray, list[np.ndarray]]:
-    raw = pa.Codec("zstd").decompress(payload, n * 8 * (k + n_counts), asbytes=True)
-    words = np.frombuffer(raw, U, n * k).reshape(k, n)
-    rest = np.frombuffer(raw, np.int64, offset=n * k * 8).reshape(n_counts, n)
-    return words, list(rest)
+def unblock(n: int, payload: bytes, k: int) -> tuple[np.ndarray, np.ndarray]:
+    raw = pa.Codec("zstd").decompress(payload[8:], int.from_bytes(payload[:8], "little"), asbytes=True)
+    cols, at = [], 0
+    for _ in range(k + 1):
+        col, at = from_planes(raw, at, n)
+        cols.append(col)
+    cols[0] = np.cumsum(cols[0], dtype=U)
+    return np.stack(cols[:k]), cols[k].astype(np.int64)
 
 
 # ---- files in the shared folder -------------------------------------------------------------
@@ -191,7 +227,12 @@ def put_arrays(uri: str, arrays: dict[str, np.ndarray]) -> None:
         out.write(len(head).to_bytes(8, "little") + head)
         for b in body:
             out.write(b)
-    fs.move(temp, path)
+    try:
+        fs.move(temp, path)
+    except OSError:  # some storage doesn't replace: an earlier run of this task has left the same file
+        if not fs.get_file_info(path).is_file:
+            raise
+        fs.delete_file(temp)
 
 
 def map_arrays(uri: str) -> dict[str, np.ndarray]:
@@ -217,6 +258,108 @@ def map_arrays(uri: str) -> dict[str, np.ndarray]:
     return out
 
 
+# ---- sorted arrays --------------------------------------------------------------------------
+
+
+#: Bits of an n-gram's hash that are kept within its bucket, and those of them that index.
+KEY_BITS, TOP_BITS = 46, 14
+
+
+def short_key(words: np.ndarray) -> np.ndarray:
+    return key_of(words) >> U(64 - KEY_BITS)
+
+
+def by_bucket(bucket: np.ndarray, key: np.ndarray, buckets: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(bucket, places in order of the short key) of every bucket met."""
+    order = np.argsort((bucket.astype(U) << U(48)) | key) if buckets <= 1 << 16 else np.lexsort((key, bucket))
+    at = bucket[order]
+    cuts = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1], [True]])) if len(at) else [0]
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        yield int(at[a]), order[a:b]
+
+
+def indexed(key: np.ndarray) -> dict[str, np.ndarray]:
+    """Sorted short keys: where each value of the top bits begins, and the low bits."""
+    top = np.searchsorted(key >> U(KEY_BITS - TOP_BITS), np.arange((1 << TOP_BITS) + 1, dtype=U))
+    return {"top": top.astype(np.uint32), "low": key.astype(np.uint32)}
+
+
+def locate(f: dict[str, np.ndarray], key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(which keys are there, their places)."""
+    low, top = f["low"], (key >> U(KEY_BITS - TOP_BITS)).astype(np.int64)
+    if not len(low):
+        return np.zeros(len(key), bool), np.empty(0, np.int64)
+    a, end = f["top"][top].astype(np.int64), f["top"][top + 1].astype(np.int64)
+    b, want = end, key.astype(np.uint32)
+    for _ in range(int((b - a).max()).bit_length()):
+        mid = (a + b) >> 1
+        less = (a < b) & (low[np.minimum(mid, len(low) - 1)] < want)
+        a, b = np.where(less, mid + 1, a), np.where(less, b, np.minimum(mid, b))
+    place = np.minimum(a, len(low) - 1)
+    ok = (a < end) & (low[place] == want)
+    return ok, place[ok]
+
+
+def slim(x: np.ndarray) -> np.ndarray:
+    return x.astype(np.uint32 if not len(x) or int(x.max()) < 1 << 32 else U)
+
+
+def narrow(x: np.ndarray, name: str) -> dict[str, np.ndarray]:
+    """Numbers as single bytes; where they don't fit, place and number beside."""
+    many = np.flatnonzero(x >= 255)
+    return {name: np.minimum(x, 255).astype(np.uint8), f"{name}_at": many.astype(np.uint32), f"{name}_is": slim(x[many])}
+
+
+def widened(f: dict[str, np.ndarray], name: str, place: np.ndarray) -> np.ndarray:
+    got = f[name][place].astype(np.float64)
+    big = got == 255
+    if big.any():
+        got[big] = f[f"{name}_is"][np.searchsorted(f[f"{name}_at"], place[big])]
+    return got
+
+
+class Files:
+    """The files of a model in this process, mapped when first needed."""
+
+    def __init__(self, path: str, buckets: int):
+        from pyarrow.fs import FileSelector
+
+        self.path, self.buckets, self.open = path, buckets, {}
+        fs, where = _fs(path)
+        self.there = {f.base_name for f in fs.get_file_info(FileSelector(where))}
+
+    def get(self, kind: str, level: int, bucket: int) -> dict[str, np.ndarray] | None:
+        name = _name("", kind, level, bucket)[1:]
+        if name not in self.there:
+            return None
+        if name not in self.open:
+            self.open[name] = map_arrays(f"{self.path}/{name}")
+        return self.open[name]
+
+    def numbers(self, tokens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(word numbers, counts in the training texts) of hashed tokens."""
+        kinds, which = np.unique(tokens, return_inverse=True)
+        ids, times = (kinds >> U(1)) | UNKNOWN, np.zeros(len(kinds))
+        for b, who in by_bucket(((kinds >> U(20)) % U(self.buckets)).astype(np.int32), kinds >> U(16), self.buckets):
+            f = self.get("v", 0, b)
+            if f is not None:
+                at = np.minimum(np.searchsorted(f["hash"], kinds[who]), len(f["hash"]) - 1)
+                ok = f["hash"][at] == kinds[who]
+                ids[who[ok]], times[who[ok]] = f["id"][at[ok]], f["times"][at[ok]]
+        ids[kinds == END] = END_ID
+        return ids[which], times[which]
+
+
+_FILES: dict[str, Files] = {}  # for counting, when only the vocabulary is there
+
+
+def _files(path: str, buckets: int) -> Files:
+    if path not in _FILES:
+        _FILES.clear()
+        _FILES[path] = Files(path, buckets)
+    return _FILES[path]
+
+
 # ---- counting -------------------------------------------------------------------------------
 
 
@@ -250,128 +393,197 @@ def _name(path: str, kind: str, level: int, bucket: int) -> str:
     return f"{path}/{kind}{level}-{bucket:06d}"
 
 
-def _merge(level: int, order: int, path: str, buckets: int, hot: list[np.ndarray]):
-    """The task that merges a bucket's n-grams of ``level`` words and sends on shorter ones."""
-    n_counts = 1 if level == order else 2
-
-    def bucket_done(bucket: int, parts: list[tuple[np.ndarray, list[np.ndarray]]]) -> pa.RecordBatch | None:
-        words = np.concatenate([p[0] for p in parts], axis=1)
-        words, counts = squash(words, [np.concatenate(c) for c in zip(*(p[1] for p in parts), strict=True)])
-        count, raw = counts[0], counts[-1]
-        stats = np.array([*(int((count == i).sum()) for i in (1, 2, 3, 4)), len(count), int(count.sum()), int(raw.sum())], np.int64)
-        key = key_of(words) >> U(16)
-        order_ = np.argsort(key)
-        key, sorted_count = key[order_], count[order_]
-        arrays = {"hi": (key >> U(16)).astype(np.uint32), "lo": (key & U(0xFFFF)).astype(np.uint16)}
-        if level == 1:
-            put_arrays(_name(path, "n", 1, bucket), arrays | {"count": sorted_count.astype(np.int64), "raw": raw[order_].astype(np.int64)})
-            put_arrays(_name(path, "s", 1, bucket), {"stats": stats, "hot": np.empty(0, np.int64)})
-            return None
-        many = np.flatnonzero(sorted_count >= 255)
-        put_arrays(_name(path, "n", level, bucket), arrays | {"count": np.minimum(sorted_count, 255).astype(np.uint8), "many": many.astype(np.uint32), "times": sorted_count[many].astype(np.int64)})
-        context = key_of(words[:-1])
-        first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]]))
-        sums = [np.add.reduceat(x.astype(np.int64), first) for x in (count, count == 1, count == 2, count >= 3)]
-        context = context[first]
-        is_hot = np.isin(context, hot[level])
-        spread = np.stack([context[is_hot].view(np.int64), *(s[is_hot] for s in sums)]) if is_hot.any() else np.empty((5, 0), np.int64)
-        put_arrays(_name(path, "s", level, bucket), {"stats": stats, "hot": spread.reshape(-1)})
-        sums = [s[~is_hot] for s in sums]
-        order_ = np.argsort(context[~is_hot])
-        wide = np.int64 if len(sums[0]) and max(int(s.max()) for s in sums) >= 1 << 32 else np.uint32
-        put_arrays(_name(path, "c", level, bucket), {"key": context[~is_hot][order_]} | {n: s[order_].astype(wide) for n, s in zip(("total", "n1", "n2", "n3"), sums, strict=True)})
-        shorter, sent = squash(words[1:], [np.ones(len(count), np.int64), raw])
-        return blocks(shorter, sent, buckets, hot[level - 1])
+def _merged(done, k: int):
+    """A task over blocks sorted by bucket: ``done(bucket, columns, counts)`` for each bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, parts = None, []
+
+        def settle() -> Iterator[pa.RecordBatch]:
+            if parts:
+                words, count = np.concatenate([p[0] for p in parts], axis=1), np.concatenate([p[1] for p in parts])
+                parts.clear()
+                out = done(now, *squash(words, count))
+                if out is not None:
+                    yield out
+
         for batch in batches:
             for i in range(batch.num_rows):
                 bucket = batch.column(0)[i].as_py()
-                if parts and bucket != now:
-                    if (out := bucket_done(now, parts)) is not None:
-                        yield out
-                    parts = []
+                if bucket != now:
+                    yield from settle()
                 now = bucket
-                parts.append(unblock(batch.column(1)[i].as_py(), batch.column(2)[i].as_py(), level, n_counts))
-        if parts and (out := bucket_done(now, parts)) is not None:
-            yield out
+                parts.append(unblock(batch.column(1)[i].as_py(), batch.column(2)[i].as_py(), k))
+        yield from settle()
 
     return run
 
 
+def _flushed(emit, start):
+    """A task over texts: tokens are gathered by ``start()`` objects and sent every so many."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take, held, n = start(), [], 0
+        for batch in batches:
+            for tokens in token_blocks(batch.column(0).cast(pa.binary()).to_pylist()):
+                held.append(take(tokens))
+                n += len(tokens)
+                if n >= FLUSH_TOKENS:
+                    yield emit(held)
+                    held, n = [], 0
+        if held:
+            yield emit(held)
+
+    return run
+
+
+def _vocabulary(path: str, buckets: int):
+    """(task that counts words, task that numbers a bucket's words)."""
+
+    def emit(held: list[np.ndarray]) -> pa.RecordBatch:
+        kinds, times = np.unique(np.concatenate(held), return_counts=True)
+        return blocks(kinds[None], times, ((kinds >> U(20)) % U(buckets)).astype(np.int32), buckets)
+
+    def done(bucket: int, words: np.ndarray, count: np.ndarray) -> None:
+        rank = np.empty(len(count), U)
+        rank[np.argsort(-count, kind="stable")] = np.arange(len(count), dtype=U)
+        put_arrays(_name(path, "v", 0, bucket), {"hash": words[0], "id": slim(U(FIRST_ID) + rank * U(buckets) + U(bucket)), "times": slim(count)})
+        put_arrays(_name(path, "s", 0, bucket), {"stats": np.array([len(count), int(count.sum())], np.int64)})
+
+    return _flushed(emit, lambda: lambda tokens: tokens), _merged(done, 1)
+
+
+def _grams(path: str, order: int, buckets: int):
+    """Objects that turn tokens into n-grams of word numbers."""
+
+    def start():
+        files, tail = _files(path, buckets), np.full(order - 1, END_ID)
+
+        def take(tokens: np.ndarray) -> np.ndarray:
+            nonlocal tail
+            ids = files.numbers(tokens)[0]
+            rows = windows(ids, tail, order)
+            tail = np.concatenate([tail, ids])[-(order - 1) :]
+            return rows
+
+        return take
+
+    return start
+
+
+def _merge(level: int, path: str, buckets: int, hot: list[np.ndarray]):
+    """The task that merges a bucket's n-grams of ``level`` words and sends on shorter ones."""
+
+    def done(bucket: int, words: np.ndarray, count: np.ndarray) -> pa.RecordBatch | None:
+        stats = np.array([*(int((count == i).sum()) for i in (1, 2, 3, 4)), len(count), int(count.sum())], np.int64)
+        key = short_key(words)
+        order_ = np.argsort(key)
+        put_arrays(_name(path, "n", level, bucket), indexed(key[order_]) | narrow(count[order_], "count"))
+        if level == 1:
+            put_arrays(_name(path, "s", 1, bucket), {"stats": stats, "hot": np.empty(0, np.int64)})
+            return None
+        new = np.zeros(words.shape[1], bool)
+        new[0] = True
+        for w in words[:-1]:
+            new[1:] |= w[1:] != w[:-1]
+        first = np.flatnonzero(new)
+        sums = [np.add.reduceat(x.astype(np.int64), first) for x in (count, count == 1, count == 2, count >= 3)]  # total, n1, n2, n3
+        context = key_of(words[:-1, first])
+        is_hot = np.isin(context, hot[level])
+        spread = np.stack([context[is_hot].view(np.int64), *(s[is_hot] for s in sums)]) if is_hot.any() else np.empty((5, 0), np.int64)
+        put_arrays(_name(path, "s", level, bucket), {"stats": stats, "hot": spread.reshape(-1)})
+        context = context[~is_hot] >> U(64 - KEY_BITS)
+        order_ = np.argsort(context)
+        total, n1, n2, n3 = (x[~is_hot][order_] for x in sums)
+        rich = np.flatnonzero(n3)  # elsewhere the total is n1 + 2 n2
+        more = {"rich": rich.astype(np.uint32), "n3": slim(n3[rich]), "total": slim(total[rich])}
+        put_arrays(_name(path, "c", level, bucket), indexed(context[order_]) | narrow(n1, "n1") | narrow(n2, "n2") | more)
+        shorter, sent = squash(words[1:], np.ones(len(count), np.int64))
+        return blocks(shorter, sent, home_bucket(shorter, buckets, hot[level - 1]), buckets)
+
+    return _merged(done, level)
+
+
 def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 10 == 0, F.lit(False))
 
 
-def _counted(order: int, buckets: int, hot: list[np.ndarray]):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, n = [], 0
+def _hot_contexts(texts: DataFrame, order: int, path: str, buckets: int) -> list[np.ndarray]:
+    """For every level the contexts that hold a large share of the n-grams of some documents.
 
-        def flush() -> pa.RecordBatch:
-            joined = np.concatenate(held, axis=1)
-            held.clear()
-            return blocks(*squash(joined, [np.ones(n, np.int64)]), buckets, hot[order])
+    Executors count; the driver gets the frequent ones only, at most 1 / HOT_SHARE a level.
+    """
+    start = _grams(path, order, buckets)
 
-        tail = np.full(order - 1, END)
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take = start()
         for batch in batches:
             for tokens in token_blocks(batch.column(0).cast(pa.binary()).to_pylist()):
-                held.append(windows(tokens, tail, order))
-                tail = np.concatenate([tail, tokens])[-(order - 1) :] if order > 1 else tail
-                n += len(tokens)
-                if n >= FLUSH_TOKENS:
-                    yield flush()
-                    n = 0
-        if n:
-            yield flush()
+                rows = take(tokens)
+                for level in range(2, order + 1):
+                    keys, n = np.unique(key_of(rows[order - level : order - 1]), return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), level, np.int32)), pa.array(keys.view(np.int64)), pa.array(n)], ["level", "key", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([0]), pa.array([len(tokens)])], ["level", "key", "n"])
 
-    return run
+    seen = texts.limit(HOT_SAMPLE).mapInArrow(count, "level int, key bigint, n bigint").groupBy("level", "key").agg(F.sum("n").alias("n"))
+    seen = materialize(seen, "ngrams-sample")
+    total = seen.where("level = 0").agg(F.sum("n")).first()[0] or 0
+    often = seen.where((F.col("level") > 0) & (F.col("n") >= max(HOT_SHARE, 0.5 / buckets) * total)).collect()
+    discard(seen)
+    return [np.sort(np.array([r["key"] for r in often if r["level"] == level], np.int64).view(U)) for level in range(order + 1)]
 
 
-def _hot_contexts(texts: DataFrame, order: int, buckets: int) -> list[np.ndarray]:
-    """For every level the contexts that hold a large share of the n-grams of some documents."""
-    sample = [r[0].encode() for r in texts.limit(HOT_SAMPLE).collect()]
-    found = [np.empty(0, U) for _ in range(order + 1)]
-    seen: list[list[np.ndarray]] = [[] for _ in range(order + 1)]
-    for tokens in token_blocks(sample):
-        rows = windows(tokens, np.full(order - 1, END), order)
-        for level in range(2, order + 1):
-            seen[level].append(key_of(rows[order - level : order - 1]))
-    for level in range(2, order + 1):
-        if seen[level]:
-            keys, n = np.unique(np.concatenate(seen[level]), return_counts=True)
-            found[level] = keys[n >= max(HOT_SHARE, 0.5 / buckets) * n.sum()]
-    return found
+#: Makes Spark delete the exchanges of a finished job; a running session may set it.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
-def train(docs: DataFrame, order: int = 2, text_col: str = "text", buckets: int | None = None) -> Model:
+def train(docs: DataFrame, order: int = 3, text_col: str = "text", buckets: int | None = None) -> Model:
     """Count the n-grams of all rows and write the model's files."""
     if order < 2:
         raise ValueError("order must be 2 or more")
     spark = docs.sparkSession
-    buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    texts = docs.select(text_or_empty(text_col).alias("text"))
+    buckets = buckets or buckets_for(texts, "text")
     path = shared_path(spark, "ngrams")
     fs, where = _fs(path)
     fs.create_dir(where, recursive=True)
-    texts = docs.select(text_or_empty(text_col).alias("text"))
-    hot = _hot_contexts(texts, order, buckets)
-    rows = texts.mapInArrow(_counted(order, buckets, hot), _BLOCK_DDL)
-    for level in range(order, 0, -1):
-        rows = rows.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(_merge(level, order, path, buckets, hot), _BLOCK_DDL)
-    rows.count()  # the last level sends nothing on: this runs all levels
+    dealt = lambda rows: rows.repartition(buckets, "bucket").sortWithinPartitions("bucket")
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        count, number = _vocabulary(path, buckets)
+        dealt(texts.mapInArrow(count, _BLOCK_DDL)).mapInArrow(number, _BLOCK_DDL).count()
+        hot = _hot_contexts(texts, order, path, buckets)
+
+        def emit(held: list[np.ndarray]) -> pa.RecordBatch:
+            words = np.concatenate(held, axis=1)
+            words, times = squash(words, np.ones(words.shape[1], np.int64))
+            return blocks(words, times, home_bucket(words, buckets, hot[order]), buckets)
+
+        rows = texts.mapInArrow(_flushed(emit, _grams(path, order, buckets)), _BLOCK_DDL)
+        for level in range(order, 1, -1):
+            shorter = materialize(dealt(rows).mapInArrow(_merge(level, path, buckets, hot), _BLOCK_DDL), f"ngrams-{level}")
+            discard(rows)
+            rows = shorter
+        dealt(rows).mapInArrow(_merge(1, path, buckets, hot), _BLOCK_DDL).count()
+        discard(rows)
+    finally:
+        spark.conf.set(CLEANUP, before) if before is not None else spark.conf.unset(CLEANUP)
     model = Model(path, order, buckets, hot)
     for level in range(order + 1):
-        sums, hot_stats = np.zeros(7, np.int64), {}
-        for b in range(buckets) if level else ():
+        sums, hot_stats = np.zeros(6 if level else 2, np.int64), {}
+        for b in range(buckets):
             if fs.get_file_info(_name(where, "s", level, b)).is_file:
                 got = map_arrays(_name(path, "s", level, b))
                 sums += got["stats"]
-                for key, *part in got["hot"].reshape(5, -1).T.tolist():
+                for key, *part in got["hot"].reshape(5, -1).T.tolist() if level else ():
                     hot_stats[key] = tuple(a + p for a, p in zip(hot_stats.get(key, (0,) * 4), part, strict=True))
-        model.discounts.append(discounts_of(sums[:4]))
+        model.discounts.append(discounts_of(sums[:4]) if level else np.zeros(4))
         model.hot_stats.append(hot_stats)
+        if level == 0:
+            model.types, model.tokens = (int(x) for x in sums)
         if level == 1:
-            model.types, model.continuations, model.tokens = (int(x) for x in sums[4:7])
+            model.continuations = int(sums[5])
             d, n = model.discounts[1], sums[:4]
             over = model.types - int(n[0]) - int(n[1])
             model.floor_mass = float((d[1] * n[0] + d[2] * n[1] + d[3] * over) / model.continuations) if model.continuations else 1.0
@@ -382,14 +594,10 @@ def train(docs: DataFrame, order: int = 2, text_col: str = "text", buckets: int
 
 
 class Mapped:
-    """A model's files in this process; buckets are mapped when first needed."""
+    """A model in this process."""
 
     def __init__(self, model: Model):
-        self.m, self.files = model, {}
-        fs, where = _fs(model.path)
-        from pyarrow.fs import FileSelector
-
-        self.there = {f.base_name for f in fs.get_file_info(FileSelector(where))}
+        self.m, self.files = model, Files(model.path, model.buckets)  # lists all files of the finished model
         self.hot = []
         for stats in model.hot_stats:
             keys = np.array(sorted(stats), np.int64)
@@ -397,49 +605,16 @@ class Mapped:
             order = np.argsort(keys.view(U))
             self.hot.append((keys.view(U)[order], table[:, order]))
 
-    def file(self, kind: str, level: int, bucket: int) -> dict[str, np.ndarray] | None:
-        name = _name("", kind, level, bucket)[1:]
-        if name not in self.there:
-            return None
-        if name not in self.files:
-            self.files[name] = map_arrays(f"{self.m.path}/{name}")
-        return self.files[name]
-
-    def _by_bucket(self, bucket: np.ndarray, key: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-        """(bucket, places in order of key) of every bucket met."""
-        order = np.lexsort((key, bucket))
-        at = bucket[order]
-        cuts = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1], [True]]))
-        for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-            yield int(at[a]), order[a:b]
-
-    def counts(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Counts of n-grams; for single words continuation counts and raw counts."""
-        level, key = len(words), key_of(words) >> U(16)
-        count, raw = np.zeros(words.shape[1]), np.zeros(words.shape[1])
-        for b, who in self._by_bucket(home_bucket(words, self.m.buckets, self.m.hot[level]), key):
-            f = self.file("n", level, b)
-            if f is None:
-                continue
-            hi, lo = (key[who] >> U(16)).astype(np.uint32), (key[who] & U(0xFFFF)).astype(np.uint16)
-            at = np.searchsorted(f["hi"], hi)
-            last = len(f["hi"]) - 1
-            while True:
-                here = np.minimum(at, last)
-                go = (at <= last) & (f["hi"][here] == hi) & (f["lo"][here] < lo)
-                if not go.any():
-                    break
-                at = at + go
-            ok = (at <= last) & (f["hi"][here] == hi) & (f["lo"][here] == lo)
-            place = here[ok]
-            got = f["count"][place].astype(np.float64)
-            if level == 1:
-                raw[who[ok]] = f["raw"][place]
-            elif len(f["many"]):
-                big = got == 255
-                got[big] = f["times"][np.searchsorted(f["many"], place[big])]
-            count[who[ok]] = got
-        return count, raw
+    def counts(self, words: np.ndarray) -> np.ndarray:
+        """Counts of n-grams; for shorter than the longest, continuation counts."""
+        level, key = len(words), short_key(words)
+        count = np.zeros(words.shape[1])
+        for b, who in by_bucket(home_bucket(words, self.m.buckets, self.m.hot[level]), key, self.m.buckets):
+            f = self.files.get("n", level, b)
+            if f is not None:
+                ok, place = locate(f, key[who])
+                count[who[ok]] = widened(f, "count", place)
+        return count
 
     def contexts(self, words: np.ndarray, level: int) -> np.ndarray:
         """(4, n): totals and numbers of words seen once, twice and more behind contexts."""
@@ -448,37 +623,38 @@ class Mapped:
         is_hot = np.isin(key, hot_keys)
         if is_hot.any():
             out[:, is_hot] = hot_table[:, np.searchsorted(hot_keys, key[is_hot])]
-        bucket = ((key >> U(20)) % U(self.m.buckets)).astype(np.int32)
         cold = np.flatnonzero(~is_hot)
-        for b, who in self._by_bucket(bucket[cold], key[cold]) if len(cold) else ():
-            f = self.file("c", level, b)
-            if f is None or not len(f["key"]):
+        key = key[cold]
+        for b, who in by_bucket(((key >> U(20)) % U(self.m.buckets)).astype(np.int32), key >> U(64 - KEY_BITS), self.m.buckets):
+            f = self.files.get("c", level, b)
+            if f is None:
                 continue
-            who = cold[who]
-            at = np.minimum(np.searchsorted(f["key"], key[who]), len(f["key"]) - 1)
-            ok = f["key"][at] == key[who]
-            for i, n in enumerate(("total", "n1", "n2", "n3")):
-                out[i, who[ok]] = f[n][at[ok]]
+            ok, place = locate(f, key[who] >> U(64 - KEY_BITS))
+            to = cold[who[ok]]
+            n1, n2 = widened(f, "n1", place), widened(f, "n2", place)
+            out[:3, to] = n1 + 2 * n2, n1, n2
+            if len(f["rich"]):
+                at = np.minimum(np.searchsorted(f["rich"], place), len(f["rich"]) - 1)
+                rich = f["rich"][at] == place
+                out[0, to[rich]], out[3, to[rich]] = f["total"][at[rich]], f["n3"][at[rich]]
         return out
 
-    def probabilities(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Probability of each window's last word, and the word's raw count."""
+    def probabilities(self, rows: np.ndarray) -> np.ndarray:
+        """Probability of each window's last word."""
         m = self.m
         less = lambda level, c: np.maximum(c - m.discounts[level][np.minimum(c, 3).astype(np.int64)], 0)
-        count, raw = self.counts(rows[-1:])
         p = np.full(rows.shape[1], m.floor_mass / (m.types + 1))
         if m.continuations:
-            p += less(1, count) / m.continuations
+            p += less(1, self.counts(rows[-1:])) / m.continuations
         for level in range(2, m.order + 1):
             total, n1, n2, n3 = self.contexts(rows[-level:-1], level)
             seen = total > 0
             if not seen.any():
                 continue
-            count, _ = self.counts(rows[-level:][:, seen])
             d = m.discounts[level]
             rest = (d[1] * n1 + d[2] * n2 + d[3] * n3)[seen]
-            p[seen] = (less(level, count) + rest * p[seen]) / total[seen]
-        return p, raw
+            p[seen] = (less(level, self.counts(rows[-level:][:, seen])) + rest * p[seen]) / total[seen]
+        return p
 
 
 _MAPPED: dict[str, Mapped] = {}
@@ -497,14 +673,14 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
         mapped = _MAPPED[m.path]
         for batch in batches:
             sums = np.zeros((4, batch.num_rows))
-            tail, doc, held = np.full(m.order - 1, END), 0, []
+            tail, doc, held = np.full(m.order - 1, END_ID), 0, []
 
             def settle() -> None:
                 nonlocal held, doc
-                rows = np.concatenate(held, axis=1)
+                rows, raw = np.concatenate([h[0] for h in held], axis=1), np.concatenate([h[1] for h in held])
                 held = []
-                p, raw = mapped.probabilities(rows)
-                ended = rows[-1] == END
+                p = mapped.probabilities(rows)
+                ended = rows[-1] == END_ID
                 owner = doc + np.concatenate([[0], np.cumsum(ended)[:-1]])
                 doc += int(ended.sum())
                 base = np.log10((raw + 0.1) / (m.tokens + 0.1 * (m.types + 1)))
@@ -512,9 +688,10 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
                     sums[i] += np.bincount(owner, x, minlength=batch.num_rows)
 
             for tokens in token_blocks(batch.column(1).cast(pa.binary()).to_pylist()):
-                held.append(windows(tokens, tail, m.order))
-                tail = np.concatenate([tail, tokens])[-(m.order - 1) :]
-                if sum(h.shape[1] for h in held) >= SCORE_TOKENS:
+                ids, raw = mapped.files.numbers(tokens)
+                held.append((windows(ids, tail, m.order), raw))
+                tail = np.concatenate([tail, ids])[-(m.order - 1) :]
+                if sum(len(h[1]) for h in held) >= SCORE_TOKENS:
                     settle()
             if held:
                 settle()
