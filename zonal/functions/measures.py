@@ -23,7 +23,7 @@ def collect(raster: RasterLayer, layer: ZoneLayer, spec: ChunkSpec = ChunkSpec()
     turned = meta if meta.order == "row" else R.transposed(meta)
     e = zones.edges(layer) if meta.order == "row" else R.turn(layer)
     pieces = mo.intersect(layer, meta, spec, partitioner)
-    foot = store.footer(pieces)
+    foot = store.footer(pieces).persist()  # read twice below, one row a touched tile
     area = meta.tile_w * meta.tile_h
     crossings = R.edge_crossings(e, turned).agg(F.count(F.lit(1)).alias("crossings"))
     runs = R.zone_runs(layer, meta).agg(F.count(F.lit(1)).alias("runs"), F.coalesce(F.sum(F.col("x1") - F.col("x0")), F.lit(0)).alias("covered_pixels"))

@@ -9,6 +9,7 @@ from __future__ import annotations
 #: raster: (meta source, pixel select); the select sees w and h.
 RASTERS = {
     "RO": ("select count(*) as n from orders", "select o_orderkey % w as x, o_orderkey // w as y, cast(round(o_totalprice * 100) as bigint) as v from orders, m"),
+    "RT": ("select count(*) as n from orders", "select o_orderkey % w as x, o_orderkey // w as y, case when o_orderkey % 11 <> 0 then round(o_totalprice * 100) / cast(64 as double) end as v from orders, m"),
     "RC": ("select count(*) as n from orders", "select o_orderkey % w as x, o_orderkey // w as y, cast(substr(o_orderpriority, 1, 1) as bigint) as v from orders, m"),
     "RE": ("select count(*) as n from events", "select event_id % w as x, event_id // w as y, cast(round(value * 100) as bigint) as v from events, m"),
     "RD": ("select count(*) as n from documents", "select doc_id % w as x, doc_id // w as y, n_chars as v from documents, m"),
@@ -97,6 +98,14 @@ got as (select zone_id, {AGGS}{', cast(sum(v) as double) / count(*) as avg_v' if
 select zone.zone_id, coalesce(cnt, 0) as cnt, sum_v, min_v, max_v{more} from zone left join got on got.zone_id = zone.zone_id"""
 
 
+def zonal_real(zone: str, raster: str = "RT", avg: bool = False) -> str:
+    """Doubles and missing values: sums stay doubles, counts skip nodata."""
+    more = ", avg_v" if avg else ""
+    return f"""with {pairs(zone, raster)},
+got as (select zone_id, count(v) as cnt, sum(v) as sum_v, min(v) as min_v, max(v) as max_v{', sum(v) / count(v) as avg_v' if avg else ''} from pair group by zone_id)
+select zone.zone_id, coalesce(cnt, 0) as cnt, sum_v, min_v, max_v{more} from zone left join got on got.zone_id = zone.zone_id"""
+
+
 def ceil_div(a: str, b: str) -> str:
     """Ceiling of whole numbers, whatever way the engine rounds negatives."""
     return f"((({a}) + ((({b}) - ({a}) % ({b})) % ({b}))) // ({b}))"

@@ -112,10 +112,11 @@ def rel_empty_zones(spark, d):
     return z.df.select("zone_id").join(mo.intersect(z, r.meta, ChunkSpec("none")), "zone_id", "left_anti") if r.meta.pixels == r.df.count() else _zs(spark, d, "ZP").where("cnt = 0").select("zone_id")
 
 
-@register("rel_full_outer_stats", f"with a as ({O.zonal('ZN', 'RO')}), b as ({O.zonal('ZN', 'RE')}) select coalesce(a.zone_id, b.zone_id) as zone_id, a.sum_v as prices, b.sum_v as signals from (select * from a where zone_id % 2 = 0) a full join (select * from b where zone_id % 3 = 0) b on a.zone_id = b.zone_id")
+@register("rel_full_outer_stats", f"with a as ({O.zonal('ZP', 'RO')}), b as ({O.zonal('ZP', 'RE')}) select coalesce(a.zone_id, b.zone_id) as zone_id, a.sum_v as prices, b.sum_v as signals from (select * from a where cnt > 0) a full join (select * from b where cnt > 0) b on a.zone_id = b.zone_id")
 def rel_full_outer_stats(spark, d):
-    a = _zs(spark, d).where("zone_id % 2 = 0").select("zone_id", F.col("sum_v").alias("prices"))
-    b = _zs(spark, d, "ZN", "RE").where("zone_id % 3 = 0").select("zone_id", F.col("sum_v").alias("signals"))
+    """Zones that have data in either raster, beside each other."""
+    a = _zs(spark, d, "ZP").where("cnt > 0").select("zone_id", F.col("sum_v").alias("prices"))
+    b = _zs(spark, d, "ZP", "RE").where("cnt > 0").select("zone_id", F.col("sum_v").alias("signals"))
     return a.join(b, "zone_id", "full")
 
 
@@ -323,13 +324,16 @@ def rel_clip_footprint(spark, d):
     return overlapped_tiles(z, r.meta).groupBy("tile_id").agg(F.count(F.lit(1)).alias("readers"))
 
 
-@register("rel_sampled_footer")
+_SAMPLED = "md5('3:' || cast(chunk_id as {text}) || ':' || cast(tile_id as {text})) < '8'"
+
+
+@register("rel_sampled_footer", f"with {O.base('ZC', 'RO')}, {O.cut_runs(16, 16)}, foot as (select zone_id // 500 as chunk_id, tile_id, count(*) as n_runs from piece group by 1, 2) select * from foot where {_SAMPLED.format(text='varchar')}")
 def rel_sampled_footer(spark, d):
-    """Stratified sample of footer rows, for partition bounds: seeded, so reruns agree."""
+    """Half of the footer rows by a seeded hash of their key, for partition bounds: reruns agree,
+    and every chunk is sampled alike without being listed."""
     r, z = layers(spark, d, "ZC", "RO")
     foot = store.footer(mo.intersect(z, r.meta, ChunkSpec("polygons", 500)))
-    keys = [x[0] for x in foot.select("chunk_id").distinct().collect()]
-    return foot.sampleBy("chunk_id", {k: 0.5 for k in keys}, 3).select("chunk_id", "tile_id", "n_runs")
+    return foot.where(_SAMPLED.format(text="string")).select(F.col("chunk_id").cast("long"), "tile_id", "n_runs")
 
 
 

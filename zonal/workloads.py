@@ -20,6 +20,7 @@ from .operators import merge_ordered as mo
 from .operators import runs as R
 from .operators.zones import ChunkSpec, ZoneLayer
 from .plans import planner
+from .sources import formats
 from .sources.layers import layers, raster, table, zone_layer
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -42,10 +43,14 @@ def register(name: str, sql: str | None = None) -> Callable[[Query], Query]:
 
 
 def scratch(spark: SparkSession, tag: str) -> str:
-    """A new folder that executors share: below spark.checkpoint.dir, or temporary in tests."""
+    """A new folder that executors share: below spark.checkpoint.dir; temporary where all of Spark
+    is one JVM, as in tests."""
     there = spark.conf.get("spark.checkpoint.dir", None)
     if there:
         return f"{there.rstrip('/')}/{tag}-{uuid.uuid4().hex[:12]}"
+    master = spark.sparkContext.master
+    if master.startswith("local-cluster") or not master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
     import atexit
 
     path = tempfile.mkdtemp(prefix=f"zonal-{tag}-")
@@ -65,6 +70,9 @@ PAIRS = {
     "zs_region_orders": ("ZR", "RO"), "zs_comb_orders": ("ZB", "RO"), "zs_nation_events": ("ZN", "RE"), "zs_customer_events": ("ZC", "RE"),
     "zs_nation_lineitem": ("ZN", "RP"), "zs_supplier_embeddings": ("ZS", "RM"), "zs_nation_documents": ("ZN", "RD"), "zs_nation_labels": ("ZN", "RL"),
 }
+ZONES = {"nation": "ZN", "supplier": "ZS", "customer": "ZC", "part": "ZP", "region": "ZR"}
+GRIDS = {"orders": "RO", "events": "RE", "lineitem": "RP", "embeddings": "RM"}
+PAIRS |= {f"zs_{z}_{r}": (ZONES[z], GRIDS[r]) for z in ZONES for r in GRIDS}  # all pairs of five layers and four rasters
 
 
 def _method(zone: str, rast: str, run: Callable[[RasterLayer, ZoneLayer], DataFrame]) -> Query:
@@ -112,6 +120,109 @@ METHODS: dict[str, tuple[str, str, Callable[[RasterLayer, ZoneLayer], DataFrame]
 for _name, (_z, _r, _run) in METHODS.items():
     register(_name, O.zonal(_z, _r))(_method(_z, _r, _run))
 
+
+
+def _written(r: RasterLayer, per: int = 16) -> RasterLayer:
+    """The raster's tiles as a written table, in directories of ``per`` neighbouring tiles."""
+    path = scratch(r.df.sparkSession, "tiles")
+    formats.write_tiles(tiled(r), path, per)
+    return formats.read_tiles(r.df.sparkSession, path, r.meta, per)
+
+
+def _bucketed(r: RasterLayer) -> RasterLayer:
+    """The raster's tiles as a table bucketed by tile."""
+    spark = r.df.sparkSession
+    return formats.write_bucketed(tiled(r), f"zonal_tiles_{uuid.uuid4().hex[:12]}", path=scratch(spark, "bucketed"))
+
+
+def _splits(r: RasterLayer, z: ZoneLayer, **how) -> DataFrame:
+    return planner.zonal_stats(_written(r), z, method="merge_ordered", strategy="splits", store=scratch(z.df.sparkSession, "store"), chunk=ChunkSpec("polygons", 100), **how)
+
+
+#: Answers through the footer, splits, pruned directories and buckets.
+STORED: dict[str, tuple[str, str, Callable[[RasterLayer, ZoneLayer], DataFrame]]] = {
+    "splits_answer_customer": ("ZC", "RO", lambda r, z: _splits(r, z, tiles_per_split=8)),
+    "splits_answer_nation": ("ZN", "RO", lambda r, z: _splits(r, z, one_file=False)),
+    "bucketed_customer_orders": ("ZC", "RO", lambda r, z: planner.zonal_stats(_bucketed(r), z, method="merge_ordered", strategy="colocated")),
+    "pruned_supplier_orders": ("ZS", "RO", lambda r, z: planner.zonal_stats(_written(r), z, method="merge_ordered")),
+    "arrow_customer_orders": ("ZC", "RO", lambda r, z: planner.zonal_stats(tiled(r), z, method="merge_ordered", reduce="arrow")),
+}
+for _name, (_z, _r, _run) in STORED.items():
+    register(_name, O.zonal(_z, _r))(_method(_z, _r, _run))
+
+#: Doubles with missing values by every method and every reduction.
+REAL: dict[str, Callable[[RasterLayer, ZoneLayer], DataFrame]] = {
+    "real_auto": lambda r, z: planner.zonal_stats(r, z),
+    "real_pixels": _merge,
+    "real_clip": baselines.clip,
+    "real_clip_tiles": baselines.clip_by_tiles,
+    "real_probe": baselines.pixel_probe,
+    "real_scanline": baselines.scanline,
+    "real_blackbox": baselines.scanline_blackbox,
+    "real_parts": lambda r, z: baselines.run_in_parts(r, z, 1_000, _merge),
+    "real_hof": lambda r, z: planner.zonal_stats(tiled(r), z, method="merge_ordered", reduce="hof"),
+    "real_arrow": lambda r, z: planner.zonal_stats(tiled(r), z, method="merge_ordered", reduce="arrow"),
+    "real_pairs": lambda r, z: planner.zonal_stats(tiled(r), z, method="merge_ordered", reduce="pairs"),
+    "real_colmajor": lambda r, z: planner.zonal_stats(tiled(r, 16, 16, "col"), z, method="merge_ordered"),
+    "real_splits": _splits,
+}
+for _name, _run in REAL.items():
+    register(f"{_name}_supplier", O.zonal_real("ZS"))(_method("ZS", "RT", lambda r, z, f=_run: f(r, z).select("zone_id", "cnt", "sum_v", "min_v", "max_v")))
+
+
+@register("real_avg_nation", O.zonal_real("ZN", avg=True))
+def real_avg_nation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r, z = layers(spark, sf_dir, "ZN", "RT")
+    return planner.zonal_stats(tiled(r), z, ("count", "sum", "min", "max", "avg"), method="merge_ordered")
+
+
+class SquareSum:
+    """A user's accumulator: how many values, and the sum of their squares."""
+
+    columns = "n bigint, squares bigint"
+
+    def init(self) -> tuple[int, int]:
+        return 0, 0
+
+    def update_many(self, state: tuple[int, int], values) -> tuple[int, int]:
+        return state[0] + len(values), state[1] + int((values.astype("int64") ** 2).sum())
+
+    def merge(self, a: tuple[int, int], b: tuple[int, int]) -> tuple[int, int]:
+        return a[0] + b[0], a[1] + b[1]
+
+    def finish(self, state: tuple[int, int]) -> tuple[int, int]:
+        return state
+
+
+@register("custom_nation_orderprio", f"with {O.pairs('ZN', 'RC')} select zone_id, count(*) as n, cast(sum(v * v) as bigint) as squares from pair group by zone_id")
+def custom_nation_orderprio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r, z = layers(spark, sf_dir, "ZN", "RC")
+    return planner.zonal_custom(r, z, SquareSum())
+
+
+@register(
+    "lines_nation",
+    f"""with {O.base('ZN', 'RO')}, seg as (select zone_id, gx as ax, gy as ay, lead(gx) over s as zx, lead(gy) over s as zy from vertex window s as (partition by zone_id, ring order by i)),
+st as (select *, greatest(abs(zx - ax), abs(zy - ay), 1) as n from seg where zx is not null),
+p as (select zone_id, cast(floor(floor((ax * n + (zx - ax) * i) / cast(n as double)) / 16.0) as bigint) as x, cast(floor(floor((ay * n + (zy - ay) * i) / cast(n as double)) / 16.0) as bigint) as y from (select *, unnest(range(0, cast(n + 1 as bigint))) as i from st))
+select distinct zone_id, x, y from p, m where x >= 0 and x < w and y >= 0 and y < h""",
+)
+def lines_nation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pixels along the nations' open outlines."""
+    r, z = layers(spark, sf_dir, "ZN", "RO")
+    return zones.lines(r.meta, z)
+
+
+@register(
+    "tile_bounds_orders",
+    f"with {O.base('ZN', 'RO')}, t as (select unnest(range(((w + 15) // 16) * ((h + 15) // 16))) as tile_id from m) select tile_id, (tile_id % ((w + 15) // 16)) * 16 as x0, (tile_id // ((w + 15) // 16)) * 16 as y0, least((tile_id % ((w + 15) // 16) + 1) * 16, w) as x1, least((tile_id // ((w + 15) // 16) + 1) * 16, h) as y1 from t, m",
+)
+def tile_bounds_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    meta = raster(spark, sf_dir, "RO").meta
+    tiles = spark.range(meta.tiles_x * meta.tiles_y).withColumnRenamed("id", "tile_id")
+    return tiles.withColumn("b", grid.tile_bounds(meta, F.col("tile_id"))).select("tile_id", "b.*")
+
+
 for _k in (1, 10, 50, 100, 500, 1000):
     register(f"zs_customer_first{_k}", O.zonal("ZC", "RO", f"zone_id < {_k}"))(
         _method("ZC", "RO", lambda r, z, k=_k: _merge(r, ZoneLayer(z.df.where(F.col("zone_id") < k))))
@@ -309,8 +420,8 @@ def _per_layer(body: Callable[[str], str]) -> str:
     return " union all ".join(f"select * from ({body(z)})" for z in AREA_LAYERS)
 
 
-def _params(spark: SparkSession, sf_dir: str) -> list[tuple[str, RasterLayer, ZoneLayer, Params]]:
-    r = raster(spark, sf_dir, "RO")
+def _params(spark: SparkSession, sf_dir: str, name: str = "RO") -> list[tuple[str, RasterLayer, ZoneLayer, Params]]:
+    r = raster(spark, sf_dir, name)
     found = []
     for name in AREA_LAYERS:
         z = zone_layer(spark, sf_dir, name, r.meta)
@@ -323,28 +434,62 @@ _CROSS = f"(n_s * (2 * h_p / {_MEAN}) / cast(0.25 as double))"
 _CHUNKS = "greatest(1, cast(ceil(n_p / cast(5000 as double)) as bigint))"
 
 
-@register(
-    "cost_merge",
-    _per_layer(lambda z: f"""with {O.base(z, 'RO')}, {_STATS_SQL}, k as (select *, {_CROSS} as total, {_CROSS} / {_CHUNKS} as part, {_CHUNKS} as chunks from s)
+#: Tile sizes of the rasters that the cost model is evaluated on.
+_TILE = {"RO": ("16", "16"), "RP": "((w + 35) // 36) 1".rsplit(" ", 1)}
+
+
+def _cost_merge_sql(z: str, r: str) -> str:
+    tw, th = _TILE[r]
+    return f"""with {O.base(z, r)}, {_STATS_SQL}, k as (select *, {_CROSS} as total, {_CROSS} / {_CHUNKS} as part, {_CHUNKS} as chunks from s)
 select '{z}' as layer, n_p, n_s, cast(round(total) as bigint) as crossings,
-  cast(round(chunks * (cast(ceil(w / cast(16 as double)) * ceil(h / cast(16 as double)) * 256 as double) + part + part * case when part > 1 then log2(part) else 0 end) / 1000) as bigint) as merge_kilo_units from k, m"""),
-)
-def cost_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Estimates for all zone layers on the price raster."""
-    rows = [(n, int(q.n_p), int(q.n_s), round(cost.merge_crossings(q)[1]), round(cost.merge_time(q) / 1000)) for n, _, _, q in _params(spark, sf_dir)]
-    return spark.createDataFrame(rows, "layer string, n_p bigint, n_s bigint, crossings bigint, merge_kilo_units bigint")
+  cast(round(chunks * (cast(ceil(w / cast({tw} as double)) * ceil(h / cast({th} as double)) * {tw} * {th} as double) + part + part * case when part > 1 then log2(part) else 0 end) / 1000) as bigint) as merge_kilo_units from k, m"""
 
 
-@register(
-    "cost_clip",
-    _per_layer(lambda z: f"""with {O.base(z, 'RO')}, {_STATS_SQL}, k as (select *, cast(ceil(w_p / 4) * ceil(h_p / 4) as bigint) as tiles from s)
-select '{z}' as layer, tiles, n_p * tiles * 256 as clip_pixels, cast(round(n_s * case when {_MEAN} > 1 then log2({_MEAN}) else 0 end) as bigint) as sort_units,
-  cast(round((cast(n_s as double) * log2(n_s) + w * h * log2(n_s)) / 1000) as bigint) as probe_kilo_units from k, m"""),
-)
-def cost_clip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Estimates of the two baselines for all zone layers."""
-    rows = [(n, int(cost.clip_tiles_per_zone(q)), int(cost.clip_pixels(q)), round(cost.clip_sort(q)), round(cost.probe_time(q) / 1000)) for n, _, _, q in _params(spark, sf_dir)]
-    return spark.createDataFrame(rows, "layer string, tiles bigint, clip_pixels bigint, sort_units bigint, probe_kilo_units bigint")
+def _cost_clip_sql(z: str, r: str) -> str:
+    tw, th = _TILE[r]
+    return f"""with {O.base(z, r)}, {_STATS_SQL}, k as (select *, cast(ceil(w_p / ({tw} * cast(0.25 as double))) * ceil(h_p / ({th} * cast(0.25 as double))) as bigint) as tiles from s, m)
+select '{z}' as layer, tiles, cast(n_p * tiles * {tw} * {th} as bigint) as clip_pixels, cast(round(n_s * case when {_MEAN} > 1 then log2({_MEAN}) else 0 end) as bigint) as sort_units,
+  cast(round((cast(n_s as double) * log2(n_s) + w * h * log2(n_s)) / 1000) as bigint) as probe_kilo_units from k"""
+
+
+def _disk_sql(z: str, r: str) -> str:
+    tw, th = _TILE[r]
+    return f"""with {O.base(z, r)}, {_STATS_SQL}, k as (select *, {_CROSS} as total, {_CHUNKS} as chunks, n_s * 16 + n_p * 16 as bytes, ceil(w_p / ({tw} * cast(0.25 as double))) * ceil(h_p / ({th} * cast(0.25 as double))) as tiles from s, m)
+select '{z}' as layer, cast(round(bytes + 2 * total * 24 + chunks * ceil(w / cast({tw} as double)) * ceil(h / cast({th} as double)) * {tw} * {th} * 8) as bigint) as merge_bytes,
+  cast(round(bytes + n_p * tiles * {tw} * {th} * 8) as bigint) as clip_bytes, cast(w * h + bytes as bigint) as probe_bytes from k"""
+
+
+def _cost_merge(name: str) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Merge-ordered estimates for all zone layers."""
+        rows = [(n, int(q.n_p), int(q.n_s), round(cost.merge_crossings(q)[1]), round(cost.merge_time(q) / 1000)) for n, _, _, q in _params(spark, sf_dir, name)]
+        return spark.createDataFrame(rows, "layer string, n_p bigint, n_s bigint, crossings bigint, merge_kilo_units bigint")
+
+    return query
+
+
+def _cost_clip(name: str) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Estimates of the two baselines for all zone layers."""
+        rows = [(n, int(cost.clip_tiles_per_zone(q)), int(cost.clip_pixels(q)), round(cost.clip_sort(q)), round(cost.probe_time(q) / 1000)) for n, _, _, q in _params(spark, sf_dir, name)]
+        return spark.createDataFrame(rows, "layer string, tiles bigint, clip_pixels bigint, sort_units bigint, probe_kilo_units bigint")
+
+    return query
+
+
+def _cost_disk(name: str) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Bytes that the methods read and write, for all zone layers."""
+        rows = [(n, round(cost.merge_disk(q)), round(cost.clip_disk(q)), round(cost.probe_disk(q))) for n, _, _, q in _params(spark, sf_dir, name)]
+        return spark.createDataFrame(rows, "layer string, merge_bytes bigint, clip_bytes bigint, probe_bytes bigint")
+
+    return query
+
+
+for _suffix, _r in (("", "RO"), ("_lineitem", "RP")):
+    register(f"cost_merge{_suffix}", _per_layer(lambda z, r=_r: _cost_merge_sql(z, r)))(_cost_merge(_r))
+    register(f"cost_clip{_suffix}", _per_layer(lambda z, r=_r: _cost_clip_sql(z, r)))(_cost_clip(_r))
+    register(f"cost_disk{_suffix}", _per_layer(lambda z, r=_r: _disk_sql(z, r)))(_cost_disk(_r))
 
 
 _BOX = """
@@ -367,18 +512,44 @@ def measured_tiles_clip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-@register(
-    "spearman_merge",
-    "with d as (" + _per_layer(lambda z: f"with {O.base(z, 'RO')}, {_STATS_SQL}, {O.CROSSINGS} select {_CROSS} as est, (select count(*) from crossing) as seen from s")
-    + "), r as (select rank() over (order by est) as a, rank() over (order by seen) as b, count(*) over (partition by est) as na, count(*) over (partition by seen) as nb from d) select round(corr(a + (na - 1) / 2.0, b + (nb - 1) / 2.0), 6) as r_s from r",
-)
-def spearman_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rank correlation of estimated and counted crossings over the zone layers."""
-    rows = None
-    for name, r, z, q in _params(spark, sf_dir):
-        one = R.edge_crossings(zones.edges(z), r.meta).agg(F.lit(name).alias("layer"), F.lit(cost.merge_crossings(q)[1]).alias("est"), F.count(F.lit(1)).alias("seen"))
-        rows = one if rows is None else rows.unionByName(one)
-    return measures.spearman(rows, "est", "seen").select(F.round("r_s", 6).alias("r_s"))
+_RANKED = "), r as (select rank() over (order by est) as a, rank() over (order by seen) as b, count(*) over (partition by est) as na, count(*) over (partition by seen) as nb from d) select round(corr(a + (na - 1) / 2.0, b + (nb - 1) / 2.0), 6) as r_s from r"
+
+
+def _spearman_merge(name: str) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Rank correlation of estimated and counted crossings over the zone layers."""
+        rows = None
+        for n, r, z, q in _params(spark, sf_dir, name):
+            one = R.edge_crossings(zones.edges(z), r.meta).agg(F.lit(n).alias("layer"), F.lit(cost.merge_crossings(q)[1]).alias("est"), F.count(F.lit(1)).alias("seen"))
+            rows = one if rows is None else rows.unionByName(one)
+        return measures.spearman(rows, "est", "seen").select(F.round("r_s", 6).alias("r_s"))
+
+    return query
+
+
+def _spearman_clip(name: str) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Rank correlation of clip's estimated pixels with the pixels of the tiles it reads."""
+        rows = None
+        for n, r, z, q in _params(spark, sf_dir, name):
+            one = baselines.overlapped_tiles(z, r.meta).agg(F.lit(n).alias("layer"), F.lit(float(cost.clip_pixels(q))).alias("est"), F.count(F.lit(1)).alias("seen"))
+            rows = one if rows is None else rows.unionByName(one)
+        return measures.spearman(rows, "est", "seen").select(F.round("r_s", 6).alias("r_s"))
+
+    return query
+
+
+def _clip_seen(z: str, r: str) -> str:
+    tw, th = _TILE[r]
+    return f"""with {O.base(z, r)}, {_STATS_SQL}, box as (select zone_id, min(gx) as x0, max(gx) as x1, min(gy) as y0, max(gy) as y1 from vertex group by zone_id),
+span as (select greatest(floor(x0 / (16.0 * {tw})), 0) as c0, least(floor(x1 / (16.0 * {tw})), ceil(w / cast({tw} as double)) - 1) as c1, greatest(floor(y0 / (16.0 * {th})), 0) as r0, least(floor(y1 / (16.0 * {th})), ceil(h / cast({th} as double)) - 1) as r1 from box, m),
+seen as (select cast(coalesce(sum((c1 - c0 + 1) * (r1 - r0 + 1)) filter (c0 <= c1 and r0 <= r1), 0) as bigint) as seen from span)
+select cast(n_p * ceil(w_p / ({tw} * cast(0.25 as double))) * ceil(h_p / ({th} * cast(0.25 as double))) * {tw} * {th} as double) as est, seen from s, m, seen"""
+
+
+for _suffix, _r in (("", "RO"), ("_lineitem", "RP")):
+    register(f"spearman_merge{_suffix}", "with d as (" + _per_layer(lambda z, r=_r: f"with {O.base(z, r)}, {_STATS_SQL}, {O.CROSSINGS} select {_CROSS} as est, (select count(*) from crossing) as seen from s") + _RANKED)(_spearman_merge(_r))
+    register(f"spearman_clip{_suffix}", "with d as (" + _per_layer(lambda z, r=_r: _clip_seen(z, r)) + _RANKED)(_spearman_clip(_r))
 
 
 #: Published (estimate, seconds) points, fixed values in printed order.
