@@ -38,7 +38,7 @@ from .simhash import component_names, majority_bits, near_links, shingle_hashes
 
 BANDS, ROWS = 24, 4
 #: Nodes of several components in a bucket that are still compared with each other.
-CROWD = 64
+CROWD = 8
 _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 32, BANDS * ROWS, np.uint32)[:, None]
 _MUL = _RNG.integers(0, 1 << 32, BANDS * ROWS, np.uint32)[:, None] | np.uint32(1)
