@@ -54,8 +54,9 @@ def _local_forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 def connected_components(links: DataFrame) -> DataFrame:
     """``links`` has two long columns; returns (node, root) for all nodes but the roots."""
     a, b = links.columns
-    edges = links.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a <> b")
-    edges = materialize(edges.mapInArrow(_local_forest, "a bigint, b bigint"), "links")
+    links = materialize(links.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a <> b"), "links")
+    edges = materialize(links.mapInArrow(_local_forest, "a bigint, b bigint"), "links")  # no two Python workers at once a task
+    discard(links)
     while not edges.isEmpty():
         both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).union(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
         least = materialize(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count(F.lit(1)).alias("n")), "links-least")
