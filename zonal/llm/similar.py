@@ -11,12 +11,16 @@ Two documents are linked if the Jaccard similarity of their sets of ``k``-word s
 3. Candidates are decided on their whole shingle sets, so no link is wrong but for collisions
    of 64-bit hashes.
 
-A bucket holds few nodes or one group of copies. All members of a bucket are first held
-against one of them; what that links is one component, and only nodes of different components
-are compared after it, so a group of copies costs no pairs by its square. Where a bucket still
-holds many components, as pages of one template do, its nodes meet only if they share one of
-their rarest shingles: of sets that are 0.8 alike, the rarest fifth and one more always share
-one. Joins cut hot buckets and leaders into pieces.
+A bucket holds few nodes or a group of copies. Its nodes are first held against one of them,
+another in each bucket, or the one that looks like the original; what that links is one
+component. Where many pairs of different
+components are left, further rounds follow with other leaders, so a group of copies costs
+about its size times the rounds, not its square. Only then are nodes of different components
+compared: directly in small buckets; in others, as pages of one template give, if they share
+one of their rarest shingles: of sets that are 0.8 alike, the larger one's rarest fifth and one
+more and the smaller one's rarest ninth and one more always share one. All of this saves work only, no pair is given up. Joins cut hot buckets and
+leaders into pieces. What stays quadratic is a group of texts that are nearly, but not quite,
+alike and linked to nothing.
 
 Defined results: null text is empty; texts without words are equal to each other; fewer words
 than a shingle: the sequence is the shingle; a null id is a member but never a component's
@@ -39,6 +43,8 @@ from .simhash import component_names, majority_bits, near_links, shingle_hashes
 BANDS, ROWS = 24, 4
 #: Nodes of several components in a bucket that are still compared with each other.
 CROWD = 8
+#: Rounds of leaders at most, and the pairs a row of a bucket that aren't worth another one.
+ROUNDS, FEW = 2, 1
 _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 32, BANDS * ROWS, np.uint32)[:, None]
 _MUL = _RNG.integers(0, 1 << 32, BANDS * ROWS, np.uint32)[:, None] | np.uint32(1)
@@ -103,35 +109,90 @@ def _near(x: str, y: str, percent: int):
     return F.least(F.col(x), F.col(y)) * 100 >= F.greatest(F.col(x), F.col(y)) * percent
 
 
-def _stars(rows: DataFrame, percent: int) -> DataFrame:
-    """Of rows (key, node, size), every node beside the smallest of each bucket: a, b."""
-    leaders = rows.groupBy("key").agg(F.min(F.struct("node", "size")).alias("s"), F.max("node").alias("last"), F.count(F.lit(1)).alias("n"))
-    leaders = leaders.where("s.node < last").select("key", F.col("s.node").alias("a"), F.col("s.size").alias("a_size"), "n")
-    leaders = materialize(leaders, "similar-leaders")
-    met = join_by_key(rows, leaders, ["key"], "n", ["node"]).where(F.col("node") != F.col("a"))
-    return met.where(_near("size", "a_size", percent)).select("a", F.col("node").alias("b")).distinct()
-
-
-def _across(rows: DataFrame, roots: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
-    """(pairs a, b of different components in small buckets; rows of crowded buckets)."""
-    placed = rows.join(roots, "node", "left").select("key", "node", "size", F.coalesce("root", "node").alias("root"))
-    split = placed.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s"), F.count(F.lit(1)).alias("n"))
-    split = materialize(split.where("r < s").select("key", "n"), "similar-buckets")
-    placed = materialize(join_by_key(placed, split, ["key"], "n", ["node"]), "similar-split")
-    few = placed.where(F.col("n") <= CROWD)
-    other = few.select("key", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("root").alias("b_root"))
-    met = few.join(other, "key").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("b_root")) & _near("size", "b_size", percent))
-    return met.select(F.col("node").alias("a"), "b").distinct(), placed.where(F.col("n") > CROWD)
+def _stars(rows: DataFrame, percent: int, seed: int = 0) -> DataFrame:
+    """Every node beside one of each bucket: a, b. It is first the one of the greatest weight,
+    in later rounds, and without weights, one drawn by hash.
+
+    Rows that have their component in ``root`` are left out where it is the leader's.
+    """
+    heavy = [(-F.col("weight")).alias("w")] if "weight" in rows.columns and not seed else []
+    lead = F.struct(*heavy, F.xxhash64("key", "node", F.lit(seed)).alias("h"), "node", "size", *(["root"] if "root" in rows.columns else []))
+    leaders = rows.groupBy("key").agg(F.min(lead).alias("s"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    names = [F.col("s.node").alias("a"), F.col("s.size").alias("a_size"), *([F.col("s.root").alias("a_root")] if "root" in rows.columns else [])]
+    leaders = materialize(leaders.select("key", *names, "n"), "similar-leaders")
+    met = join_by_key(rows.drop("n"), leaders, ["key"], "n", ["node"]).where((F.col("node") != F.col("a")) & _near("size", "a_size", percent))
+    if "root" in rows.columns:
+        met = met.where("root <> a_root")
+    return met.select(F.least("a", "node").alias("a"), F.greatest("a", "node").alias("b")).distinct()
+
+
+def _split(rows: DataFrame, roots: DataFrame) -> DataFrame:
+    """Rows of buckets that hold several components, with root, and n, their bucket's rows."""
+    placed = rows.join(roots, "node", "left").select("key", "node", "size", "indexed", "shared", F.coalesce("root", "node").alias("root"))
+    placed = materialize(placed, "similar-placed")
+    split = placed.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s"), F.count(F.lit(1)).alias("n"), F.bool_or("indexed").alias("any"))
+    split = materialize(split.where("r < s and any").select("key", "n"), "similar-buckets")
+    out = materialize(join_by_key(placed, split, ["key"], "n", ["node"]), "similar-split")
+    discard(placed, split)
+    return out
+
+
+def _open_pairs(split: DataFrame) -> tuple[int, int]:
+    """(pairs of indexed and other rows of different components in one bucket, rows)."""
+    per = split.groupBy("key", "root").agg(F.count(F.lit(1)).alias("c"), F.count_if("indexed").alias("i"), F.max("n").alias("n"))
+    got = per.agg(F.sum(F.col("i") * (F.col("n") - F.col("c"))), F.sum("c")).first()
+    return got[0] or 0, got[1] or 0
+
+
+def _across(split: DataFrame, percent: int) -> DataFrame:
+    """Pairs a, b of different components that share a bucket, the smaller one indexed there, and
+    that have enough shingles which occur elsewhere at all."""
+    other = split.select("key", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("shared").alias("b_shared"), F.col("root").alias("b_root"))
+    enough = F.least("shared", "b_shared") * (100 + percent) >= (F.col("size") + F.col("b_size")) * percent
+    ordered = F.struct("size", "node") < F.struct("b_size", "b")
+    met = split.where("indexed").drop("n").join(other, "key").where(ordered & (F.col("root") != F.col("b_root")) & _near("size", "b_size", percent) & enough)
+    return met.select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
+
+
+def _settled(rows: DataFrame, found: DataFrame, sets: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(links, rows of buckets that still hold several components) after rounds of leaders.
+
+    A bucket's nodes meet another leader each round, those of the leader's component left out,
+    until few pairs of different components are left or rounds no longer help. This only saves
+    work: what is left is compared by the caller.
+    """
+    split = _split(rows, connected_components(found))
+    left, n = _open_pairs(split)
+    for seed in range(1, ROUNDS + 1):
+        if left <= FEW * n:
+            break
+        more = materialize(_verified(_stars(split, percent, seed), sets, percent), "similar-links")
+        found = materialize(found.union(more), "similar-links")
+        before, split = split, _split(split.select("key", "node", "size", "indexed", "shared"), connected_components(found))
+        discard(before, more)
+        left, n = _open_pairs(split)
+    return found, split
 
 
 def _rarest(sets: DataFrame, percent: int) -> DataFrame:
-    """(key, node, size): each set's rarest shingles, as many as similar sets must share one of."""
+    """(key, node, size, indexed, shared, weight): each set's rarest shingles, as many as similar
+    sets share one of; how many of a set's shingles others have, and how common they are: of a
+    group of copies the original has the greatest weight.
+
+    A set and a smaller one that is similar share a shingle that is among the rarest
+    size - percent of size + 1 of the larger, and, as they must agree in twice as much of the
+    smaller one's size over 100 + percent, among still fewer of the smaller: those are indexed.
+    """
     grams = sets.select("node", F.size("grams").alias("size"), F.explode("grams").alias("key"))
     seen = materialize(grams.groupBy("key").agg(F.count(F.lit(1)).alias("n")), "similar-seen")
     ranked = join_by_key(grams, seen, ["key"], "n", ["node"])
     order = Window.partitionBy("node").orderBy("n", "key")
     need = F.col("size") - F.ceil(F.col("size") * percent / 100) + 1
-    return ranked.withColumn("__i", F.row_number().over(order)).where(F.col("__i") <= need).select("key", "node", "size")
+    fewer = F.col("size") - F.ceil(F.col("size") * (2 * percent) / (100 + percent)) + 1
+    every = Window.partitionBy("node")
+    ranked = ranked.withColumn("__i", F.row_number().over(order)).withColumn("shared", F.count_if(F.col("n") > 1).over(every)).withColumn("weight", F.sum(F.log2("n")).over(every))
+    ranked = ranked.where((F.col("__i") <= need) & (F.col("n") > 1))
+    return ranked.select("key", "node", "size", (F.col("__i") <= fewer).alias("indexed"), "shared", "weight")
 
 
 def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -146,7 +207,7 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str =
     links = near_links(by_fp).join(named.select(F.col("fp").alias("a"), F.col("first").alias("x")), "a").join(named.select(F.col("fp").alias("b"), F.col("first").alias("y")), "b")
     by_bits = links.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
 
-    rows = nodes.select("node", "size", F.explode("bands").alias("key"))
+    rows = nodes.select("node", "size", F.explode("bands").alias("key"), F.lit(True).alias("indexed"), F.col("size").cast("long").alias("shared"))
     pairs = materialize(_stars(rows, percent).union(same).union(by_bits).distinct(), "similar-pairs")
     shared = rows.groupBy("key").agg(F.min("node").alias("r"), F.max("node").alias("s")).where("r < s").select("key")
     rows = materialize(rows.join(shared, "key", "left_semi"), "similar-hits")
@@ -158,18 +219,15 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str =
     sets = materialize(sets.groupBy("node").agg(F.any_value("grams").alias("grams")), "similar-sets")
 
     found = materialize(_verified(pairs, sets, percent), "similar-links")
-    across, crowd = _across(rows, connected_components(found), percent)
-    more = materialize(_verified(across.join(pairs, ["a", "b"], "left_anti"), sets, percent), "similar-links")
+    found, split = _settled(rows, found, sets, percent)
+    few, crowd = split.where(F.col("n") <= CROWD), split.where(F.col("n") > CROWD)
+    links = found.union(materialize(_verified(_across(few, percent), sets, percent), "similar-links"))
     if not crowd.isEmpty():
         rare = materialize(_rarest(sets.join(crowd.select("node").distinct(), "node", "left_semi"), percent), "similar-rare")
-        more = more.union(materialize(_verified(_stars(rare, percent), sets, percent), "similar-links"))
-        across, crowd = _across(rare, connected_components(found.union(more)), percent)
-        rest = crowd.select("key", "node", "size", "root")  # shares its rarest shingles, yet isn't alike
-        other = rest.select("key", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("root").alias("b_root"))
-        met = rest.join(other, "key").where((F.col("node") < F.col("b")) & (F.col("root") != F.col("b_root")) & _near("size", "b_size", percent))
-        across = across.union(met.select(F.col("node").alias("a"), "b")).distinct()
-        more = more.union(materialize(_verified(across, sets, percent), "similar-links"))
-    roots = materialize(connected_components(found.union(more)), "similar-roots")
+        links = materialize(links.union(_verified(_stars(rare, percent), sets, percent)), "similar-links")
+        links, rest = _settled(rare, links, sets, percent)
+        links = links.union(materialize(_verified(_across(rest, percent), sets, percent), "similar-links"))
+    roots = materialize(connected_components(links), "similar-roots")
     by_node = component_names(nodes.select("node", "least", "n"), "node", roots)
-    discard(rows, pairs, sets, roots, by_fp)
+    discard(rows, pairs, split, sets, roots, by_fp)
     return join_by_key(signed.select("doc_id", "node"), by_node, ["node"], "n", ["doc_id"]).select("doc_id", "node", "component_id")
