@@ -56,3 +56,36 @@ def test_late_and_repeated_rows(spark, tmp_path):
             assert {(r.cnt, r.sum_v) for r in kept} == {(1, 100), (1, 200)}
         if i == 1:
             assert kept == []
+
+
+def test_sliding_windows_and_sessions_end_as_batch(spark, parts, tmp_path):
+    folder, ev, meta, z = parts
+    for name, make in (("sliding", lambda p, delay: P.windowed(p, "2 days", "1 day", delay)), ("session", lambda p, delay: P.sessions(p, delay=delay))):
+        want = make(P.zone_stream(P.event_pixels(ev, meta).withColumn("ts", F.col("ts").cast("timestamp")), z, meta), None)
+        px = P.event_pixels(P.source(spark, folder, ev.schema, 10), meta)
+        P.to_table(make(P.zone_stream(px, z, meta), "40 days"), f"st_{name}", f"{tmp_path}/{name}", "complete" if name == "sliding" else "append").awaitTermination(180)
+        got = sorted(map(tuple, spark.table(f"st_{name}").collect()))
+        if name == "sliding":
+            assert got == sorted(map(tuple, want.collect()))
+        else:  # sessions still open at the end of the input stay in state
+            assert set(got) <= set(map(tuple, want.collect()))
+
+
+def test_custom_state_with_time_to_live(spark, parts, tmp_path):
+    folder, ev, meta, z = parts
+    keys = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider", "spark.sql.shuffle.partitions": "1"}
+    old, got = {k: spark.conf.get(k) for k in keys}, {}
+    try:
+        for k, v in keys.items():
+            spark.conf.set(k, v)
+        px = P.event_pixels(P.source(spark, folder, ev.schema), meta)
+        stream = P.stateful_stats(P.zone_stream(px, z, meta), 3_600_000)
+        query = P.to_batches(stream, lambda df, _: got.update({r.zone_id: (r.cnt, r.sum_v, r.min_v, r.max_v) for r in df.collect()}), str(tmp_path))
+        query.processAllAvailable()
+        query.stop()  # with a time to live Spark goes on to look for state that ends
+    finally:
+        for k, v in old.items():
+            spark.conf.set(k, v)
+    raster = from_key(ev, "event_id", F.round(F.col("value") * 100).cast("long"), (32, 32))
+    want = planner.zonal_stats(raster, z, method="merge_ordered", keep_empty=False)
+    assert got == {r.zone_id: (r.cnt, r.sum_v, r.min_v, r.max_v) for r in want.collect()}

@@ -48,10 +48,16 @@ def without_repeats(pixels: DataFrame, delay: str = "2 hours") -> DataFrame:
     return pixels.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def _watermarked(pairs: DataFrame, delay: str | None) -> DataFrame:
+    """Watermarks need times with a zone: times without one are read in the session's."""
+    if not delay:
+        return pairs
+    return pairs.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
+
+
 def windowed(pairs: DataFrame, width: str = "1 day", slide: str | None = None, delay: str | None = "2 hours") -> DataFrame:
     """Tumbling or sliding windows a zone; with a delay late rows are dropped."""
-    if delay:
-        pairs = pairs.withWatermark("ts", delay)
+    pairs = _watermarked(pairs, delay)
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
     got = pairs.groupBy(w.alias("w"), "zone_id").agg(*value_aggs(("count", "sum"), pairs))
     return got.select("zone_id", F.col("w.start").alias("start"), "cnt", "sum_v")
@@ -59,8 +65,7 @@ def windowed(pairs: DataFrame, width: str = "1 day", slide: str | None = None, d
 
 def sessions(pairs: DataFrame, gap: str = "2 hours", delay: str | None = "2 hours") -> DataFrame:
     """Runs of activity a zone, ended by a gap."""
-    if delay:
-        pairs = pairs.withWatermark("ts", delay)
+    pairs = _watermarked(pairs, delay)
     got = pairs.groupBy(F.session_window("ts", gap).alias("w"), "zone_id").agg(F.count(F.lit(1)).alias("cnt"))
     return got.select("zone_id", F.col("w.start").alias("start"), F.col("w.end").alias("finish"), "cnt")
 
