@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from .common import buckets_for, discard, materialize, shared_path, text_or_empty
 
 U = np.uint64
-PIECE, FLUSH_TOKENS, SCORE_TOKENS = 1 << 18, 2_000_000, 400_000
+PIECE, FLUSH_TOKENS, SCORE_TOKENS = 1 << 18, 2_000_000, 800_000
 #: Documents looked at for frequent contexts, and the share of n-grams that makes one so.
 HOT_SAMPLE, HOT_SHARE = 2000, 0.002
 _BYTES = np.random.default_rng(20240229).integers(1, 1 << 63, 256, dtype=U) * U(2) + U(1)
@@ -249,6 +249,7 @@ def map_arrays(uri: str) -> dict[str, np.ndarray]:
         data = np.memmap(local, np.uint8, "r")
     else:
         data = np.memmap(path, np.uint8, "r")
+    data = data.view(np.ndarray)  # still mapped; slices of the subclass are slow
     n = int.from_bytes(data[:8].tobytes(), "little")
     index = ast.literal_eval(data[8 : 8 + n].tobytes().decode())
     out = {}
@@ -620,11 +621,12 @@ class Mapped:
         """(4, n): totals and numbers of words seen once, twice and more behind contexts."""
         key, out = key_of(words), np.zeros((4, words.shape[1]))
         hot_keys, hot_table = self.hot[level]
-        is_hot = np.isin(key, hot_keys)
-        if is_hot.any():
+        cold = np.arange(len(key))
+        if len(hot_keys):
+            is_hot = np.isin(key, hot_keys)
             out[:, is_hot] = hot_table[:, np.searchsorted(hot_keys, key[is_hot])]
-        cold = np.flatnonzero(~is_hot)
-        key = key[cold]
+            cold = np.flatnonzero(~is_hot)
+            key = key[cold]
         for b, who in by_bucket(((key >> U(20)) % U(self.m.buckets)).astype(np.int32), key >> U(64 - KEY_BITS), self.m.buckets):
             f = self.files.get("c", level, b)
             if f is None:
@@ -632,7 +634,7 @@ class Mapped:
             ok, place = locate(f, key[who] >> U(64 - KEY_BITS))
             to = cold[who[ok]]
             n1, n2 = widened(f, "n1", place), widened(f, "n2", place)
-            out[:3, to] = n1 + 2 * n2, n1, n2
+            out[0, to], out[1, to], out[2, to] = n1 + 2 * n2, n1, n2
             if len(f["rich"]):
                 at = np.minimum(np.searchsorted(f["rich"], place), len(f["rich"]) - 1)
                 rich = f["rich"][at] == place
