@@ -101,6 +101,23 @@ def test_mixing_odd_rows(spark):
     assert mix(odd_docs(spark, [])).count() == 0
 
 
+def test_the_mixed_corpus_is_what_the_mix_takes(spark):
+    from zonal.llm.mixing import emit, mix
+
+    rows = [(i % 7, f"{'w ' * (1 + i % 3)}x", "en", "ab"[i % 2], 1) for i in range(80)] + [(None, "n n", "en", None, 1)] * 5 + [(50, "one two", "en", "c", 0)] * 3
+    for given in (rows, [(i, t, la, so, n) for i, (_, t, la, so, n) in enumerate(rows)]):
+        docs = odd_docs(spark, given)
+        mixed = mix(docs, bin_docs=3)
+        out = emit(docs, mixed)
+        assert out.columns == docs.columns
+        want, got = Counter(), Counter()
+        for r in mixed.collect():
+            want[r.doc_id, r.source] += r.taken
+        for r in out.collect():
+            got[r.doc_id, r.source] += len(r.text.split())
+        assert +want == +got
+
+
 # ---- chat formatting
 
 
@@ -117,6 +134,15 @@ def test_chat_round_trip_of_control_strings(spark):
     assert turns_from_table(df.limit(0)).count() == 0
 
 
+def test_chat_with_null_ids_and_repeated_turns(spark):
+    from zonal.llm.chat_format import format_turns, read_back, turns_from_table
+
+    rows = [(None, 0, "user", "x"), (None, None, "assistant", "y"), (1, 0, "user", "b"), (1, 0, "user", "a"), (1, 0, "user", "a"), (1, 1, "assistant", "c")]
+    got = {r.conv_id: r for r in read_back(format_turns(turns_from_table(spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string")))).collect()}
+    assert [tuple(t) for t in got[None].turns] == [("assistant", "y"), ("user", "x")]  # rows without an id are one conversation, null turns come first
+    assert [tuple(t) for t in got[1].turns] == [("user", "a"), ("user", "a"), ("user", "b"), ("assistant", "c")] and got[1].loss_text == "c"
+
+
 def test_chat_layouts_by_fingerprint(spark):
     from zonal.llm.chat_format import turns_from_json, turns_from_table
 
@@ -179,6 +205,31 @@ def test_quality_gradients_and_odd_rows(spark):
     assert AttentionModel().attention(encode("word " * 500)).sum() == pytest.approx(1)
 
 
+def test_quality_fit_is_bounded_and_gradients_are_right():
+    from zonal.llm.quality import N_FEATURES, AttentionModel, encode, spread
+
+    bag = encode(" ".join(f"w{i}" for i in range(5000)))
+    assert len(spread(bag, 10)) == 10 and (spread(bag, 10)[[0, -1]] == bag[[0, -1]]).all() and spread(bag, 10**6) is bag
+    r = np.random.default_rng(0)
+    bags, labels = [r.standard_normal((n, N_FEATURES)).astype(np.float32) for n in (1, 3, 5, 2)], np.array([1.0, 0, 1, 0])
+
+    def loss(m):
+        y = m.scores(bags)
+        return float(-(labels * np.log(y) + (1 - labels) * np.log(1 - y)).mean())
+
+    m = AttentionModel(hidden=6, gate=4)
+    g = m.gradients(*m._scaled(bags), labels)
+    for name, p in m.p.items():
+        for at in list(np.ndindex(p.shape))[:: max(1, p.size // 7)]:
+            old, eps = p[at], 1e-5
+            p[at] = old + eps
+            up = loss(m)
+            p[at] = old - eps
+            down = loss(m)
+            p[at] = old
+            assert g[name][at] == pytest.approx((up - down) / (2 * eps), rel=2e-3, abs=1e-6), (name, at)
+
+
 # ---- SimHash
 
 
@@ -472,7 +523,7 @@ def test_language_model_with_hot_contexts_and_more_buckets(spark, monkeypatch):
 
     docs = spark.read.parquet(f"{DATA}/sf0.001/documents.parquet")
     want = {r.doc_id: r.score for r in lm.score(docs, lm.train(docs, 3, buckets=8)).collect()}
-    monkeypatch.setattr(lm, "HOT_SHARE", 0.0005)
-    model = lm.train(docs, 3, buckets=1500)
+    monkeypatch.setattr(lm, "HOT_SHARE", 0.002)
+    model = lm.train(docs, 3, buckets=300)
     assert all(len(h) for h in model.hot[2:]) and any(model.hot_stats[2:])
     assert {r.doc_id: r.score for r in lm.score(docs, model).collect()} == pytest.approx(want, rel=1e-12)

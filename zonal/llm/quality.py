@@ -1,13 +1,14 @@
 """Quality by attention-based multiple-instance learning.
 
 A document is a bag of passages of ``PASSAGE_WORDS`` words; only whole documents have labels.
-Every passage is encoded (rates of word shapes, marks and repetition, then a learned tanh
-layer), gated attention gives it a weight among its document's passages, and the weighted
+Every passage is encoded (rates of word shapes, marks and repetition, and its words hashed
+with a sign into ``WORD_BINS`` places, then a learned tanh layer), gated attention gives it a weight among its document's passages, and the weighted
 mean is scored by a logistic unit. All weights, the attention's too, are learned together
 from document labels. One passage of junk can so decide about a long document.
 
 Fitting takes a bounded sample of labelled documents, ``fit_docs`` of them by hash of their
-id; passages are encoded on the executors. Scoring is one pass over the whole texts without
+id, and of a document with more than ``fit_passages`` passages as many spread evenly over it;
+passages are encoded on the executors. Scoring is one pass over the whole texts without
 an exchange; the model is some kilobytes.
 
 Defined results: null text is empty; a text without words is one passage of zeros and gets a
@@ -27,11 +28,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import text_or_empty
+from .language_model import U, word_hashes
 
 PASSAGE_WORDS = 48
 #: Marks that are counted one by one, and marks that are counted together.
 MARKS, TOGETHER = ".,!|?:@/<-\"'()_=;", "#%$&*~^+\\{}[]"
-N_FEATURES = len(MARKS) + 14
+SHAPES, WORD_BINS = len(MARKS) + 14, 64
+N_FEATURES = SHAPES + WORD_BINS
 
 
 def passage_features(ws: list[str]) -> list[float]:
@@ -59,7 +62,8 @@ def passage_features(ws: list[str]) -> list[float]:
 
 
 def encode(text: str) -> np.ndarray:
-    """(passages, N_FEATURES); the last passage takes in a short rest."""
+    """(passages, N_FEATURES); the last passage takes in a short rest. Words are told apart in
+    lower case."""
     words = text.split()
     if not words:
         return np.zeros((1, N_FEATURES), np.float32)
@@ -67,7 +71,20 @@ def encode(text: str) -> np.ndarray:
     if len(starts) > 1 and len(words) - starts[-1] < PASSAGE_WORDS // 3:
         starts.pop()
     ends = [*starts[1:], len(words)]
-    return np.array([passage_features(words[a:b]) for a, b in zip(starts, ends, strict=True)], dtype=np.float32)
+    shapes = np.array([passage_features(words[a:b]) for a, b in zip(starts, ends, strict=True)], dtype=np.float32)
+    h = word_hashes(" ".join(words).lower().encode("utf-8", "replace"))
+    if len(h) != len(words):  # lower case may bring white space of its own
+        h = np.resize(h, len(words))
+    sizes = np.subtract(ends, starts)
+    place = np.repeat(np.arange(len(starts)), sizes) * WORD_BINS + ((h >> U(50)) % U(WORD_BINS)).astype(np.int64)
+    sign = np.where(h & U(1), 1.0, -1.0)
+    bins = np.bincount(place, sign, len(starts) * WORD_BINS).reshape(-1, WORD_BINS) / np.sqrt(sizes)[:, None]
+    return np.concatenate([shapes, bins.astype(np.float32)], axis=1)
+
+
+def spread(bag: np.ndarray, most: int) -> np.ndarray:
+    """At most so many passages, evenly from the whole document."""
+    return bag if len(bag) <= most else bag[np.linspace(0, len(bag) - 1, most).astype(int)]
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -108,6 +125,19 @@ class AttentionModel:
         """A document's attention weights, one a passage."""
         return self._forward(*self._scaled([bag]))["a"]
 
+    def gradients(self, x: np.ndarray, starts: np.ndarray, labels: np.ndarray) -> dict[str, np.ndarray]:
+        """Of the mean logistic loss of the documents, by all weights."""
+        p, f = self.p, self._forward(x, starts)
+        bag, h, t, s, a = f["bag"], f["h"], f["t"], f["s"], f["a"]
+        dy = (f["y"] - labels) / len(labels)
+        dz = dy[:, None] * p["c"]
+        da = np.einsum("ij,ij->i", h, dz[bag])
+        de = a * (da - np.add.reduceat(a * da, starts)[bag])
+        dg = de[:, None] * p["w"]
+        dt, ds = dg * s * (1 - t * t), dg * t * s * (1 - s)
+        dh = (a[:, None] * dz[bag] + dt @ p["V"].T + ds @ p["U"].T) * (1 - h * h)
+        return {"W": x.T @ dh, "b": dh.sum(axis=0), "V": h.T @ dt, "U": h.T @ ds, "w": (t * s).T @ de, "c": f["z"].T @ dy, "d": dy.sum(keepdims=True)}
+
     def fit(self, bags: list[np.ndarray], labels: np.ndarray, epochs: int = 30, least_steps: int = 1500, rate: float = 4e-3, decay: float = 1e-3, seed: int = 3) -> AttentionModel:
         """At least ``epochs`` rounds and ``least_steps`` steps; it starts from the labels' base rate."""
         every = np.concatenate(bags)
@@ -122,17 +152,7 @@ class AttentionModel:
             order = r.permutation(len(bags))
             for i in range(0, len(order), batch):
                 pick = order[i : i + batch]
-                x, starts = self._scaled([bags[j] for j in pick])
-                f = self._forward(x, starts)
-                bag, h, t, s, a = f["bag"], f["h"], f["t"], f["s"], f["a"]
-                dy = (f["y"] - labels[pick]) / len(pick)
-                dz = dy[:, None] * p["c"]
-                da = np.einsum("ij,ij->i", h, dz[bag])
-                de = a * (da - np.add.reduceat(a * da, starts)[bag])
-                dg = de[:, None] * p["w"]
-                dt, ds = dg * s * (1 - t * t), dg * t * s * (1 - s)
-                dh = (a[:, None] * dz[bag] + dt @ p["V"].T + ds @ p["U"].T) * (1 - h * h)
-                g = {"W": x.T @ dh, "b": dh.sum(axis=0), "V": h.T @ dt, "U": h.T @ ds, "w": (t * s).T @ de, "c": f["z"].T @ dy, "d": dy.sum(keepdims=True)}
+                g = self.gradients(*self._scaled([bags[j] for j in pick]), labels[pick])
                 step += 1
                 lr = rate * (0.5 + 0.5 * np.cos(np.pi * epoch / epochs))
                 for k in p:
@@ -148,8 +168,9 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def fit(docs: DataFrame, labels: DataFrame, fit_docs: int = 4000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> AttentionModel | None:
-    """A model from at most ``fit_docs`` labelled documents outside the held-out rows."""
+def fit(docs: DataFrame, labels: DataFrame, fit_docs: int = 4000, fit_passages: int = 1000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> AttentionModel | None:
+    """A model from at most ``fit_docs`` labelled documents outside the held-out rows, each with
+    at most ``fit_passages`` passages, so that what reaches the driver is bounded."""
     known = labels.select(F.col(id_col).alias("doc_id"), F.col(label_col).cast("double").alias("label")).where(F.col("label").isNotNull() & F.col("doc_id").isNotNull())
     known = known.where(~held_out(F.col("doc_id"))).orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(fit_docs)
     texts = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text"))
@@ -157,7 +178,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_docs: int = 4000, id_col: str =
 
     def passages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            bags = [encode(t.as_py()).tobytes() for t in b.column(2)]
+            bags = [spread(encode(t.as_py()), fit_passages).tobytes() for t in b.column(2)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(bags, pa.binary())], ["doc_id", "label", "bag"])
 
     got = rows.mapInArrow(passages, "doc_id bigint, label double, bag binary").toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending")])
