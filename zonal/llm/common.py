@@ -87,10 +87,10 @@ def join_by_key(rows: DataFrame, table: DataFrame, keys: list[str], n_col: str,
 BUCKET_BYTES = 16 << 20
 
 
-def buckets_for(texts: DataFrame, text_col: str) -> int:
+def buckets_for(texts: DataFrame, text_col: str, times: int = 1) -> int:
     """Buckets for work on all texts, so that a bucket's share is bounded whatever their size."""
     size = texts.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
-    return max(int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET_BYTES))
+    return max(int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-times * size // BUCKET_BYTES))
 
 
 def text_or_empty(name: str) -> Column:

@@ -544,7 +544,7 @@ def train(docs: DataFrame, order: int = 3, text_col: str = "text", buckets: int
         raise ValueError("order must be 2 or more")
     spark = docs.sparkSession
     texts = docs.select(text_or_empty(text_col).alias("text"))
-    buckets = buckets or 2 * buckets_for(texts, "text")  # an n-gram's columns take more than its text
+    buckets = buckets or buckets_for(texts, "text", 2)  # an n-gram's columns take more than its text
     path = shared_path(spark, "ngrams")
     fs, where = _fs(path)
     fs.create_dir(where, recursive=True)
