@@ -61,3 +61,53 @@ def test_ties_over_blocks_and_repeated_ids(spark, monkeypatch):
     mine = sorted((r.query_id, r.rank, r.vec_id) for r in got)
     assert [v for q, _, v in mine if q == 40] == [1, 2, 3, 4, 5]  # equal scores: smaller ids
     assert [v for q, _, v in mine if q == 20] == [1, 2, 3, 4, 5] and len(mine) == 10  # one of its rows asks
+
+
+def test_memory_of_many_queries_is_bounded(monkeypatch):
+    """Candidates of all queries of a file together once filled an executor's memory."""
+    import tracemalloc
+
+    from zonal.llm import nearest as nn
+
+    ids, x = vectors("sf0.1")
+    lines = np.random.default_rng(11).standard_normal((96, x.shape[1] + 1))
+    index = nn.BlockIndex(x, lines, float(np.linalg.norm(x, axis=1).max()))
+    own, at = [np.array([i]) for i in range(len(x))], x @ lines[:, :-1].T
+    how = (20, nn.needed(96, 3.0, 1.7), index.radius(x, 20), 1.03, 1.0, 3.0)
+    whole = index.search(x[:100], at[:100], own[:100], *how)
+    monkeypatch.setattr(nn, "CANDIDATES", 20_000)
+    tracemalloc.start()
+    got = list(index.best(x, at, own, ids, *how))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(got) == len(x) and peak < 10e6  # 2,000 queries of about 900 candidates each: 29 MB at once
+    for (best, scores), (places, all_scores) in zip(got[:100], whole, strict=True):
+        order = np.lexsort((ids[places], -all_scores))[:20]
+        assert np.array_equal(best, ids[places[order]]) and np.allclose(scores, all_scores[order])
+
+
+def test_wider_windows_count_what_they_gain():
+    from zonal.llm.nearest import BlockIndex
+
+    r = np.random.default_rng(2)
+    x, lines = r.standard_normal((300, 8)), r.standard_normal((20, 9))
+    index = BlockIndex(x, lines, float(np.linalg.norm(x, axis=1).max()))
+    lo, hi = index.windows(x[:1] @ lines[:, :-1].T, 0.5)
+    more = index.windows(x[:1] @ lines[:, :-1].T, 1.5)
+    assert np.array_equal(index.widened(index.collisions(lo[0], hi[0]), lo[0], hi[0], more[0][0], more[1][0]), index.collisions(more[0][0], more[1][0]))
+
+
+def test_blocks_of_copies_take_few_rounds(monkeypatch):
+    """Fewer copies of a query than k: the typical radius is 0, its k-th neighbour is far."""
+    from zonal.llm import nearest as nn
+
+    ids, x = vectors("sf0.1")
+    x = np.tile(x[:1000], (20, 1))
+    lines = np.random.default_rng(11).standard_normal((96, x.shape[1] + 1))
+    index = nn.BlockIndex(x, lines, float(np.linalg.norm(x, axis=1).max()))
+    rounds, windows = [], nn.BlockIndex.windows
+    monkeypatch.setattr(nn.BlockIndex, "windows", lambda *a: rounds.append(1) or windows(*a))
+    found = list(index.best(x[:40], x[:40] @ lines[:, :-1].T, [np.array([i]) for i in range(40)], np.arange(len(x)), 20, nn.needed(96, 3.0, 1.7), index.radius(x, 20), 1.03, 1.0, 3.0))
+    for i, (best, _) in enumerate(found):
+        assert len(best) == 20 and set(range(i + 1000, len(x), 1000)) <= set(best.tolist())
+    assert len(rounds) < 60  # over 260 when every round widened by 3 % from 0

@@ -9,7 +9,8 @@ the window's ``width`` in radii: a vector at the radius falls into each window w
 probability, and reaches the threshold but for ``misses`` standard deviations. A query stops
 when its ``k``-th best verified distance is at most ``slack`` times the radius that the windows
 stand for, or when every row of the block is a candidate. The first radius is the typical
-distance of a k-th neighbour on a sample of the block, so most queries need few rounds.
+distance of a k-th neighbour on a sample of the block, so most queries need few rounds. A
+query that finds fewer than k rows then goes on at a radius where some of a sample collide.
 
 Collisions are counted over the rows inside the windows or, where these are fewer, outside.
 
@@ -19,8 +20,9 @@ the reverse order of inner products.
 
 Queries are written to the shared folder in files of ``query_block`` vectors. One pass over the
 table answers all: a task indexes its rows block by block and reads the files of queries in
-turn, so neither driver nor executors hold more than one block of each. Per query and block
-only k rows leave a task.
+turn, so neither driver nor executors hold more than one block of each. Inside a file so few
+queries are searched at a time that their candidates stay within ``CANDIDATES``. Per query and
+block only k rows leave a task.
 
 Defined results: vectors that are null, all zero, of another length than ``dim`` (default:
 the most frequent one) or that hold null or non-finite components take no part; ties go to
@@ -42,6 +44,8 @@ from pyspark.sql import functions as F
 from .common import materialize
 
 BLOCK_ROWS = 50_000
+#: Candidates that the queries searched together may have at most, all of them together.
+CANDIDATES = 1_000_000
 
 
 def needed(projections: int, width: float, misses: float) -> int:
@@ -55,20 +59,31 @@ class BlockIndex:
 
     def __init__(self, vectors: np.ndarray, lines: np.ndarray, top_norm: float):
         rest = np.sqrt(np.maximum(top_norm**2 - np.einsum("ij,ij->i", vectors, vectors), 0))
-        at = vectors @ lines[:, :-1].T + rest[:, None] * lines[:, -1]
-        order = np.argsort(at, axis=0, kind="stable")
-        self.values = np.ascontiguousarray(np.take_along_axis(at, order, axis=0).T)
-        self.order = np.ascontiguousarray(order.T.astype(np.int32))
+        self.values = lines[:, :-1] @ vectors.T
+        self.order = np.empty(self.values.shape, np.int32)
+        mixed = np.random.default_rng(len(vectors)).permutation(len(vectors))  # steps would meet copies at equal steps
+        some: list[np.ndarray] = []
+        for line, at, order in zip(lines[:, -1], self.values, self.order, strict=True):  # a line at a time: no second copy of the block
+            at += rest * line
+            some.append(at[mixed[:500]])
+            order[:] = np.argsort(at, kind="stable")
+            at[:] = at[order]
+        self.some, self.sample = np.stack(some), vectors[mixed[:4000]]
         self.vectors, self.square, self.top = vectors, top_norm**2, top_norm
 
     def radius(self, queries: np.ndarray, k: int) -> float:
         """About the distance of a query's k-th neighbour, seen on a sample of both."""
-        probe, some = queries[:: max(1, len(queries) // 64)][:64], self.vectors[:: max(1, len(self.vectors) // 4000)]
+        probe, some = queries[:: max(1, len(queries) // 64)][:64], self.sample
         d2 = (probe**2).sum(1)[:, None] + self.square - 2 * probe @ some.T
         place = min(1 + k * len(some) // len(self.vectors), len(some) - 1)
         return max(float(np.sqrt(np.maximum(np.partition(d2, place, axis=1)[:, place], 0)).mean()), 1e-9 * max(self.top, 1e-300))
 
-    def windows(self, at: np.ndarray, half: float) -> tuple[np.ndarray, np.ndarray]:
+    def sparse(self, at: np.ndarray, need: int) -> float:
+        """About the half width up to which hardly a row collides with a query: a few of a sample do."""
+        reach = np.partition(np.abs(self.some - at[:, None]), need - 1, axis=0)[need - 1]
+        return float(np.partition(reach, min(4, len(reach) - 1))[min(4, len(reach) - 1)])
+
+    def windows(self, at: np.ndarray, half: float | np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """First and last places, per query and line, of rows within ``half`` of the query."""
         lo = np.stack([np.searchsorted(v, a - half, "left") for v, a in zip(self.values, at.T, strict=True)], axis=1)
         hi = np.stack([np.searchsorted(v, a + half, "right") for v, a in zip(self.values, at.T, strict=True)], axis=1)
@@ -83,18 +98,26 @@ class BlockIndex:
         counted = np.bincount(np.concatenate(parts), minlength=n)
         return counted if inside else m - counted
 
+    def widened(self, counted: np.ndarray, lo: np.ndarray, hi: np.ndarray, new_lo: np.ndarray, new_hi: np.ndarray) -> np.ndarray:
+        """``collisions`` of wider windows: only rows that they gain are counted."""
+        cuts = zip(self.order, new_lo.tolist(), lo.tolist(), hi.tolist(), new_hi.tolist(), strict=True)
+        parts = [x for o, a, b, c, d in cuts for x in (o[a:b], o[c:d])]
+        return counted + np.bincount(np.concatenate(parts), minlength=len(counted))
+
     def search(self, queries: np.ndarray, at: np.ndarray, own: list[np.ndarray], k: int, need: int, radius: float, widen: float, slack: float, width: float) -> list[tuple[np.ndarray, np.ndarray]]:
         """For each query its candidates' places and scores: the rows that were verified."""
         n = len(self.vectors)
         far = np.einsum("ij,ij->i", queries, queries) + self.square
         places = [np.empty(0, np.int64)] * len(queries)
         scores = [np.empty(0)] * len(queries)
-        open_ = np.arange(len(queries))
+        open_, radii = np.arange(len(queries)), np.full(len(queries), radius)
+        seen: list[tuple | None] = [None] * len(queries)
         while len(open_):
-            los, his = self.windows(at[open_], width * radius / 2)
+            los, his = self.windows(at[open_], width * radii[open_] / 2)
             still = []
             for i, q in enumerate(open_.tolist()):
-                found = self.collisions(los[i], his[i]) >= need
+                counted = self.collisions(los[i], his[i]) if seen[q] is None else self.widened(*seen[q], los[i], his[i])
+                found = counted >= need
                 found[own[q]] = False
                 found[places[q]] = False
                 new = np.flatnonzero(found)
@@ -103,13 +126,27 @@ class BlockIndex:
                 done = len(places[q]) >= n - len(own[q])
                 if not done and len(places[q]) >= k:
                     kth = -np.partition(-scores[q], k - 1)[k - 1]
-                    done = sqrt(max(far[q] - 2 * kth, 0)) <= slack * radius
+                    done = sqrt(max(far[q] - 2 * kth, 0)) <= slack * radii[q]
+                first, radii[q] = seen[q] is None, radii[q] * widen
+                if not done and first and len(places[q]) < k:  # a block of copies has typical distances near 0
+                    radii[q] = max(radii[q], 2 * self.sparse(at[q], need) / width)
+                seen[q] = None if done else (counted.astype(np.int16), los[i], his[i])
                 if not done:
                     still.append(i)
             open_ = open_[still]
-            radius *= widen
         return list(zip(places, scores, strict=True))
 
+    def best(self, queries: np.ndarray, at: np.ndarray, own: list[np.ndarray], ids: np.ndarray, k: int, *how) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """For each query the ids and scores of its k best candidates, ties to smaller ids.
+
+        ``search`` holds a query's candidates until it stops, often a large share of the block:
+        it is given as many queries as have ``CANDIDATES`` if every row is one."""
+        step = max(1, CANDIDATES // len(self.vectors))
+        for a in range(0, len(queries), step):
+            for places, scores in self.search(queries[a : a + step], at[a : a + step], own[a : a + step], k, *how):
+                best = np.lexsort((ids[places], -scores))[:k]
+                yield ids[places[best]], scores[best]
+
 
 def usable(vector: Column, dim: int) -> Column:
     finite = F.forall(vector, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf"))))
@@ -164,11 +201,8 @@ def nearest(
             for qids, queries in files():
                 lo, hi = (np.searchsorted(vec_ids[by_id], qids, side) for side in ("left", "right"))
                 own = [by_id[a:b] for a, b in zip(lo.tolist(), hi.tolist(), strict=True)]
-                found = index.search(queries, queries @ lines[:, :-1].T, own, k, need, index.radius(queries, k), widen, slack, width)
-                out = []
-                for q, (places, scores) in zip(qids.tolist(), found, strict=True):
-                    best = np.lexsort((vec_ids[places], -scores))[:k]
-                    out.append((np.full(len(best), q), vec_ids[places[best]], scores[best]))
+                found = index.best(queries, queries @ lines[:, :-1].T, own, vec_ids, k, need, index.radius(queries, k), widen, slack, width)
+                out = [(np.full(len(best), q), best, scores) for q, (best, scores) in zip(qids.tolist(), found, strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], ["query_id", "vec_id", "score"])
 
         held_ids, held = [], []
