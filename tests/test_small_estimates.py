@@ -15,3 +15,8 @@ def planned(df) -> str:
 def test_a_dense_mask_is_not_broadcast(spark):
     r, z = layers(spark, SF, "ZN", "RO")
     assert "Broadcast" not in planned(baselines.mask(z, r.meta, dense=True))
+
+
+def test_runs_of_tiles_are_not_broadcast(spark):
+    r, z = layers(spark, SF, "ZC", "RO")
+    assert "Broadcast" not in planned(baselines.clip_by_tiles(r, z, empty=False))
