@@ -20,3 +20,23 @@ def test_a_dense_mask_is_not_broadcast(spark):
 def test_runs_of_tiles_are_not_broadcast(spark):
     r, z = layers(spark, SF, "ZC", "RO")
     assert "Broadcast" not in planned(baselines.clip_by_tiles(r, z, empty=False))
+
+
+def test_a_kd_index_grows_with_its_layer(spark, monkeypatch):
+    """A fixed number of leaves met every pixel with a 64th of all zones."""
+    from pyspark.sql import functions as F
+
+    r, z = layers(spark, SF, "ZC", "RO")
+    monkeypatch.setattr(baselines, "LEAF_ZONES", 1)
+    index, tree = baselines.probe_index(z, r.meta, "kd")
+    assert 1 << tree.depth >= z.df.count() > 64
+    boxes = [(b.zone_id, b.mbr) for b in baselines.zones.with_mbr(z).collect()]
+    leaf = {(p.x, p.y): p.c for p in r.df.select("x", "y", tree.leaf(F.col("x") * 16 + 8, F.col("y") * 16 + 8).alias("c")).collect()}
+    cells = {(i.zone_id, i.cell) for i in index.select("zone_id", "cell").collect()}
+    assert len(cells) < 40 * len(boxes)
+    for (x, y), c in leaf.items():
+        for zone, b in boxes:
+            if b.x0 <= 16 * x + 8 <= b.x1 and b.y0 <= 16 * y + 8 <= b.y1:
+                assert (zone, c) in cells
+    want, got = (sorted(map(tuple, baselines.pixel_probe(r, z, index=k).collect())) for k in ("grid", "kd"))
+    assert want == got
