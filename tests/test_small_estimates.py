@@ -40,3 +40,12 @@ def test_a_kd_index_grows_with_its_layer(spark, monkeypatch):
                 assert (zone, c) in cells
     want, got = (sorted(map(tuple, baselines.pixel_probe(r, z, index=k).collect())) for k in ("grid", "kd"))
     assert want == got
+
+
+def test_parts_do_not_grow_the_plan(spark):
+    """A plan a part: 208 of them for 1,000 suppliers, each with its own pass over the raster."""
+    r, z = layers(spark, SF, "ZC", "RO")
+    for method in (baselines.merge_parts, baselines.clip_parts):
+        few, many = (baselines.run_in_parts(r, z, size, method) for size in (1 << 40, 300))
+        assert planned(few).count("FileScan") == planned(many).count("FileScan") < 12
+        assert sorted(map(tuple, few.collect())) == sorted(map(tuple, many.collect())) == sorted(map(tuple, baselines.clip(r, z).collect()))
